@@ -62,9 +62,10 @@ def rolled(ids: np.ndarray, width: int) -> np.ndarray:
     n = len(ids) - width + 1
     if n <= 0:
         return np.empty(0, np.uint64)
-    out = np.zeros(n, np.uint64)
+    mixed, out = mix64(ids), np.zeros(n, np.uint64)
     for k in range(width):
-        out = out * np.uint64(0x9E3779B97F4A7C15) + mix64(ids[k : k + n])
+        out *= np.uint64(0x9E3779B97F4A7C15)
+        out += mixed[k : k + n]
     return mix64(out)
 
 
