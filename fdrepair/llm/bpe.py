@@ -26,7 +26,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 WIDTH = 8  # bits of a rank that select a bit of its bitmap word: words of 256 ranks
-CACHED_WORDS = 300_000
+LOW = (1 << WIDTH) - 1
+CACHED_WORDS = 1_000_000
 CACHED_LENGTH = 64
 
 
@@ -65,30 +66,27 @@ class ByteBPE(dict):
         end, before, pending = list(range(1, n + 1)), list(range(-1, n - 1)), [-1] * n
         buckets: dict[int, list[int]] = {}
         words: dict[int, int] = {}
-        summary = 0
-
-        def queue(rank: int, at: int) -> int:
-            bucket = buckets.get(rank)
-            if bucket is not None:
-                heapq.heappush(bucket, at)
-                return 0
-            buckets[rank] = [at]
-            word = rank >> WIDTH
-            words[word] = words.get(word, 0) | 1 << (rank & (1 << WIDTH) - 1)
-            return 1 << word
-
+        summary, push = 0, heapq.heappush
         for i in range(n - 1):
             rank = rank_of(piece[i : i + 2])
             if rank is not None:
                 pending[i] = rank
-                summary |= queue(rank, i)
+                if rank in buckets:
+                    buckets[rank].append(i)
+                else:
+                    buckets[rank] = [i]
+                    word = rank >> WIDTH
+                    words[word] = words.get(word, 0) | 1 << (rank & LOW)
+                    summary |= 1 << word
         while summary:
             word = (summary & -summary).bit_length() - 1
             bits = words[word]
             rank = (word << WIDTH) + (bits & -bits).bit_length() - 1
             bucket = buckets[rank]
-            at = heapq.heappop(bucket)
-            if not bucket:
+            if len(bucket) > 1:
+                at = heapq.heappop(bucket)
+            else:
+                at = bucket[0]
                 del buckets[rank]
                 bits &= bits - 1
                 words[word] = bits
@@ -99,18 +97,25 @@ class ByteBPE(dict):
             gone = end[at]
             after = end[gone]
             end[at], pending[gone], pending[at] = after, -1, -1
+            left = before[at]
             if after < n:
                 before[after] = at
-                rank = rank_of(piece[at : end[after]])
-                if rank is not None:
-                    pending[at] = rank
-                    summary |= queue(rank, at)
-            left = before[at]
-            if left >= 0:
-                rank = rank_of(piece[left:after])
-                pending[left] = -1 if rank is None else rank
-                if rank is not None:
-                    summary |= queue(rank, left)
+                changed = ((left, after), (at, end[after])) if left >= 0 else ((at, end[after]),)
+            else:
+                changed = ((left, after),) if left >= 0 else ()
+            for start, stop in changed:
+                rank = rank_of(piece[start:stop])
+                if rank is None:
+                    pending[start] = -1
+                    continue
+                pending[start] = rank
+                if rank in buckets:
+                    push(buckets[rank], start)
+                else:
+                    buckets[rank] = [start]
+                    word = rank >> WIDTH
+                    words[word] = words.get(word, 0) | 1 << (rank & LOW)
+                    summary |= 1 << word
         out, at = [], 0
         while at < n:
             out.append(self.ranks[piece[at : end[at]]])
