@@ -1,0 +1,6 @@
+"""All queries of the engine and their SQL."""
+
+from . import methods
+
+QUERIES = dict(methods.QUERIES)
+ORACLES = dict(methods.ORACLES)
