@@ -30,12 +30,11 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
-import xxhash
 from numpy.lib.stride_tricks import sliding_window_view
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WordHashes, checkpointed, rolled
+from .common import WordHashes, mix64, rolled, written
 
 WINDOW, RUN = 20, 5
 SPLIT = 100_000
@@ -124,80 +123,74 @@ def segments(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return runs[place[first]], first, np.append(first[1:], len(view))
 
 
-def names(docs: DataFrame, with_id: bool) -> DataFrame:
-    """name, and doc_id if asked for: the names of each document's segments (each once)."""
+def names(docs: DataFrame) -> DataFrame:
+    """name, doc_id of every segment; docs: doc_id, text."""
 
     def of(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         hashes = WordHashes()
         for part in parts:
-            found, owner, twice = [], [], []
-            for i, t in zip(part["doc_id"], part["text"]):
-                n, c = np.unique(segments(hashes.array(words_of(t)))[0], return_counts=True)
-                found.append(n)
-                twice.append(c)
-                owner.append(np.full(len(n), i, np.int64))
+            found = [segments(hashes.array(words_of(t)))[0] for t in part["text"]]
+            sizes = list(map(len, found))
             name = np.concatenate(found).view(np.int64) if found else np.empty(0, np.int64)
-            yield pd.DataFrame({"name": name, "doc_id": np.concatenate(owner) if owner else name} if with_id else {"name": name, "n": np.concatenate(twice) if twice else name})
+            yield pd.DataFrame({"name": name, "doc_id": np.repeat(part["doc_id"].to_numpy(np.int64), sizes)})
 
-    return docs.mapInPandas(of, "name long, doc_id long" if with_id else "name long, n long")
+    return docs.mapInPandas(of, "name long, doc_id long")
 
 
-_SEGMENTS = "array<struct<name:long,part:int,split:boolean,first:int,behind:int,words_hash:long>>"
+_ODD = 0x9E3779B97F4A7C15
 
 
-def listed(docs: DataFrame) -> DataFrame:
-    """doc_id, name, part, split, first, behind, words_hash: the segments of repeated names; docs: doc_id, text, wanted (name, parts)."""
+class RunHashes:
+    """64-bit hashes of runs of any length of a sequence, from prefix sums with an invertible base."""
 
-    @F.pandas_udf(_SEGMENTS)
-    def of(parts: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.Series]:
-        hashes = WordHashes()
-        for ids, texts, wanted in parts:
-            out = []
-            for i, t, w in zip(ids, texts, wanted):
-                split = {x["name"]: x["parts"] for x in w}
-                words = words_of(t)
-                row = []
-                for name, a, b in zip(*(x.tolist() for x in (lambda n, f, e: (n.view(np.int64), f, e))(*segments(hashes.array(words))))):
-                    n = split.get(name)
-                    if n:
-                        row.append({"name": name, "part": i % n, "split": n > 1, "first": a, "behind": b, "words_hash": xxhash.xxh64_intdigest(b" ".join(words[a : b - 1 + WINDOW])) - (1 << 63)})
-                out.append(row)
-            yield pd.Series(out)
+    def __init__(self) -> None:
+        self.up = self.down = np.ones(1, np.uint64)
 
-    return docs.select("doc_id", F.inline(of("doc_id", "text", "wanted")))
+    def __call__(self, ids: np.ndarray, first: np.ndarray, behind: np.ndarray) -> np.ndarray:
+        n = len(ids) + 1
+        if len(self.up) < n:
+            powers = lambda x: np.concatenate((np.ones(1, np.uint64), np.cumprod(np.full(2 * n, x, np.uint64))))
+            self.up, self.down = powers(_ODD), powers(pow(_ODD, -1, 1 << 64))
+        sums = np.concatenate((np.zeros(1, np.uint64), np.cumsum(mix64(ids) * self.down[: len(ids)])))
+        return mix64((sums[behind] - sums[first]) * self.up[first] + (behind - first).astype(np.uint64))
 
 
-def resolved(rows: DataFrame) -> DataFrame:
-    """kind (0 repeated, 1 first of its words), name, doc_id, first, behind, of segments in the order of documents.
+def listed(docs: DataFrame) -> DataFrame:
+    """doc_id, name, part, split, first, behind, words_hash: the segments of repeated names.
 
-    First segments are told only of names in parts and of names with several of them.
+    docs: doc_id, text, wanted (repeated names), often and parts (those of them that are treated in parts, and in how many).
     """
 
     def of(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        at, seen, lone = None, {}, None
+        hashes, runs = WordHashes(), RunHashes()
         for frame in frames:
             out = []
-            for name, part, split, i, first, behind, words in frame[["name", "part", "split", "doc_id", "first", "behind", "words_hash"]].itertuples(False):
-                if (name, part) != at:
-                    at, seen, lone = (name, part), {}, None
-                before = seen.get(words)
-                if before is not None:
-                    if before != (i, first):
-                        out.append((0, name, i, first, behind))
-                    continue
-                if len(seen) < SPLIT:
-                    seen[words] = (i, first)
-                if split or len(seen) > 1:
-                    if lone:
-                        out.append(lone)
-                        lone = None
-                    out.append((1, name, i, first, behind))
-                else:
-                    lone = (1, name, i, first, behind)
-            yield pd.DataFrame(out, columns=["kind", "name", "doc_id", "first", "behind"])
+            for i, t, wanted, often, parts in zip(frame["doc_id"], frame["text"], frame["wanted"], frame["often"], frame["parts"]):
+                ids = hashes.array(words_of(t))
+                name, first, behind = segments(ids)
+                name = name.view(np.int64)
+                keep = np.isin(name, wanted)
+                name, first, behind = name[keep], first[keep], behind[keep]
+                split = dict(zip(often, parts)) if len(often) else {}
+                n = np.fromiter((split.get(x, 1) for x in name.tolist()), np.int64, len(name)) if split else np.ones(len(name), np.int64)
+                out.append((np.full(len(name), i), name, i % n, n > 1, first, behind, runs(ids, first, behind - 1 + WINDOW).view(np.int64)))
+            if out:
+                yield pd.DataFrame(dict(zip(("doc_id", "name", "part", "split", "first", "behind", "words_hash"), map(np.concatenate, zip(*out)))))
+
+    return docs.select("doc_id", "text", "wanted", "often", "parts").mapInPandas(of, "doc_id long, name long, part long, split boolean, first int, behind int, words_hash long")
 
-    ordered = rows.repartition("name", "part").sortWithinPartitions("name", "part", "doc_id", "first")
-    return ordered.select("name", "part", "split", "doc_id", "first", "behind", "words_hash").mapInPandas(of, "kind int, name long, doc_id long, first int, behind int")
+
+def resolved(rows: DataFrame) -> DataFrame:
+    """kind (0 repeated, 1 first of its words), name, doc_id, first, behind, of segments in the order of documents.
+
+    First segments are told only of names in parts and of names with several of them.
+    """
+    place = F.struct("doc_id", "first")
+    same = Window.partitionBy("name", "part", "words_hash")
+    name = Window.partitionBy("name", "part")
+    seen = rows.repartition("name", "part").withColumn("least", F.min(place).over(same)).withColumns({"low": F.min("words_hash").over(name), "high": F.max("words_hash").over(name)})
+    told = seen.withColumn("kind", F.when(place > F.col("least"), 0).when(F.col("split") | (F.col("low") != F.col("high")), 1))
+    return told.where("kind is not null").select("kind", "name", "doc_id", "first", "behind")
 
 
 _RANGE = "doc_id long, start int, stop int"
@@ -240,10 +233,12 @@ def counted(shards: DataFrame) -> DataFrame:
 def repeated_ranges(docs: DataFrame) -> DataFrame:
     """doc_id, ranges (start, stop in words): what is repeated in each document; docs: doc_id, text."""
     known = docs.where("doc_id is not null and text is not null")
-    parts = F.ceil(F.col("n") / SPLIT).cast("int")
-    often = names(known, False).groupBy("name").agg(F.sum("n").alias("n")).where("n > 1").select("name", parts.alias("parts"))
-    wanted = names(known, True).join(often, "name").groupBy("doc_id").agg(F.collect_set(F.struct("name", "parts")).alias("wanted"))
-    found = checkpointed(resolved(listed(known.join(wanted, "doc_id"))))
+    named = written(names(known))
+    often = named.groupBy("name").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("name", F.ceil(F.col("n") / SPLIT).alias("parts"))
+    split = F.when(F.col("parts") > 1, F.struct("name", "parts"))
+    wanted = named.join(often, "name").groupBy("doc_id").agg(F.collect_list("name").alias("wanted"), F.collect_set(split).alias("s"))
+    wanted = wanted.select("doc_id", "wanted", F.col("s.name").alias("often"), F.col("s.parts").alias("parts"))
+    found = written(resolved(listed(known.join(wanted, "doc_id"))))
     same = found.where("kind = 0").select("doc_id", F.col("first").alias("start"), (F.col("behind") - 1 + WINDOW).alias("stop"))
     firsts = found.where("kind = 1")
     sizes = firsts.groupBy("name").agg(F.count(F.lit(1)).alias("n"))
