@@ -7,9 +7,8 @@ table holds what the first row (least id) with that left side got.
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
-from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -19,6 +18,7 @@ from .components import components
 from .patterns import SCALE, project, x
 from .quality import Edges, edge_quality
 from .select import choose, long
+from .store import written
 
 
 @dataclass
@@ -34,7 +34,6 @@ class RepairResult:
     delta: DataFrame
     tid: str
     conflicts: DataFrame | None = None
-    held: list[DataFrame] = field(default_factory=list)
 
     def cost(self) -> DataFrame:
         """changed: how many cells changed."""
@@ -65,10 +64,6 @@ class RepairResult:
         rivals = edges.select("fd", "lhs", F.col("rhs").alias("rival"), F.round(F.col("quality_fp") / SCALE, 6).alias("rival_quality"))
         return out.join(chosen.select("fd", "lhs", F.round(F.col("score_fp") / SCALE, 6).alias("score"), "origin"), ["fd", "lhs"], "left").join(rivals, ["fd", "lhs"], "left")
 
-    def unpersist(self) -> None:
-        for t in self.held:
-            t.unpersist()
-
 
 def key_of(plan: RepairPlan) -> tuple[str, ...]:
     """What a row's chase depends on: its bound values, or all of them where left sides are read from the input."""
@@ -194,20 +189,20 @@ def repair(
     """Repairs df by the FDs; tid is a column with a unique id of each row.
 
     options go to the plan (reach, back_edges, on_conflict, nulls, lhs_source, prefer_bound, ...). scope: rows to repair; all
-    rows are counted. keep: hold the distinct projection and the patterns while they are used.
+    rows are counted. keep: write the distinct projection and the patterns, which are used several times, to the shared folder.
     """
     plan = plan or build_plan(fds, df.schema, **options)
     projected = project(df, plan.attributes, tid)
-    held = []
     if keep:
-        projected = projected.persist(StorageLevel.MEMORY_AND_DISK)
-        held.append(projected)
+        projected = written(projected)
     edges = edge_quality(projected, plan, score=score, normalize=normalize, weight=weight, keep=keep)
     decisions = choose(edges, strategy, theta=theta, theta_on=theta_on, strict=strict, anchor=anchor)
-    return finish(df, plan, projected, edges, decisions, tid, scope, held)
+    if keep:
+        decisions = {f: written(t) for f, t in decisions.items()}
+    return finish(df, plan, projected, edges, decisions, tid, scope)
 
 
-def finish(df: DataFrame, plan: RepairPlan, projected: DataFrame, edges: Edges | None, decisions: dict[FD, DataFrame], tid: str, scope: Column | None = None, held: list | None = None) -> RepairResult:
+def finish(df: DataFrame, plan: RepairPlan, projected: DataFrame, edges: Edges | None, decisions: dict[FD, DataFrame], tid: str, scope: Column | None = None) -> RepairResult:
     """Chase and application of given decisions."""
     chased, tables = chase(projected, plan, decisions)
     if plan.on_conflict == "component":
@@ -219,4 +214,4 @@ def finish(df: DataFrame, plan: RepairPlan, projected: DataFrame, edges: Edges |
     if scope is not None:
         repaired = repaired.unionByName(df.where(~F.coalesce(scope, F.lit(False))))
     conflicts = chased.where("conflict > 0")
-    return RepairResult(repaired, plan, chased, tables, edges, decisions, changes(applied, touched, tid), tid, conflicts, held or [])
+    return RepairResult(repaired, plan, chased, tables, edges, decisions, changes(applied, touched, tid), tid, conflicts)

@@ -9,12 +9,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark import StorageLevel
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans import FD, RepairPlan
 from .patterns import SCALE, simple, x
+from .store import written
 
 N_SCALE = 1_000_000  # weighted numbers of reachable patterns are kept as integers of so many parts
 
@@ -123,12 +123,12 @@ def edge_quality(projected: DataFrame, plan: RepairPlan, *, score: str = "full",
     """Edges of all FDs with their quality.
 
     score: full, or one of the plainer ones (freq, conf, sup, local). weight: how continuations count (uniform, by confidence, or
-    the best one only); other than uniform goes by ways. keep: hold the pattern tables, which are used several times, in
-    memory or on disk.
+    the best one only); other than uniform goes by ways. keep: write the pattern tables, which are used several
+    times, to the shared folder.
     """
     tables = {f: simple(projected, f, plan.nulls) for f in plan.fds}
     if keep:
-        tables = {f: t.persist(StorageLevel.MEMORY_AND_DISK) for f, t in tables.items()}
+        tables = {f: written(t) for f, t in tables.items()}
     by_path = plan.reach == "path" or weight != "uniform"
     done: dict[FD, DataFrame] = {}
     closures: dict[str, DataFrame] = {}

@@ -9,6 +9,7 @@ from pyspark.sql import functions as F
 
 from ..operators import chase, compose, detect, errors, metrics, patterns, quality, select
 from ..operators.patterns import SCALE
+from ..operators.store import written
 from ..plans import build_plan
 from ..sources.tables import CASE2, CHAIN, CUSTOMER_SCORED, CYCLE, LINES, VIEWS
 from . import twin
@@ -41,7 +42,7 @@ def script(which: str, kind: str = "swap", rate: float = RATE) -> twin.Script:
 def edges_for(spark, sf_dir, which, kind="swap", score="full", normalize="avg", weight="uniform", **plan_options):
     _, df, fds = dirty(spark, sf_dir, which, kind)
     plan = build_plan(fds, df.schema, **plan_options)
-    return quality.edge_quality(patterns.project(df, plan.attributes, "tid"), plan, score=score, normalize=normalize, weight=weight, keep=False)
+    return quality.edge_quality(written(patterns.project(df, plan.attributes, "tid")), plan, score=score, normalize=normalize, weight=weight)
 
 
 def _patterns() -> None:
@@ -52,7 +53,7 @@ def _patterns() -> None:
         def table(spark, sf_dir, which=which):
             _, df, fds = dirty(spark, sf_dir, which)
             plan = build_plan(fds, df.schema)
-            return patterns.pattern_table(patterns.project(df, plan.attributes, "tid"), plan)
+            return patterns.pattern_table(written(patterns.project(df, plan.attributes, "tid")), plan)
 
         add(f"pat_{which}", table, s.say(s.patterns_long()))
     s = script("orders")
@@ -76,7 +77,7 @@ def _patterns() -> None:
     def sized(spark, sf_dir):
         _, df, fds = dirty(spark, sf_dir, "orders")
         plan = build_plan(fds, df.schema)
-        return patterns.sizes(patterns.project(df, plan.attributes, "tid"), plan)
+        return patterns.sizes(written(patterns.project(df, plan.attributes, "tid")), plan)
 
     add("metric_sizes", sized, s.say(f"select (select sum(w)::bigint from {s.proj}) as n, (select count(*) from {s.proj}) as distinct_rows, (select count(*) from ({graph})) as edges, (select count(*) from ({nodes})) as nodes, (select max(k) from (select count(*) as k from ({graph}) group by fd, src)) as max_fan_out"))
 
@@ -90,7 +91,7 @@ def _patterns() -> None:
     def pairs(spark, sf_dir):
         df = VIEWS["customer_wide"](spark, sf_dir)
         plan = build_plan(CUSTOMER_SCORED, df.schema)
-        return compose.composable_pairs(patterns.pattern_table(patterns.project(df, plan.attributes, "tid"), plan), plan)
+        return compose.composable_pairs(patterns.pattern_table(written(patterns.project(df, plan.attributes, "tid")), plan), plan)
 
     from ..plans.fd import interaction
 
@@ -173,7 +174,7 @@ def _selection() -> None:
 
 def fixed(spark, sf_dir, which, kind="swap", strategy="hybrid", theta=0.5, **options) -> chase.RepairResult:
     _, df, fds = dirty(spark, sf_dir, which, kind)
-    return chase.repair(df, fds, "tid", strategy, theta, keep=False, **options)
+    return chase.repair(df, fds, "tid", strategy, theta, **options)
 
 
 def _repairs() -> None:
@@ -221,7 +222,7 @@ def _repairs() -> None:
 
     def scoped(spark, sf_dir):
         _, df, fds = dirty(spark, sf_dir, "orders")
-        r = chase.repair(df, fds, "tid", "greedy", keep=False, scope=F.col("c_mktsegment") == "BUILDING")
+        r = chase.repair(df, fds, "tid", "greedy", scope=F.col("c_mktsegment") == "BUILDING")
         return r.delta
 
     s = script("orders")
@@ -236,7 +237,7 @@ def _measures() -> None:
 
         def measured(spark, sf_dir, which=which, kind=kind, strategy=strategy, options=options):
             truth, df, fds = dirty(spark, sf_dir, which, kind)
-            r = chase.repair(df, fds, "tid", strategy, keep=False, **options)
+            r = chase.repair(df, fds, "tid", strategy, **options)
             return metrics.accuracy(df, r.df, truth, "tid", r.plan.free)
 
         add(f"metric_accuracy_{which}_{kind}", measured, s.say(s.accuracy()))
@@ -245,14 +246,14 @@ def _measures() -> None:
 
     def cost(spark, sf_dir):
         _, df, fds = dirty(spark, sf_dir, "orders")
-        r = chase.repair(df, fds, "tid", keep=False)
+        r = chase.repair(df, fds, "tid")
         return metrics.cost(df, r.df, "tid", r.plan.free)
 
     add("metric_cost", cost, s.say(" union all ".join(f"select '{a}' as attribute, sum(case when {a} is distinct from old_{a} then 1 else 0 end)::bigint as changed from {s.fixed}" for a in s.p.free)))
 
     def gained(spark, sf_dir):
         _, df, fds = dirty(spark, sf_dir, "orders")
-        return metrics.gain(chase.repair(df, fds, "tid", keep=False).df, df, fds)
+        return metrics.gain(chase.repair(df, fds, "tid").df, df, fds)
 
     before, after = twin.quality_of(s.dirty, CHAIN), twin.quality_of(s.fixed, CHAIN)
     add("metric_gain", gained, s.say(f"select b::bigint as before, a::bigint as after, (a - b)::bigint as gain from (select {before} as b, {after} as a)"))
@@ -285,7 +286,7 @@ def _natural() -> None:
 
         def run(spark, sf_dir, view=view, fds=fds):
             df = VIEWS[view](spark, sf_dir)
-            r = chase.repair(df, fds, "tid", keep=False)
+            r = chase.repair(df, fds, "tid")
             before, after = detect.violations(df, fds), detect.violations(r.df, fds)
             pair = before.select("fd", F.col("violating_groups").alias("before")).join(after.select("fd", F.col("violating_groups").alias("after")), "fd")
             return pair.crossJoin(r.cost())

@@ -61,7 +61,6 @@ def test_small_repair(t5, strategy):
     assert shown["Marcel Kittel"] == "[cyclist->country: Marcel Kittel -> Germany] > [country->capital: Germany -> Berlin]"
     assert r.explain(1).where("attribute = 'country'").count() == 2
     assert r.conflicts.count() == 0
-    r.unpersist()
 
 
 def test_cycle_bound_on_either_side(t6):
