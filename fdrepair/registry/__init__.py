@@ -1,6 +1,6 @@
 """All queries of the engine and their SQL."""
 
-from . import methods
+from . import experiments, methods
 
-QUERIES = dict(methods.QUERIES)
-ORACLES = dict(methods.ORACLES)
+QUERIES = methods.QUERIES | experiments.QUERIES
+ORACLES = methods.ORACLES | experiments.ORACLES
