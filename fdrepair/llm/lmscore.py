@@ -58,8 +58,8 @@ def word_counts(docs: DataFrame, text: str = "text") -> DataFrame:
 
 def vocabulary(docs: DataFrame, text: str = "text", size: int = VOCABULARY) -> np.ndarray:
     """Sorted hashes of the most frequent words, ``size`` at most."""
-    top = word_counts(docs, text).orderBy(F.desc("n"), "word").limit(size).select("word").toPandas()
-    return np.sort(top["word"].to_numpy(np.int64))
+    top = word_counts(docs, text).orderBy(F.desc("n"), "word").limit(size).select("word").toArrow()
+    return np.sort(top["word"].to_numpy())
 
 
 class Ids:
@@ -129,8 +129,8 @@ def models(docs: DataFrame, target: DataFrame, text: str = "text", size: int = V
     vocab = vocabulary(docs, text, size)
     made = []
     for part in (target, docs):
-        table = counts(part, vocab, text, buckets).toPandas()
-        made.append(Bigrams(table["key"].to_numpy(np.int64), table["n"].to_numpy(np.int64), len(vocab), buckets))
+        table = counts(part, vocab, text, buckets).toArrow()
+        made.append(Bigrams(table["key"].to_numpy(), table["n"].to_numpy(), len(vocab), buckets))
     return vocab, made[0], made[1]
 
 
@@ -155,8 +155,8 @@ def score(df: DataFrame, vocab: np.ndarray, target: Bigrams, background: Bigrams
 
 
 def labelled(docs: DataFrame, labels: DataFrame, label: str = "quality", value: int = 1, doc_id: str = "doc_id") -> DataFrame:
-    """The documents with the label."""
-    chosen = labels.where(labels[label] == value).select(labels[doc_id].alias("__id")).distinct()
+    """The documents with the label. Labels grow with the documents, so both sides are merged and none is broadcast."""
+    chosen = labels.where(labels[label] == value).select(labels[doc_id].alias("__id")).distinct().hint("merge")
     return docs.join(chosen, docs[doc_id] == chosen["__id"], "left_semi")
 
 
