@@ -184,7 +184,10 @@ def digests(found: DataFrame) -> DataFrame:
     """What the query returns of ``spans``."""
     base = F.transform("spans", lambda x: F.concat_ws(":", F.element_at(F.array(*map(F.lit, KINDS)), x.kind + 1), x.start.cast("string"), x.end.cast("string")))
     extra = F.transform("terms", lambda x: F.concat_ws(":", F.lit("term"), x.start.cast("string"), x.end.cast("string")))
-    counts = [F.size(F.filter("spans", lambda x, k=k: x.kind == k)).cast("long").alias(f"n_{name}") for k, name in enumerate(KINDS)]
+    def counted(k: int):
+        return F.size(F.filter("spans", lambda x: x.kind == k)).cast("long")
+
+    counts = [counted(k).alias(f"n_{name}") for k, name in enumerate(KINDS)]
     return found.select("doc_id", *counts, F.sha2(F.array_join(base, ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.concat(base, extra), ",").alias("spans"))
 
 
