@@ -28,13 +28,13 @@ class CoverResult:
 
 
 def group_votes(df: DataFrame, f: FD) -> DataFrame:
-    """g_<lhs>..., value, k: the most frequent value of each violating group (ties: the smaller) and how many values it has."""
+    """__g_<lhs>..., value, k: the most frequent value of each violating group (ties: the smaller) and how many values it has."""
     rows = df
     for a in (*f.lhs, f.rhs):
         rows = rows.where(F.col(a).isNotNull())
-    each = rows.groupBy(*[F.col(a).alias(f"g_{a}") for a in f.lhs], F.col(f.rhs).alias("v")).agg(F.count(F.lit(1)).alias("c"))
-    best = each.groupBy(*[f"g_{a}" for a in f.lhs]).agg(F.min(F.struct((-F.col("c")).alias("c"), "v")).alias("b"), F.count(F.lit(1)).alias("k"))
-    return best.where("k > 1").select(*[f"g_{a}" for a in f.lhs], F.col("b.v").alias("value"), "k")
+    each = rows.groupBy(*[F.col(a).alias(f"__g_{a}") for a in f.lhs], F.col(f.rhs).alias("__v")).agg(F.count(F.lit(1)).alias("__c"))
+    best = each.groupBy(*[f"__g_{a}" for a in f.lhs]).agg(F.min(F.struct((-F.col("__c")).alias("c"), F.col("__v").alias("v"))).alias("__b"), F.count(F.lit(1)).alias("__k"))
+    return best.where("__k > 1").select(*[f"__g_{a}" for a in f.lhs], F.col("__b.v").alias("value"), F.col("__k").alias("k"))
 
 
 def one_round(df: DataFrame, fds, tid: str) -> DataFrame:
@@ -43,16 +43,16 @@ def one_round(df: DataFrame, fds, tid: str) -> DataFrame:
     for attribute in dict.fromkeys(f.rhs for f in fds):
         mine = [f for f in fds if f.rhs == attribute]
         for k, f in enumerate(mine):
-            votes = group_votes(df, f).select(*[F.col(f"g_{a}") for a in f.lhs], F.col("value").alias(f"value{k}"))
-            out = out.join(votes, [out[a] == votes[f"g_{a}"] for a in f.lhs], "left").drop(*[f"g_{a}" for a in f.lhs])
-        told = [F.col(f"value{k}") for k in range(len(mine))]
+            votes = group_votes(df, f).select(*[F.col(f"__g_{a}") for a in f.lhs], F.col("value").alias(f"__value{k}"))
+            out = out.join(votes, [out[a] == votes[f"__g_{a}"] for a in f.lhs], "left").drop(*[f"__g_{a}" for a in f.lhs])
+        told = [F.col(f"__value{k}") for k in range(len(mine))]
         agreed = F.coalesce(*told)
         clash = F.lit(False)
         for t in told:
             clash = clash | (t.isNotNull() & (t != agreed))
         kind = df.schema[attribute].dataType
         fresh = F.concat(F.lit(f"{FRESH}{attribute}#"), F.col(tid).cast("string")) if isinstance(kind, StringType) else F.lit(None).cast(kind)
-        out = out.withColumn(attribute, F.when(clash, fresh).otherwise(F.coalesce(agreed, F.col(attribute)))).drop(*[f"value{k}" for k in range(len(mine))])
+        out = out.withColumn(attribute, F.when(clash, fresh).otherwise(F.coalesce(agreed, F.col(attribute)))).drop(*[f"__value{k}" for k in range(len(mine))])
     return out.select(*df.columns)
 
 

@@ -76,9 +76,9 @@ def known(plan: RepairPlan, f: FD) -> list[Column]:
 
 
 def chase(projected: DataFrame, plan: RepairPlan, decisions: dict[FD, DataFrame]) -> tuple[DataFrame, dict[FD, DataFrame]]:
-    """One row for each assignment: its key, min_tid, w, v_<attribute> for all attributes, conflict and a trace; and the repair tables."""
-    cur = projected.groupBy(*key_of(plan)).agg(F.min("min_tid").alias("min_tid"), F.sum("w").alias("w"))
-    cur = cur.withColumns({f"v_{a}": F.col(a) for a in plan.bound}).withColumn("conflict", F.lit(0)).withColumn("trace", F.array().cast("array<struct<fd:string,lhs:string,rhs:string,origin:string>>"))
+    """One row for each assignment: its key, __min_tid, __w, v_<attribute> for all attributes, __conflict and __trace; and the repair tables."""
+    cur = projected.groupBy(*key_of(plan)).agg(F.min("__min_tid").alias("__min_tid"), F.sum("__w").alias("__w"))
+    cur = cur.withColumns({f"v_{a}": F.col(a) for a in plan.bound}).withColumn("__conflict", F.lit(0)).withColumn("__trace", F.array().cast("array<struct<fd:string,lhs:string,rhs:string,origin:string>>"))
     tables: dict[FD, DataFrame] = {}
     assigned = set(plan.bound)
     for f in plan.fds:
@@ -86,31 +86,31 @@ def chase(projected: DataFrame, plan: RepairPlan, decisions: dict[FD, DataFrame]
         value = f"v_{f.rhs}"
         if f.rhs not in assigned:
             tables[f] = decision
-            cur = _looked_up(cur, plan, f, decision).withColumn(value, F.col("y"))
+            cur = _looked_up(cur, plan, f, decision).withColumn(value, F.col("__y"))
         else:
-            mine = cur.groupBy(*[c.alias(x(a)) for a, c in zip(f.lhs, known(plan, f))]).agg(F.min_by(value, F.when(F.col(value).isNotNull(), F.col("min_tid"))).alias("told"))
+            mine = cur.groupBy(*[c.alias(x(a)) for a, c in zip(f.lhs, known(plan, f))]).agg(F.min_by(value, F.when(F.col(value).isNotNull(), F.col("__min_tid"))).alias("told"))
             for a in f.lhs:
                 mine = mine.where(F.col(x(a)).isNotNull())
             both = mine.alias("m").join(decision.alias("d"), [F.col(f"m.{x(a)}") == F.col(f"d.{x(a)}") for a in f.lhs], "left")
             tables[f] = both.select(*[F.col(f"m.{x(a)}") for a in f.lhs], F.coalesce("told", "y").alias("y"), F.when(F.col("told").isNotNull(), "first_row").otherwise(F.col("origin")).alias("origin"))
             cur = _looked_up(cur, plan, f, tables[f])
-            cur = cur.withColumn("conflict", F.col("conflict") + F.when(F.col("y").isNotNull() & F.col(value).isNotNull() & (F.col("y") != F.col(value)), 1).otherwise(0))
+            cur = cur.withColumn("__conflict", F.col("__conflict") + F.when(F.col("__y").isNotNull() & F.col(value).isNotNull() & (F.col("__y") != F.col(value)), 1).otherwise(0))
             if plan.on_conflict == "overwrite":
-                cur = cur.withColumn(value, F.coalesce("y", value))
+                cur = cur.withColumn(value, F.coalesce("__y", value))
             else:
-                cur = cur.withColumn(value, F.coalesce(value, "y"))
+                cur = cur.withColumn(value, F.coalesce(value, "__y"))
         assigned.add(f.rhs)
-        step = F.struct(F.lit(f.name).alias("fd"), F.concat_ws("|", *[c.cast("string") for c in known(plan, f)]).alias("lhs"), F.col(value).cast("string").alias("rhs"), F.col("origin").alias("origin"))
-        cur = cur.withColumn("trace", F.concat("trace", F.array(step))).drop("y", "origin")
+        step = F.struct(F.lit(f.name).alias("fd"), F.concat_ws("|", *[c.cast("string") for c in known(plan, f)]).alias("lhs"), F.col(value).cast("string").alias("rhs"), F.col("__origin").alias("origin"))
+        cur = cur.withColumn("__trace", F.concat("__trace", F.array(step))).drop("__y", "__origin")
     return cur, tables
 
 
 def _looked_up(cur: DataFrame, plan: RepairPlan, f: FD, table: DataFrame) -> DataFrame:
-    """cur with y and origin of its left-side values."""
-    names = {x(a): f"k_{a}" for a in f.lhs}
-    t = table.select(*[F.col(a).alias(b) for a, b in names.items()], "y", "origin")
+    """cur with __y and __origin of its left-side values."""
+    names = {x(a): f"__k_{a}" for a in f.lhs}
+    t = table.select(*[F.col(a).alias(b) for a, b in names.items()], F.col("y").alias("__y"), F.col("origin").alias("__origin"))
     same = (lambda a, b: a.eqNullSafe(b)) if plan.nulls == "value" else (lambda a, b: a == b)
-    return cur.join(t, [same(c, F.col(f"k_{a}")) for a, c in zip(f.lhs, known(plan, f))], "left").drop(*names.values())
+    return cur.join(t, [same(c, F.col(f"__k_{a}")) for a, c in zip(f.lhs, known(plan, f))], "left").drop(*names.values())
 
 
 def merged(cur: DataFrame, plan: RepairPlan, edges: Edges) -> DataFrame:
@@ -133,8 +133,9 @@ def merged(cur: DataFrame, plan: RepairPlan, edges: Edges) -> DataFrame:
             votes = t if votes is None else votes.unionByName(t)
         sums = votes.join(found, "node").groupBy("root", "y").agg(F.sum("votes").alias("s"))
         best = sums.groupBy("root").agg(F.min(F.struct((-F.col("s")).alias("s"), "y")).getField("y").alias("y"))
-        cur = cur.withColumn("node", names[0]).join(found, "node", "left").join(best, "root", "left").withColumn(f"v_{attribute}", F.coalesce("y", f"v_{attribute}")).drop("node", "root", "y")
-    return cur.withColumn("conflict", F.lit(0))
+        told = found.select(F.col("node").alias("__node"), F.col("root").alias("__root")).join(best.select(F.col("root").alias("__root"), F.col("y").alias("__y")), "__root")
+        cur = cur.withColumn("__node", names[0]).join(told, "__node", "left").withColumn(f"v_{attribute}", F.coalesce("__y", f"v_{attribute}")).drop("__node", "__root", "__y")
+    return cur.withColumn("__conflict", F.lit(0))
 
 
 def expression(plan: RepairPlan) -> Column:
@@ -142,29 +143,29 @@ def expression(plan: RepairPlan) -> Column:
     shown = []
     for group in parts(plan.fds):
         wanted = F.array(*[F.lit(f.name) for f in group])
-        steps = F.filter("trace", lambda s: F.array_contains(wanted, s.fd) & s.rhs.isNotNull())
+        steps = F.filter("__trace", lambda s: F.array_contains(wanted, s.fd) & s.rhs.isNotNull())
         shown.append(F.array_join(F.transform(steps, lambda s: F.concat(F.lit("["), s.fd, F.lit(": "), s.lhs, F.lit(" -> "), s.rhs, F.lit("]"))), " > "))
     return F.array_join(F.filter(F.array(*shown), lambda t: t != ""), " & ")
 
 
 def apply(df: DataFrame, plan: RepairPlan, chased: DataFrame) -> DataFrame:
-    """The table with free attributes as chased (a value stays where the chase has none), old values in old_<attribute>.
+    """The table with free attributes as chased (a value stays where the chase has none), old values in __old_<attribute>.
 
     One join on the bound attributes, the only step that touches all columns.
     """
     key = key_of(plan)
     changing = plan.free if plan.on_conflict != "overwrite" else plan.attributes
-    small = chased.select(*[F.col(a).alias(f"k_{a}") for a in key], *[F.col(f"v_{a}").alias(f"n_{a}") for a in changing], F.col("conflict").alias("__conflict"))
-    met = df.join(small, [df[a].eqNullSafe(small[f"k_{a}"]) for a in key], "left")
-    return met.select(*[F.coalesce(F.col(f"n_{c}"), F.col(c)).alias(c) if c in changing else F.col(c) for c in df.columns], *[F.col(a).alias(f"old_{a}") for a in changing], "__conflict")
+    small = chased.select(*[F.col(a).alias(f"__k_{a}") for a in key], *[F.col(f"v_{a}").alias(f"__n_{a}") for a in changing], "__conflict")
+    met = df.join(small, [df[a].eqNullSafe(small[f"__k_{a}"]) for a in key], "left")
+    return met.select(*[F.coalesce(F.col(f"__n_{c}"), F.col(c)).alias(c) if c in changing else F.col(c) for c in df.columns], *[F.col(a).alias(f"__old_{a}") for a in changing], "__conflict")
 
 
 def changes(applied: DataFrame, attributes, tid: str) -> DataFrame:
     """tid, attribute, old, new of the cells that differ; only changed rows are unfolded."""
-    cells = [F.struct(F.lit(a).alias("attribute"), F.col(f"old_{a}").cast("string").alias("old"), F.col(a).cast("string").alias("new"), (~F.col(a).eqNullSafe(F.col(f"old_{a}"))).alias("differs")) for a in attributes]
+    cells = [F.struct(F.lit(a).alias("attribute"), F.col(f"__old_{a}").cast("string").alias("old"), F.col(a).cast("string").alias("new"), (~F.col(a).eqNullSafe(F.col(f"__old_{a}"))).alias("differs")) for a in attributes]
     any_change = F.lit(False)
     for a in attributes:
-        any_change = any_change | ~F.col(a).eqNullSafe(F.col(f"old_{a}"))
+        any_change = any_change | ~F.col(a).eqNullSafe(F.col(f"__old_{a}"))
     return applied.where(any_change).select(F.col(tid).alias("tid"), F.inline(F.array(*cells))).where("differs").drop("differs")
 
 
@@ -213,5 +214,5 @@ def finish(df: DataFrame, plan: RepairPlan, projected: DataFrame, edges: Edges |
     repaired = applied.select(*df.columns)
     if scope is not None:
         repaired = repaired.unionByName(df.where(~F.coalesce(scope, F.lit(False))))
-    conflicts = chased.where("conflict > 0")
+    conflicts = chased.where("__conflict > 0")
     return RepairResult(repaired, plan, chased, tables, edges, decisions, changes(applied, touched, tid), tid, conflicts)

@@ -19,10 +19,10 @@ def hit(tid: Column, salt: int, rate: float) -> Column:
 
 
 def swapped(df: DataFrame, column: str) -> DataFrame:
-    """v, other: for each value of a column the next one in order (the first after the last)."""
-    values = df.select(F.col(column).alias("v")).where("v is not null").distinct()
-    order = Window.orderBy("v")  # over distinct values of one column
-    return values.select("v", F.coalesce(F.lead("v").over(order), F.first("v").over(order)).alias("other"))
+    """__v, __other: for each value of a column the next one in order (the first after the last)."""
+    values = df.select(F.col(column).alias("__v")).where("__v is not null").distinct()
+    order = Window.orderBy("__v")  # over distinct values of one column
+    return values.select("__v", F.coalesce(F.lead("__v").over(order), F.first("__v").over(order)).alias("__other"))
 
 
 def inject(df: DataFrame, fds, tid: str, rate: float, seed: int = 1, kind: str = "swap", side: str = "rhs", detectable: bool = True) -> tuple[DataFrame, DataFrame]:
@@ -38,8 +38,8 @@ def inject(df: DataFrame, fds, tid: str, rate: float, seed: int = 1, kind: str =
         salt = k + 10 * seed
         chosen = hit(F.col(tid).cast("long"), salt, rate)
         if detectable:
-            groups = df.groupBy(*[F.col(a).alias(f"g_{a}") for a in f.lhs]).agg(F.count(F.lit(1)).alias("__size")).where("__size > 1")
-            keyed = df.join(groups, [df[a] == groups[f"g_{a}"] for a in f.lhs], "left_semi").where(chosen).select(F.col(tid).alias("__tid"))
+            groups = df.groupBy(*[F.col(a).alias(f"__g_{a}") for a in f.lhs]).agg(F.count(F.lit(1)).alias("__size")).where("__size > 1")
+            keyed = df.join(groups, [df[a] == groups[f"__g_{a}"] for a in f.lhs], "left_semi").where(chosen).select(F.col(tid).alias("__tid"))
             out = out.join(keyed.withColumn("__hit", F.lit(True)), out[tid] == keyed["__tid"], "left").drop("__tid").withColumn("__hit", F.coalesce("__hit", F.lit(False)))
         else:
             out = out.withColumn("__hit", chosen)
@@ -47,13 +47,13 @@ def inject(df: DataFrame, fds, tid: str, rate: float, seed: int = 1, kind: str =
         typo = value + 1000 if isinstance(df.schema[column].dataType, NumericType) else F.concat(value, F.lit("~"))
         if kind in ("swap", "mix"):
             others = swapped(df, column)
-            out = out.join(others, out[column] == others["v"], "left").drop("v")
+            out = out.join(others, out[column] == others["__v"], "left").drop("__v")
             even = F.pmod(F.col(tid).cast("long"), F.lit(2)) == 0
-            wrong = F.col("other") if kind == "swap" else F.when(even, F.col("other")).otherwise(typo)
+            wrong = F.col("__other") if kind == "swap" else F.when(even, F.col("__other")).otherwise(typo)
         else:
             wrong = typo if kind == "typo" else F.lit(None)
         truth.setdefault(column, True)
-        out = out.withColumn(column, F.when(F.col("__hit"), wrong.cast(df.schema[column].dataType)).otherwise(value)).drop("__hit", "other")
+        out = out.withColumn(column, F.when(F.col("__hit"), wrong.cast(df.schema[column].dataType)).otherwise(value)).drop("__hit", "__other")
     out = out.select(*df.columns)
     cells = list(truth)
     left, right = df.select(F.col(tid).alias("t"), *[F.col(c).alias(f"t_{c}") for c in cells]), out.select(F.col(tid).alias("d"), *[F.col(c).alias(f"d_{c}") for c in cells])

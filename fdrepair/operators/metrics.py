@@ -43,7 +43,7 @@ def instance_quality(df: DataFrame, fds) -> DataFrame:
         rows = df
         for a in f.attributes:
             rows = rows.where(F.col(a).isNotNull())
-        part = rows.groupBy(*f.lhs, f.rhs).agg(F.count(F.lit(1)).alias("c")).agg(F.coalesce(F.sum(F.col("c") * F.col("c")), F.lit(0)).alias("q"))
+        part = rows.groupBy(*f.lhs, f.rhs).agg(F.count(F.lit(1)).alias("__c")).agg(F.coalesce(F.sum(F.col("__c") * F.col("__c")), F.lit(0)).alias("q"))
         out = part if out is None else out.unionByName(part)
     return out.agg(F.sum("q").alias("quality"))
 

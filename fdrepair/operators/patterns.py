@@ -16,11 +16,11 @@ def x(attribute: str) -> str:
 
 
 def project(df: DataFrame, attributes, tid: str) -> DataFrame:
-    """The distinct values of the attributes with w (how many rows) and min_tid (the first of them).
+    """The distinct values of the attributes with __w (how many rows) and __min_tid (the first of them).
 
     Everything that follows works on this: one shuffle after a partial aggregation, few columns of the table read.
     """
-    return df.groupBy(*attributes).agg(F.count(F.lit(1)).alias("w"), F.min(tid).alias("min_tid"))
+    return df.groupBy(*attributes).agg(F.count(F.lit(1)).alias("__w"), F.min(tid).alias("__min_tid"))
 
 
 def simple(projected: DataFrame, f: FD, nulls: str = "missing") -> DataFrame:
@@ -28,13 +28,13 @@ def simple(projected: DataFrame, f: FD, nulls: str = "missing") -> DataFrame:
 
     n is the number of rows of the table. Patterns with a null on either side are no patterns unless nulls count as values.
     """
-    total = F.broadcast(projected.agg(F.sum("w").alias("n")))  # one row
+    total = F.broadcast(projected.agg(F.sum("__w").alias("n")))  # one row
     rows = projected
     if nulls == "missing":
         for a in (*f.lhs, f.rhs):
             rows = rows.where(F.col(a).isNotNull())
     left = [F.col(a).alias(x(a)) for a in f.lhs]
-    counted = rows.groupBy(*left, F.col(f.rhs).alias("y")).agg(F.sum("w").alias("cnt"), F.min("min_tid").alias("first_tid"))
+    counted = rows.groupBy(*left, F.col(f.rhs).alias("y")).agg(F.sum("__w").alias("cnt"), F.min("__min_tid").alias("first_tid"))
     full = counted.withColumn("lhs_cnt", F.sum("cnt").over(Window.partitionBy(*map(x, f.lhs)))).crossJoin(total)
     share = lambda a, b: F.floor(F.col(a).cast("double") / F.col(b) * SCALE).cast("long")
     return full.withColumns({"conf_fp": share("cnt", "lhs_cnt"), "sup_fp": share("cnt", "n")})
@@ -57,7 +57,7 @@ def pattern_table(projected: DataFrame, plan: RepairPlan) -> DataFrame:
 def pattern_counts_one_pass(projected: DataFrame, plan: RepairPlan) -> DataFrame:
     """fd, lhs, rhs, cnt of all FDs by one aggregation over grouping sets; for tables whose projection can't be kept."""
     sides = [F.array(*[F.struct(F.lit(f.name).alias("fd"), F.concat_ws("|", *[F.col(a).cast("string") for a in f.lhs]).alias("lhs"), F.col(f.rhs).cast("string").alias("rhs"), F.array_contains(F.array(*[F.col(a).isNull() for a in (*f.lhs, f.rhs)]), True).alias("gap")) for f in plan.fds])]
-    return projected.select("w", F.inline(sides[0])).where("not gap").groupBy("fd", "lhs", "rhs").agg(F.sum("w").alias("cnt"))
+    return projected.select("__w", F.inline(sides[0])).where("not gap").groupBy("fd", "lhs", "rhs").agg(F.sum("__w").alias("cnt"))
 
 
 def instance_graph(patterns: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -78,5 +78,5 @@ def sizes(projected: DataFrame, plan: RepairPlan) -> DataFrame:
     table = pattern_table(projected, plan)
     nodes, edges = instance_graph(table)
     fan = edges.groupBy("fd", "src").agg(F.count(F.lit(1)).alias("k"))
-    one = projected.agg(F.sum("w").alias("n"), F.count(F.lit(1)).alias("distinct_rows"))
+    one = projected.agg(F.sum("__w").alias("n"), F.count(F.lit(1)).alias("distinct_rows"))
     return one.crossJoin(edges.agg(F.count(F.lit(1)).alias("edges"))).crossJoin(nodes.agg(F.count(F.lit(1)).alias("nodes"))).crossJoin(fan.agg(F.max("k").alias("max_fan_out")))

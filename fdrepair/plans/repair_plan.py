@@ -59,17 +59,18 @@ def bound_free(fds: Sequence[FD], prefer: Iterable[str] = (), seed: int | None =
     rhs = {f.rhs for f in fds}
     seen = list(dict.fromkeys(a for f in fds for a in (*f.lhs, f.rhs)))
     bound = [a for a in seen if a not in rhs]
-    for part in fds_.sccs(fds_.dependency_graph(fds)):
-        if len(part) > 1 and not any(f.rhs in part and not set(f.lhs) & set(part) for f in fds):
-            members = [a for a in seen if a in part]
-            wanted = [a for a in prefer if a in members]
-            if wanted:
-                chosen = wanted[0]
-            elif distinct:
-                chosen = max(members, key=lambda a: (distinct.get(a, 0), -members.index(a)))
-            else:
-                chosen = random.Random(seed).choice(members) if seed is not None else members[0]
-            bound.append(chosen)
+    layered = [part for _, part in fds_.layers(fds_.dependency_graph(fds))]
+    while missing := set(seen) - fds_.closure(bound, fds):  # a cycle through composite left sides may need several
+        part = next(part for part in layered if missing & set(part))
+        members = [a for a in seen if a in part and a in missing]
+        wanted = [a for a in prefer if a in members]
+        if wanted:
+            chosen = wanted[0]
+        elif distinct:
+            chosen = max(members, key=lambda a: (distinct.get(a, 0), -members.index(a)))
+        else:
+            chosen = random.Random(seed).choice(members) if seed is not None else members[0]
+        bound.append(chosen)
     return tuple(a for a in seen if a in bound), tuple(a for a in seen if a not in bound)
 
 

@@ -210,7 +210,7 @@ def _repairs() -> None:
             add(f"expr_{stem}", lambda spark, d, a=(which, kind, strategy), o=options: fixed(spark, d, *a, **o).expressions, s.say(s.expressions()))
         if name in ("repair_case2_keep_first", "repair_orders_cycle"):
             key = ", ".join(s.key_columns)
-            add(f"conflicts_{stem}", lambda spark, d, a=(which, kind, strategy), o=options: (lambda r: r.conflicts.select(*chase.key_of(r.plan), "conflict"))(fixed(spark, d, *a, **o)), s.say(f"select {key}, conflict from {s.cur} where conflict > 0"))
+            add(f"conflicts_{stem}", lambda spark, d, a=(which, kind, strategy), o=options: (lambda r: r.conflicts.select(*chase.key_of(r.plan), F.col("__conflict").alias("conflict")))(fixed(spark, d, *a, **o)), s.say(f"select {key}, conflict from {s.cur} where conflict > 0"))
     s = script("orders")
     s.repair(CHAIN, "hybrid")
     lines = [f"select '{f.rhs}' as attribute, '{f.name}' as fd, {', '.join(f'{a}::varchar' for a in f.lhs)} as lhs, {f.rhs}::varchar as rhs from {s.fixed} where tid = 7" for f in s.p.fds]
