@@ -105,15 +105,15 @@ def _aggregates() -> None:
 
 
 def _windows() -> None:
-    by_user = Window.partitionBy("user_id").orderBy("ts", "event_id")
+    by_user = lambda: Window.partitionBy("user_id").orderBy("ts", "event_id")
     ev = lambda s, d: table(s, d, "events")
     w = "over (partition by user_id order by ts, event_id"
     add("op_win_rank", lambda s, d: table(s, d, "orders").select("o_orderkey", *[f.over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")).alias(n) for f, n in ((F.rank(), "r"), (F.dense_rank(), "dr"))], F.round(F.percent_rank().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")), 6).alias("pr"), F.round(F.cume_dist().over(Window.partitionBy("o_custkey").orderBy("o_orderpriority")), 6).alias("cd")), "select o_orderkey, rank() over w as r, dense_rank() over w as dr, round(percent_rank() over w, 6) as pr, round(cume_dist() over w, 6) as cd from orders window w as (partition by o_custkey order by o_orderpriority)")
-    add("op_win_lag", lambda s, d: ev(s, d).select("event_id", F.lag("event_type").over(by_user).alias("before"), F.lead("event_id", 2).over(by_user).alias("after")), f"select event_id, lag(event_type) {w}) as before, lead(event_id, 2) {w}) as after from events")
-    add("op_win_ntile", lambda s, d: ev(s, d).select("event_id", F.ntile(4).over(by_user).alias("quarter"), F.row_number().over(by_user).alias("n")), f"select event_id, ntile(4) {w}) as quarter, row_number() {w}) as n from events")
-    add("op_win_rows_frame", lambda s, d: ev(s, d).select("event_id", F.sum("event_id").over(by_user.rowsBetween(-2, 0)).alias("last3")), f"select event_id, (sum(event_id) {w} rows between 2 preceding and current row))::bigint as last3 from events")
+    add("op_win_lag", lambda s, d: ev(s, d).select("event_id", F.lag("event_type").over(by_user()).alias("before"), F.lead("event_id", 2).over(by_user()).alias("after")), f"select event_id, lag(event_type) {w}) as before, lead(event_id, 2) {w}) as after from events")
+    add("op_win_ntile", lambda s, d: ev(s, d).select("event_id", F.ntile(4).over(by_user()).alias("quarter"), F.row_number().over(by_user()).alias("n")), f"select event_id, ntile(4) {w}) as quarter, row_number() {w}) as n from events")
+    add("op_win_rows_frame", lambda s, d: ev(s, d).select("event_id", F.sum("event_id").over(by_user().rowsBetween(-2, 0)).alias("last3")), f"select event_id, (sum(event_id) {w} rows between 2 preceding and current row))::bigint as last3 from events")
     add("op_win_range_frame", lambda s, d: table(s, d, "part").select("p_partkey", F.count(F.lit(1)).over(Window.partitionBy("p_brand").orderBy("p_size").rangeBetween(-3, 3)).alias("near")), "select p_partkey, count(*) over (partition by p_brand order by p_size range between 3 preceding and 3 following) as near from part")
-    add("op_win_first_last", lambda s, d: ev(s, d).select("event_id", F.first("event_type").over(by_user).alias("first_type"), F.last("event_type").over(by_user.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last_type"), F.nth_value("event_id", 3).over(by_user.rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("third")), f"select event_id, first_value(event_type) {w}) as first_type, last_value(event_type) {w} rows between unbounded preceding and unbounded following) as last_type, nth_value(event_id, 3) {w} rows between unbounded preceding and unbounded following) as third from events")
+    add("op_win_first_last", lambda s, d: ev(s, d).select("event_id", F.first("event_type").over(by_user()).alias("first_type"), F.last("event_type").over(by_user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("last_type"), F.nth_value("event_id", 3).over(by_user().rowsBetween(Window.unboundedPreceding, Window.unboundedFollowing)).alias("third")), f"select event_id, first_value(event_type) {w}) as first_type, last_value(event_type) {w} rows between unbounded preceding and unbounded following) as last_type, nth_value(event_id, 3) {w} rows between unbounded preceding and unbounded following) as third from events")
     add("op_sort_limit", lambda s, d: table(s, d, "part").orderBy(F.desc("p_retailprice"), "p_partkey").limit(10).select("p_partkey"), "select p_partkey from part order by p_retailprice desc, p_partkey limit 10")
     add("op_offset", lambda s, d: table(s, d, "part").orderBy("p_partkey").offset(20).limit(10).select("p_partkey", "p_name"), "select p_partkey, p_name from part order by p_partkey limit 10 offset 20")
     add("op_topk_group", lambda s, d: table(s, d, "orders").withColumn("k", F.row_number().over(Window.partitionBy("o_custkey").orderBy(F.desc("o_totalprice"), "o_orderkey"))).where("k <= 2").select("o_custkey", "o_orderkey", "k"), "select o_custkey, o_orderkey, k from (select *, row_number() over (partition by o_custkey order by o_totalprice desc, o_orderkey) as k from orders) where k <= 2")
