@@ -216,3 +216,36 @@ def finish(df: DataFrame, plan: RepairPlan, projected: DataFrame, edges: Edges |
         repaired = repaired.unionByName(df.where(~F.coalesce(scope, F.lit(False))))
     conflicts = chased.where("__conflict > 0")
     return RepairResult(repaired, plan, chased, tables, edges, decisions, changes(applied, touched, tid), tid, conflicts)
+
+
+def repair_until_stable(df: DataFrame, fds, tid: str, strategy: str = "hybrid", max_rounds: int = 5, **options) -> tuple[RepairResult, int]:
+    """(the last round's result, rounds): repairs the repaired table again until nothing changes.
+
+    Needed only where left sides are read from the input or where conflicts remain; a chain is stable after one round. The number of
+    changed cells is all that the driver sees of a round.
+    """
+    current, result, rounds = df, None, 0
+    for rounds in range(1, max_rounds + 1):
+        result = repair(current, fds, tid, strategy, **options)
+        if result.delta.isEmpty():
+            break
+        current = written(result.df)
+    return result, rounds
+
+
+def deferred(edges: Edges, f: FD) -> DataFrame:
+    """x_<lhs>, y, rounds: decisions for an FD of a cycle in which no two left sides share a right side where that can be avoided.
+
+    In each round every left side without a value claims its best value that is still free, and each value keeps its best
+    claimant (quality, count, then the smaller left side); the others claim their next best. Rounds end when nothing is claimed.
+    """
+    key = x(f.lhs[0])
+    rest = written(edges.tables[f].select(key, "y", "quality_fp", "cnt"))
+    kept, n = None, 0
+    while not rest.isEmpty():
+        n += 1
+        claim = rest.groupBy(key).agg(F.min(F.struct((-F.col("quality_fp")).alias("q"), (-F.col("cnt")).alias("c"), "y")).alias("b")).select(key, "b.*")
+        won = written(claim.groupBy("y").agg(F.min(F.struct("q", "c", key)).alias("b")).select(F.col(f"b.{key}").alias(key), "y", F.lit(n).alias("rounds")))
+        kept = won if kept is None else kept.unionByName(won)
+        rest = written(rest.join(won.select(key), key, "left_anti").join(won.select("y"), "y", "left_anti"))
+    return kept if kept is not None else rest.select(key, "y", F.lit(0).alias("rounds"))

@@ -91,3 +91,15 @@ def test_case2_counterexample(spark):
     merged = chase.repair(df, "a -> c; b -> c", "tid", on_conflict="component")
     assert {r.c for r in merged.df.collect()} == {"c1"}
     assert {(r.fd, r.lhs): r.rhs for r in kept.repair_tables().collect()}[("b->c", "b1")] == "c1"
+
+
+def test_repeated_rounds(t6):
+    r, rounds = chase.repair_until_stable(t6, FOUR, "tid", "greedy", prefer_bound=["cyclist"], lhs_source="input")
+    assert r.cost().first()[0] == 0 and 1 < rounds <= 5
+
+
+def test_deferred_claims(t6):
+    e = edges_of(t6, FOUR, prefer_bound=["rank"])
+    got = {r.x_rank: (r.y, r.rounds) for r in chase.deferred(e, FD(("rank",), "cyclist")).collect()}
+    # 133 and 166 both lead to one cyclist; the better claimant keeps it and 166 takes its other one
+    assert len({y for y, _ in got.values()}) == len(got) and set(got) == {166, 133, 21, 98}
