@@ -3,8 +3,8 @@
 1. quality: documents that the compression classifier scores below 0.3 go;
 2. near_duplicates: one document of each near-duplicate group stays;
 3. decontamination: documents that leak a benchmark item go;
-4. personal_data: personal data and terms that disclose it are replaced in the texts;
-5. tokens: the texts' ids, as a list and as digests.
+4. personal_data: personal data and terms that disclose it are replaced in the texts, and n_chars follows;
+5. tokens: the texts' ids, as digests (``bpe.encode`` gives the lists).
 """
 
 from __future__ import annotations
@@ -12,13 +12,12 @@ from __future__ import annotations
 import os
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from fdrepair.llm import bpe, decontaminate, neardup, pii, quality
 from fdrepair.llm.common import table
 from fdrepair.llm.queries import tokenizer
 
-COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = quality.fit(docs, table(spark, sf_dir, "labels"))
@@ -34,7 +33,7 @@ def keep_uncontaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Da
 
 
 def sanitised(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pii.sanitise(docs).select(*docs.columns)
+    return pii.sanitise(docs).withColumn("n_chars", F.length("text").cast("long")).select(*docs.columns)
 
 
 def encoded(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
