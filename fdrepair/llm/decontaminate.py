@@ -22,26 +22,27 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, rolled
+from .common import rolled
 
 WINDOW = 8
 SHORTEST = 6
 LITERALS = 5  # of a window's tokens, so many at least are no placeholders
 BLOCK_WINDOWS = 2_000_000
+HELD_TOKENS = 400_000
 # Units that follow a number.
 UNITS = frozenset("mm cm m km in ft yd mi mg g kg lb oz ml l s sec min h hr hours hour minutes seconds days day weeks week months years usd eur dollars cents euros percent mph kmh".split())
-_token = re.compile(r"[^\W_]+(?:['’.,][^\W_]+)*|%|[$€£]|[.!?\n]").finditer
+_token = re.compile(r"[^\W_]+(?:['’.,][^\W_]+)*|%|[$€£]|[.!?\n]").findall
 NUMBER, NAME, UNIT = "\x00n", "\x00p", "\x00u"
 
 
 def template(text: str | None) -> tuple[list[str], list[str]]:
     """Template tokens of a text and the value that each stands for."""
     kinds, values, fresh, after_number = [], [], True, False
-    for match in _token(text or ""):
-        t = match[0]
+    for t in _token(text or ""):
         if t in ".!?\n":
             fresh, after_number = True, False
             continue
@@ -62,37 +63,72 @@ def template(text: str | None) -> tuple[list[str], list[str]]:
     return kinds, values
 
 
+END, DIGIT, CAPITAL, MEASURE, SIGN = 1, 2, 4, 8, 16
+FLAGS = np.uint64(31)
+
+
+class Codes(dict):
+    """Of each token, what ``template`` looks at (low bits) and a hash of its lower-case form; remembered up to a bound."""
+
+    def __missing__(self, t: str) -> int:
+        low = t.lower()
+        flags = END * (t in ".!?\n") | DIGIT * t[0].isdigit() | CAPITAL * (t[0].isupper() and t[1:].islower()) | MEASURE * (low in UNITS) | SIGN * (t in "$€£%")
+        value = xxhash.xxh64_intdigest(low) & ~31 | flags
+        if len(self) >= HELD_TOKENS:
+            self.clear()
+        self[t] = value
+        return value
+
+    def template(self, text: str | None) -> np.ndarray:
+        """A hash of each template token, as ``template`` gives them, by arrays."""
+        tokens = _token(text or "")
+        codes = np.fromiter(map(self.__getitem__, tokens), np.uint64, len(tokens))
+        flags = (codes & FLAGS).astype(np.uint8)
+        before = np.concatenate(([END], flags[:-1])).astype(np.uint8) if len(flags) else flags
+        number = flags & DIGIT > 0
+        unit = ~number & ((flags & MEASURE > 0) & (before & DIGIT > 0) | (flags & SIGN > 0))
+        name = ~number & ~unit & (flags & CAPITAL > 0) & (before & END == 0)
+        kinds = np.where(number, np.uint64(1), np.where(unit, np.uint64(2), np.where(name, np.uint64(3), codes & ~FLAGS)))
+        return kinds[flags & END == 0]
+
+
 class Index:
     """Windows of a block of benchmark items by hash."""
 
     def __init__(self, items: list[tuple[int, str]], window: int = WINDOW) -> None:
-        hashes, self.window = WordHashes(), window
+        codes, self.window = Codes(), window
+        items = [(i, t) for i, t in items if t]
         self.items = [(i, *template(t)) for i, t in items]
         self.at: dict[int, list[tuple[int, int, int]]] = {}
         self.widths = set()
-        for k, (_, kinds, _) in enumerate(self.items):
+        for k, ((_, kinds, _), (_, text)) in enumerate(zip(self.items, items)):
             width = min(window, len(kinds))
             if width < min(window, SHORTEST):
                 continue
             self.widths.add(width)
-            for p, h in enumerate(rolled(hashes.array(kinds), width).tolist()):
+            for p, h in enumerate(rolled(codes.template(text), width).tolist()):
                 if sum(x[0] != "\x00" for x in kinds[p : p + width]) >= min(LITERALS, width):
                     self.at.setdefault(h ^ width, []).append((k, p, width))
         self.keys = np.sort(np.fromiter(self.at, np.uint64, len(self.at)))
         self.filter = np.zeros(1 << 20, bool)
         self.filter[(self.keys >> np.uint64(44)).astype(np.int64)] = True
 
-    def matches(self, text: str | None, hashes: WordHashes) -> list[tuple[int, int, int, int]]:
+    def matches(self, text: str | None, codes: Codes) -> list[tuple[int, int, int, int]]:
         """(item, runs matched, runs of the item, runs that are verbatim) of the items that the text leaks."""
-        kinds, values = template(text)
-        found: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
-        ids = hashes.array(kinds)
+        ids = codes.template(text)
+        hits = []
         for width in self.widths:
             run = rolled(ids, width) ^ np.uint64(width)
-            for p in np.flatnonzero(self.filter[(run >> np.uint64(44)).astype(np.int64)]).tolist():
-                for k, q, w in self.at.get(int(run[p]), ()):
-                    if w == width and self.items[k][1][q : q + w] == kinds[p : p + w]:
-                        found.setdefault((k, p - q), []).append((p, q, w))
+            near = np.flatnonzero(self.filter[(run >> np.uint64(44)).astype(np.int64)])
+            hits += [(width, p, int(run[p])) for p in near.tolist() if int(run[p]) in self.at]
+        if not hits:
+            return []
+        kinds, values = template(text)
+        found: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
+        for width, p, h in hits:
+            for k, q, w in self.at[h]:
+                if w == width and self.items[k][1][q : q + w] == kinds[p : p + w]:
+                    found.setdefault((k, p - q), []).append((p, q, w))
         best: dict[int, tuple[int, int]] = {}
         for (k, _), runs in found.items():
             forth: dict[tuple[str, str], str] = {}
@@ -134,9 +170,9 @@ def _matcher(items: list[tuple[int, str]], window: int):
         if key not in _indexes:
             _indexes.clear()
             _indexes[key] = Index(items, window)
-        index, hashes = _indexes[key], WordHashes()
+        index, codes = _indexes[key], Codes()
         for part in parts:
-            yield pd.Series([[dict(zip(("item_id", "runs", "item_runs", "verbatim"), m)) for m in index.matches(t, hashes)] for t in part])
+            yield pd.Series([[dict(zip(("item_id", "runs", "item_runs", "verbatim"), m)) for m in index.matches(t, codes)] for t in part])
 
     return of.asNondeterministic()
 

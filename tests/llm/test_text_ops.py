@@ -159,6 +159,15 @@ def test_decontamination(spark, docs, empty):
     assert decontaminate.leaks(empty, bench).count() == 0
 
 
+@settings(max_examples=300, deadline=None)
+@given(st.lists(st.sampled_from(["Alice", "alice", "A", "12", "kg", "Kg", "%", "$", ".", "\n", "3.5", "don't", "McDonald", "x", "é"]), max_size=14).map(" ".join))
+def test_template_by_arrays(text):
+    kinds, _ = decontaminate.template(text)
+    hashes = decontaminate.Codes().template(text).tolist()
+    assert len(kinds) == len(hashes)
+    assert len(set(zip(kinds, hashes))) == len(set(kinds)) == len(set(hashes))
+
+
 def test_decontamination_in_blocks(spark, monkeypatch):
     items = [(k, " ".join(f"w{k}x{j}" for j in range(20))) for k in range(6)]
     monkeypatch.setattr(decontaminate, "BLOCK_WINDOWS", 30)
