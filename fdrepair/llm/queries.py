@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import bpe, decontaminate, lmscore, media, neardup, pages, pii, quality, substrings, toxicity
+from . import bpe, decontaminate, lmscore, media, neardup, oracles, pages, pii, quality, substrings, toxicity
 from .common import crc_mod, table
 
 
@@ -63,4 +63,4 @@ def op10_neardup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_bpe, op2_pages, op3_media, op4_lmscore, op5_substrings, op6_toxicity, op7_decontaminate, op8_quality, op9_pii, op10_neardup)}
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {"op5_substrings": oracles.SUBSTRINGS, "op10_neardup": oracles.NEAR_DUPLICATES}
