@@ -294,5 +294,20 @@ def _natural() -> None:
         add(name, run, s.say(f"select b.fd, b.violating_groups as before, a.violating_groups as after, (select count(*) from ({s.delta()})) as changed from ({twin.violations(s.dirty, fds)}) b join ({twin.violations(s.fixed, fds)}) a using (fd)"))
 
 
-for part in (_patterns, _quality, _selection, _repairs, _measures, _natural):
+def _incremental() -> None:
+    from ..operators import incremental
+    from ..plans import FD
+
+    f = FD(("user_id",), "event_type")
+
+    def halves(spark, sf_dir):
+        df = VIEWS["events_user"](spark, sf_dir)
+        return incremental.counted(df.where("tid % 3 > 0"), f, "tid"), incremental.counted(df.where("tid % 3 = 0"), f, "tid")
+
+    add("incremental_counts", lambda spark, d: incremental.merged(*halves(spark, d), f), "select user_id as x_user_id, event_type as y, count(*) as cnt, min(event_id) as first_tid from events group by all")
+    best = "select user_id, first(event_type order by c desc, event_type) as y from (select user_id, event_type, count(*) as c from events where {} group by all) group by user_id"
+    add("incremental_affected", lambda spark, d: incremental.affected(*halves(spark, d), f), f"select a.user_id as x_user_id from ({best.format('true')}) a left join ({best.format('event_id % 3 > 0')}) b using (user_id) where a.y is distinct from b.y and user_id in (select user_id from events where event_id % 3 = 0)")
+
+
+for part in (_incremental, _patterns, _quality, _selection, _repairs, _measures, _natural):
     part()

@@ -10,7 +10,7 @@ import pytest
 from fdrepair.registry import ORACLES, QUERIES
 
 SF = "/root/testdata/sf0.001"
-PICKED = [n for n in ORACLES if n.startswith(("op_", "fn_", "udf", "udtf", "udaf", "pat_", "compose_", "errors_", "detect_", "discover_", "example_", "repair_orders_hybrid", "repair_case2", "repair_customer", "select_hybrid_line", "quality_closing", "expr_", "metric_gain", "base_", "stream_tumbling", "stream_stateful"))]
+PICKED = [n for n in ORACLES if n.startswith(("op_", "fn_", "udf", "udtf", "udaf", "pat_", "compose_", "errors_", "detect_", "discover_", "example_", "repair_orders_hybrid", "repair_case2", "repair_customer", "select_hybrid_line", "quality_closing", "expr_", "metric_gain", "base_", "stream_tumbling", "stream_stateful", "incremental_"))]
 
 
 @pytest.fixture(scope="module")
