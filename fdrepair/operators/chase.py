@@ -18,7 +18,7 @@ from .components import components
 from .patterns import SCALE, project, x
 from .quality import Edges, edge_quality
 from .select import choose, long
-from .store import written
+from .store import written, written_all
 
 
 @dataclass
@@ -199,7 +199,7 @@ def repair(
     edges = edge_quality(projected, plan, score=score, normalize=normalize, weight=weight, keep=keep)
     decisions = choose(edges, strategy, theta=theta, theta_on=theta_on, strict=strict, anchor=anchor)
     if keep:
-        decisions = {f: written(t) for f, t in decisions.items()}
+        decisions = written_all(decisions)
     return finish(df, plan, projected, edges, decisions, tid, scope)
 
 

@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 
 from ..plans import FD, RepairPlan
 from .patterns import SCALE, simple, x
-from .store import written
+from .store import written_all
 
 N_SCALE = 1_000_000  # weighted numbers of reachable patterns are kept as integers of so many parts
 
@@ -128,7 +128,7 @@ def edge_quality(projected: DataFrame, plan: RepairPlan, *, score: str = "full",
     """
     tables = {f: simple(projected, f, plan.nulls) for f in plan.fds}
     if keep:
-        tables = {f: written(t) for f, t in tables.items()}
+        tables = written_all(tables)
     by_path = plan.reach == "path" or weight != "uniform"
     done: dict[FD, DataFrame] = {}
     closures: dict[str, DataFrame] = {}

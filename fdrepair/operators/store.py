@@ -3,7 +3,10 @@
 from __future__ import annotations
 
 import os
+from collections.abc import Hashable
+from concurrent.futures import ThreadPoolExecutor
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame
 
 
@@ -14,3 +17,13 @@ def written(df: DataFrame) -> DataFrame:
     path = f"{base}/tables/{spark.sparkContext.applicationId}-{os.urandom(8).hex()}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+def written_all(tables: dict[Hashable, DataFrame]) -> dict[Hashable, DataFrame]:
+    """Several tables that do not depend on each other, written side by side."""
+    if len(tables) < 2:
+        return {k: written(t) for k, t in tables.items()}
+    session = next(iter(tables.values())).sparkSession
+    with ThreadPoolExecutor(min(8, len(tables))) as pool:
+        jobs = {k: pool.submit(inheritable_thread_target(session)(written), t) for k, t in tables.items()}
+        return {k: job.result() for k, job in jobs.items()}
