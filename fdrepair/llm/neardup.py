@@ -13,7 +13,7 @@ with a probability of 4e-5). Texts with the same words are one node from the sta
 ``SMALL`` nodes proposes all its pairs; a larger one proposes its members' links to its
 least and its greatest node, and each node one more link to a hash-chosen member among its buckets, so
 that proposals grow linearly. Every proposed pair is checked exactly, and links of
-similarity >= ``SIMILARITY`` join nodes to classes by label propagation.
+similarity >= ``SIMILARITY`` join nodes to classes.
 
 Defined results: texts without words (null, empty, blank) are alone in their class, also if equal;
 repeated rows with the same id are one document; a null id stays null and alone; an empty table
@@ -31,6 +31,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..operators.components import components
 from .common import WordHashes, checkpointed, mix64, rolled
 
 WORDS = 5
@@ -177,25 +178,6 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float = SIMILARITY)
     return full.select("a", "b", of.asNondeterministic()("ta", "tb").alias("similarity")).where(F.col("similarity") >= threshold)
 
 
-def components(links: DataFrame, limit: int = 60) -> DataFrame:
-    """node, root: the least node of each connected component of the links (a, b); nodes without links don't occur.
-
-    Each round every node takes the least label among its neighbours', and then that label's own label.
-    """
-    edges = checkpointed(links.select("a", "b").union(links.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
-    labels = edges.groupBy(F.col("a").alias("node")).agg(F.min("b").alias("m")).select("node", F.least("node", "m").alias("root"))
-    labels = checkpointed(labels)
-    for _ in range(limit):
-        seen = edges.join(labels, edges.b == labels.node).groupBy(F.col("a").alias("node")).agg(F.min("root").alias("near"))
-        new = labels.join(seen, "node").select("node", F.col("root").alias("was"), F.least("root", "near").alias("root"))
-        roots = new.select(F.col("node").alias("root"), F.col("root").alias("jump"))
-        new = checkpointed(new.join(roots, "root", "left").select("node", "was", F.coalesce(F.least("root", "jump"), "root").alias("root")))
-        labels = new.select("node", "root")
-        if new.where("was <> root").isEmpty():
-            break
-    return labels
-
-
 def classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, class_id: the least id of the documents that are linked to it, directly or through others."""
     docs = docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text"))

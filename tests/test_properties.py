@@ -194,3 +194,14 @@ def test_plans_read_little_and_join_without_products(spark):
     assert "o_totalprice" not in text.split("== Physical Plan ==")[1] and "c_acctbal" not in text.split("== Physical Plan ==")[1]
     physical = chase.repair(df, CHAIN, "tid").df._jdf.queryExecution().toString().split("== Physical Plan ==")[1]
     assert "CartesianProduct" not in physical and "PythonUDF" not in physical
+
+
+@pytest.mark.parametrize("held", [0, 100, 100_000])
+def test_components_of_a_long_path(spark, held):
+    """A path whose ids are in no order has one component, in rounds far below its length."""
+    from fdrepair.operators.components import components
+
+    ids = list(range(400))
+    random.Random(4).shuffle(ids)
+    links = spark.createDataFrame([*zip(ids, ids[1:]), (900, 900), (902, 901)], "a long, b long")
+    assert {(r.node, r.root) for r in components(links, held).collect()} == {(i, 0) for i in ids} | {(900, 900), (901, 901), (902, 901)}
