@@ -10,10 +10,11 @@ two texts agree in a coordinate with the probability of their weighted Jaccard s
 
 ``BANDS`` bands of ``ROWS`` coordinates give candidate buckets (a pair of similarity 0.8 shares none
 with a probability of 4e-5). Texts with the same words are one node from the start. A bucket of at most
-``SMALL`` nodes proposes all its pairs; a larger one proposes its members' links to its
-least and its greatest node, and each node one more link to a hash-chosen member among its buckets, so
-that proposals grow linearly. Every proposed pair is checked exactly, and links of
-similarity >= ``SIMILARITY`` join nodes to classes.
+``SMALL`` nodes proposes all its pairs at once; a larger one proposes in rounds the pairs of its first ``PIVOTS`` members with
+all after them, then of ``GROWTH`` times as many, and so on, members of the most bucket rows first. Every proposed pair is checked
+exactly, and links of similarity >= ``SIMILARITY`` join nodes to classes. A round takes all that is left where this is no more than the first round had. A later round leaves out only pairs that are in
+one class by then and pairs that were checked before, and rounds go on until no bucket has a pair left, so classes are those of all pairs
+that share a bucket. Proposals grow linearly where links join a bucket's members, and with its pairs only where they stay apart.
 
 Defined results: texts without words (null, empty, blank) are alone in their class, also if equal;
 repeated rows with the same id are one document; a null id stays null and alone; an empty table
@@ -28,7 +29,7 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators.components import components
@@ -39,6 +40,7 @@ SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
 HASHES = BANDS * ROWS
 SMALL = 8
+PIVOTS, GROWTH = 2, 4
 _words = re.compile(r"\w+").findall
 _UNIT = 2.0**-53
 
@@ -139,19 +141,58 @@ def signatures(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> D
     return docs.select(docs[doc_id].alias("doc_id"), of(docs[text]).alias("s")).select("doc_id", "s.*")
 
 
-def proposals(nodes: DataFrame) -> DataFrame:
-    """Pairs (a, b), a < b, of nodes that share a bucket, as the module says; linear in the rows of the buckets."""
+def ordered(pairs: DataFrame) -> DataFrame:
+    """Pairs (a, b), a < b, of (node, other), each once."""
+    return pairs.where("node <> other").select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
+
+
+def buckets(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """key, all (the nodes) of the small buckets; key, node, place (from 1) of the large ones."""
     rows = nodes.select("node", F.explode("keys").alias("key"))
-    chosen = F.struct(F.xxhash64("key", "node").alias("h"), "node")
-    buckets = rows.groupBy("key").agg(F.min("node").alias("least"), F.max("node").alias("most"), F.min(chosen).getField("node").alias("any"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    member = rows.join(buckets, "key")
-    large = member.where(F.col("n") > SMALL)
-    ends = large.select("node", F.explode(F.array("least", "most")).alias("other"))
-    random = large.where("any <> node").groupBy("node").agg(F.min(F.struct(F.xxhash64("node", "any").alias("h"), "any")).getField("any").alias("other"))
+    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    member = rows.join(sizes, "key")
     small = member.where(F.col("n") <= SMALL).groupBy("key").agg(F.collect_list("node").alias("all"))
+    large = member.where(F.col("n") > SMALL)
+    met = large.groupBy("node").agg(F.sum("n").alias("met"))
+    by = Window.partitionBy("key").orderBy(F.desc("met"), F.xxhash64("node"), "node")
+    return small, large.join(met, "node").select("key", "node", F.row_number().over(by).alias("place"))
+
+
+def round_pairs(large: DataFrame, done: int, upto: int) -> DataFrame:
+    """Pairs (node, other) of a large bucket's members at places over ``done`` up to ``upto`` with those after them, in different classes."""
+    pivots = large.where((F.col("place") > done) & (F.col("place") <= upto)).select("key", F.col("node").alias("other"), F.col("place").alias("at"), F.col("root").alias("its"))
+    others = large.where(F.col("place") > done)
+    return others.join(pivots, "key").where("place > at and root <> its").select("node", "other")
+
+
+def linked(nodes: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
+    """node, root: the least node of each class of the links among all pairs that share a bucket; nodes without links don't occur."""
+    small, large = buckets(nodes)
+    large = checkpointed(large.withColumn("root", F.col("node")))
     pairs = small.select(F.explode("all").alias("node"), "all").select("node", F.explode("all").alias("other"))
-    both = ends.unionByName(random).unionByName(pairs).where("node <> other")
-    return both.select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
+    pairs = checkpointed(ordered(pairs.union(round_pairs(large, 0, PIVOTS))))
+    checked, few, done, upto = pairs, pairs.count(), PIVOTS, PIVOTS * GROWTH
+    found = components(verified(pairs, texts, threshold))
+    while True:
+        roots = found.select(F.col("node").alias("member"), F.col("root").alias("now"))
+        named = large.where(F.col("place") > done).join(roots, F.col("root") == F.col("member"), "left").select("key", "node", "place", F.coalesce("now", "root").alias("root"))
+        open_ = named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
+        large = checkpointed(named.join(open_, "key"))
+        rest = large.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("place").alias("last")).agg(F.sum(F.expr("n * (n - 1) div 2")).alias("pairs"), F.max("last").alias("last")).first()
+        if rest.pairs is None:
+            return found
+        if rest.pairs <= few:
+            upto = rest.last
+        pairs = checkpointed(ordered(round_pairs(large, done, upto)).join(checked, ["a", "b"], "left_anti"))
+        links = verified(pairs, texts, threshold)
+        for side in ("a", "b"):
+            links = links.join(roots, F.col(side) == F.col("member"), "left").withColumn(side, F.coalesce("now", side)).drop("member", "now")
+        moved = components(links)
+        fresh = moved.join(found, "node", "left_anti").select("node", F.col("node").alias("root"))
+        moved = moved.select(F.col("node").alias("was"), F.col("root").alias("now"))
+        found = checkpointed(found.union(fresh).join(moved, F.col("root") == F.col("was"), "left").select("node", F.coalesce("now", "root").alias("root")))
+        checked = checked.union(pairs)
+        done, upto = upto, upto * GROWTH
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
@@ -184,10 +225,8 @@ def classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> Data
     signed = checkpointed(signatures(docs))
     same = signed.where("words_hash is not null and doc_id is not null").groupBy("words_hash").agg(F.min("doc_id").alias("node"), F.first("keys").alias("keys"))
     nodes = same.select("node", "keys")
-    pairs = proposals(nodes)
     texts = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").alias("node"), "text")
-    links = verified(pairs, texts)
-    found = components(links)
+    found = linked(nodes, texts)
     members = signed.join(same.select("words_hash", "node"), "words_hash", "left")
     named = members.join(found, "node", "left")
     return named.select("doc_id", F.coalesce("root", "node", "doc_id").alias("class_id")).distinct()

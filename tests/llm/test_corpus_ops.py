@@ -83,6 +83,39 @@ def test_large_buckets_lose_nothing(spark, monkeypatch):
     assert got == want
 
 
+def test_a_hub_in_the_middle_of_a_large_bucket(spark):
+    """Copies that are similar to one text only, whose id is neither the least nor the greatest: one class."""
+    rnd = random.Random(8)
+    base = text_of(rnd, 300, 50_000)
+    rows = [(50, " ".join(base))]
+    for k in [*range(50), *range(51, 101)]:
+        copy, at = list(base), rnd.randrange(270)
+        copy[at : at + 24] = [f"x{k}y{j}" for j in range(24)]
+        rows.append((k, " ".join(copy)))
+    hashes = WordHashes()
+    v = {i: neardup.weighted_shingles(hashes.array(neardup.words_of(t))) for i, t in rows}
+    assert all(neardup.similarity(v[50], v[i]) >= 0.8 for i in v)
+    assert sum(neardup.similarity(v[i], v[j]) < 0.8 for i, j in itertools.combinations(v, 2)) > 4000
+    got = {r.class_id for r in neardup.classes(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == {0}
+
+
+def test_large_buckets_of_different_texts(spark):
+    """Rounds go on to the last pair: links between members that no early pivot is similar to are found."""
+    rnd = random.Random(9)
+    base = text_of(rnd, 300, 50_000)
+    rows = []
+    for k in range(40):
+        copy, at = list(base), rnd.randrange(260)
+        copy[at : at + 32] = [f"x{k // 2}y{j}" for j in range(32)] if k > 30 else [f"z{k}y{j}" for j in range(32)]
+        rows.append((k, " ".join(copy)))
+    hashes = WordHashes()
+    v = {i: neardup.weighted_shingles(hashes.array(neardup.words_of(t))) for i, t in rows}
+    want = union(list(v), [(a, b) for a, b in itertools.combinations(v, 2) if neardup.similarity(v[a], v[b]) >= 0.8])
+    got = {r.doc_id: r.class_id for r in neardup.classes(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == want and 1 < len(set(want.values())) < 40
+
+
 def test_darts_estimate_weighted_similarity():
     rnd = np.random.default_rng(1)
     for share in (0.3, 0.8):
