@@ -9,7 +9,8 @@ whose numbers, names or units were swapped is found as well as a verbatim passag
 
 The benchmark is read in blocks whose windows fit ``BLOCK_WINDOWS``; each block is broadcast and the
 documents stream past it, so nothing that is broadcast grows beyond that bound. An item shorter than the
-window is matched as one run of its whole length if it has ``SHORTEST`` tokens or more.
+window is matched as one run of its whole length. Runs with few literals or of a short item say little by their template, so they
+count only if their values are verbatim, or (items of ``SHORTEST`` tokens or more with a literal) if the whole item is there with consistent values.
 
 Defined results: null or empty texts and items match nothing; repeated rows give repeated rows in ``flags``
 and one row in ``leaks``; equal items are reported each; extra columns are kept by ``clean``.
@@ -30,7 +31,7 @@ from .common import rolled
 
 WINDOW = 8
 SHORTEST = 6
-LITERALS = 5  # of a window's tokens, so many at least are no placeholders
+LITERALS = 5  # windows with fewer tokens that are no placeholders need the exact check
 BLOCK_WINDOWS = 2_000_000
 HELD_TOKENS = 400_000
 # Units that follow a number.
@@ -92,6 +93,15 @@ class Codes(dict):
         return kinds[flags & END == 0]
 
 
+def _whole(item_kinds: list[str], item_values: list[str], kinds: list[str], values: list[str], shift: int) -> bool:
+    """Whether the whole item is at ``shift`` with values that are consistent one to one; short items and those without a literal never."""
+    n = len(item_kinds)
+    if n < SHORTEST or shift < 0 or kinds[shift : shift + n] != item_kinds or all(x[0] == "\x00" for x in item_kinds):
+        return False
+    pairs = {(s, a, b) for s, a, b in zip(item_kinds, item_values, values[shift : shift + n]) if s[0] == "\x00"}
+    return len({(s, a) for s, a, _ in pairs}) == len(pairs) == len({(s, b) for s, _, b in pairs})
+
+
 class Index:
     """Windows of a block of benchmark items by hash."""
 
@@ -99,16 +109,16 @@ class Index:
         codes, self.window = Codes(), window
         items = [(i, t) for i, t in items if t]
         self.items = [(i, *template(t)) for i, t in items]
-        self.at: dict[int, list[tuple[int, int, int]]] = {}
+        self.at: dict[int, list[tuple[int, int, int, bool]]] = {}
         self.widths = set()
         for k, ((_, kinds, _), (_, text)) in enumerate(zip(self.items, items)):
             width = min(window, len(kinds))
-            if width < min(window, SHORTEST):
+            if not width:
                 continue
             self.widths.add(width)
             for p, h in enumerate(rolled(codes.template(text), width).tolist()):
-                if sum(x[0] != "\x00" for x in kinds[p : p + width]) >= min(LITERALS, width):
-                    self.at.setdefault(h ^ width, []).append((k, p, width))
+                strong = width >= min(window, SHORTEST) and sum(x[0] != "\x00" for x in kinds[p : p + width]) >= min(LITERALS, width)
+                self.at.setdefault(h ^ width, []).append((k, p, width, strong))
         self.keys = np.sort(np.fromiter(self.at, np.uint64, len(self.at)))
         self.filter = np.zeros(1 << 20, bool)
         self.filter[(self.keys >> np.uint64(44)).astype(np.int64)] = True
@@ -124,18 +134,27 @@ class Index:
         if not hits:
             return []
         kinds, values = template(text)
-        found: dict[tuple[int, int], list[tuple[int, int, int]]] = {}
+        found: dict[tuple[int, int], list[tuple[int, int, int, bool]]] = {}
         for width, p, h in hits:
-            for k, q, w in self.at[h]:
+            for k, q, w, strong in self.at[h]:
                 if w == width and self.items[k][1][q : q + w] == kinds[p : p + w]:
-                    found.setdefault((k, p - q), []).append((p, q, w))
+                    found.setdefault((k, p - q), []).append((p, q, w, strong))
         best: dict[int, tuple[int, int]] = {}
-        for (k, _), runs in found.items():
+        for (k, shift), runs in found.items():
             forth: dict[tuple[str, str], str] = {}
             back: dict[tuple[str, str], str] = {}
             good = same = 0
             item_kinds, item_values = self.items[k][1:]
-            for p, q, w in runs:
+            whole = None
+            for p, q, w, strong in runs:
+                if not strong:
+                    if item_values[q : q + w] == values[p : p + w]:
+                        good, same = good + 1, same + 1
+                        continue
+                    if whole is None:
+                        whole = _whole(item_kinds, item_values, kinds, values, shift)
+                    good += whole
+                    continue
                 slots = [(kinds[p + x], item_values[q + x], values[p + x]) for x in range(w) if item_kinds[q + x][0] == "\x00"]
                 if all(forth.setdefault((s, a), b) == b and back.setdefault((s, b), a) == a for s, a, b in slots):
                     good += 1

@@ -159,6 +159,22 @@ def test_decontamination(spark, docs, empty):
     assert decontaminate.leaks(empty, bench).count() == 0
 
 
+def test_decontamination_of_short_and_number_rich_items(spark):
+    bench = spark.createDataFrame([(1, "Add 12 kg, 5 g, 7 kg and 3 g."), (2, "What is 2 + 2?"), (3, "12 34 56 78 90 11 13 17 19")], "item_id long, text string")
+    texts = [
+        (1, "It says so. Add 12 kg, 5 g, 7 kg and 3 g. That is all."),
+        (2, "It says so. Add 40 lb, 6 oz, 9 lb and 8 oz. That is all."),
+        (3, "It says so. Add 40 lb, 6 oz, 9 mg and 8 oz. That is all."),
+        (4, "Now then. What is 2 + 2? Four."),
+        (5, "Now then. What is 3 + 4? Seven."),
+        (6, "codes 12 34 56 78 90 11 13 17 19 end"),
+        (7, "codes 21 43 65 87 99 12 14 18 20 end"),
+    ]
+    found = {(r.doc_id, r.item_id): r for r in decontaminate.leaks(spark.createDataFrame(texts, SCHEMA), bench).collect()}
+    assert set(found) == {(1, 1), (2, 1), (4, 2), (6, 3)}
+    assert found[1, 1].verbatim == found[1, 1].runs and found[2, 1].verbatim == 0
+
+
 @settings(max_examples=300, deadline=None)
 @given(st.lists(st.sampled_from(["Alice", "alice", "A", "12", "kg", "Kg", "%", "$", ".", "\n", "3.5", "don't", "McDonald", "x", "é"]), max_size=14).map(" ".join))
 def test_template_by_arrays(text):
