@@ -2,19 +2,10 @@
 
 from __future__ import annotations
 
-import os
-
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cuts the lineage through the checkpoint folder of the session; an own folder only where none is set."""
-    sc = df.sparkSession.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "checkpoints"))
-    return df.checkpoint(eager=True)
-
+from .store import checkpointed
 
 HELD = 100_000
 

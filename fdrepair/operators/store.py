@@ -2,21 +2,56 @@
 
 from __future__ import annotations
 
+import gc
 import os
+import re
 from collections.abc import Hashable
 from concurrent.futures import ThreadPoolExecutor
 
 from pyspark import inheritable_thread_target
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
+
+
+def shared_folder(spark: SparkSession) -> str:
+    """The folder that the driver and all executors see: spark.checkpoint.dir. One of our own only where driver and executors are one process."""
+    base = spark.conf.get("spark.checkpoint.dir", None)
+    if base:
+        return base
+    if re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        return "/tmp/checkpoints"
+    raise RuntimeError("spark.checkpoint.dir must name a folder that the driver and all executors share")
+
+
+def checkpointed(df: DataFrame) -> DataFrame:
+    """Cuts the lineage through the shared folder."""
+    sc = df.sparkSession.sparkContext
+    if sc._jsc.sc().getCheckpointDir().isEmpty():
+        sc.setCheckpointDir(shared_folder(df.sparkSession))
+    return df.checkpoint(eager=True)
 
 
 def written(df: DataFrame) -> DataFrame:
-    """The same rows read from a table in the checkpoint folder of the session (an own folder only where none is set)."""
+    """The same rows read from a table in the shared folder: lineage is cut, columns are compressed."""
     spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "checkpoints")
-    path = f"{base}/tables/{spark.sparkContext.applicationId}-{os.urandom(8).hex()}"
+    path = f"{shared_folder(spark)}/tables/{spark.sparkContext.applicationId}-{os.urandom(8).hex()}"
     df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out.__dict__["table_path"] = path
+    return out
+
+
+def dropped(*tables: DataFrame) -> None:
+    """Deletes tables that ``written`` made and that nothing reads any more."""
+    for t in tables:
+        sc = t.sparkSession.sparkContext
+        path = sc._jvm.org.apache.hadoop.fs.Path(t.__dict__["table_path"])
+        path.getFileSystem(sc._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def freed(spark: SparkSession) -> None:
+    """Lets Spark delete the shuffle files of finished steps now: its cleaner acts only after the driver has collected its garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
 
 
 def written_all(tables: dict[Hashable, DataFrame]) -> dict[Hashable, DataFrame]:

@@ -7,6 +7,8 @@ import os
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql.datasource import DataSource, DataSourceReader
 
+from ..operators.store import shared_folder
+
 
 class FDSource(DataSource):
     """Reads dependencies, one "a, b -> c" to a line, from the option ``rules`` (text, ; or line breaks between rules)."""
@@ -40,8 +42,7 @@ def rules(spark: SparkSession, text: str) -> DataFrame:
 
 def folder(spark: SparkSession, name: str) -> str:
     """A new place in the shared checkpoint folder."""
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "checkpoints")
-    return f"{base}/{name}-{spark.sparkContext.applicationId}-{os.urandom(6).hex()}"
+    return f"{shared_folder(spark)}/{name}-{spark.sparkContext.applicationId}-{os.urandom(6).hex()}"
 
 
 def round_trip(df: DataFrame, kind: str, partition_by: str | None = None) -> DataFrame:
