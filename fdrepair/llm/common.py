@@ -1,14 +1,16 @@
-"""Helpers that every operator of this subpackage shares: tables, word hashes, 64-bit mixing, checkpoints."""
+"""Helpers that every operator of this subpackage shares: tables, word hashes, 64-bit mixing."""
 
 from __future__ import annotations
 
-import os
-
 import numpy as np
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..operators.store import checkpointed, dropped, freed, shared_folder, written
+
+__all__ = ["WordHashes", "checkpointed", "crc_mod", "dropped", "freed", "mix64", "rolled", "shared_folder", "table", "written"]
+
 ROWS_PER_BATCH = 1000
 MASK = (1 << 64) - 1
 
@@ -20,23 +22,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
-def checkpointed(df: DataFrame) -> DataFrame:
-    """Cut the lineage through the shared checkpoint folder; a folder of our own only where none is set (tests)."""
-    sc = df.sparkSession.sparkContext
-    if sc._jsc.sc().getCheckpointDir().isEmpty():
-        sc.setCheckpointDir(df.sparkSession.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "checkpoints"))
-    return df.checkpoint(eager=True)
-
-
-def written(df: DataFrame) -> DataFrame:
-    """Cuts the lineage by a table in the shared checkpoint folder; columns are compressed, so it takes less disk than a checkpoint."""
-    spark = df.sparkSession
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "checkpoints")
-    path = f"{base}/tables/{spark.sparkContext.applicationId}-{os.urandom(8).hex()}"
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def mix64(x: np.ndarray) -> np.ndarray:
     """A bijective avalanche of 64-bit values (vectorised)."""
     x = x.astype(np.uint64, copy=True)

@@ -1,167 +1,198 @@
 """Cross-entropy difference: how much more a text is like the target than like the background.
 
-Two bigram models of the same form share one vocabulary: the target's is counted over texts labelled 1, the
+Two bigram models of the same form share one vocabulary, all words of the corpus: the target's is counted over texts labelled 1, the
 background's over all texts. P(w | u) mixes the share of w after u with the add-one share of w. A text's score is
 the mean over its words of background loss minus target loss, in bits: positive for texts that are more like the target.
 
-Memory is bounded by two parameters, not by the corpus: the ``VOCABULARY`` most frequent words (the others share
-one id) and ``BUCKETS`` hash buckets for bigrams. Counts cover all texts: each task adds up its own and sends its non-zero counts,
-which are summed by key. Only the finished tables (of that fixed size) are broadcast.
+Counts are kept of every word, context and pair of words, so the models grow with the corpus and no worker holds one:
+
+1. documents are dealt to chunks of about ``CHUNK`` characters by a hash of their id; each chunk counts its own words, contexts and pairs;
+2. a chunk's counts are sorted by key (a 64-bit hash) and cut into key ranges; each range travels as one block of bytes;
+3. each range adds up the blocks of all chunks and answers each with the corpus-wide counts, in the order asked;
+4. each chunk scores its documents with the answers.
+
+So a frequent word or pair is one entry of each chunk that holds it, not one row of each document, and a worker holds a
+chunk or a key range at a time. Number of chunks and of ranges follow the size of the input.
 
 Defined results: null and empty texts have no words, losses and score of 0; repeated rows count and are scored as often as
-they occur; an empty target leaves its model uniform; ties in the vocabulary go to the smaller hash.
+they occur; an empty target leaves its model uniform; rows with a null id are never labelled; extra columns are not read.
 """
 
 from __future__ import annotations
 
-from collections import Counter
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+import xxhash
+import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordHashes, mix64
+from .common import dropped, freed, mix64, written
 
-VOCABULARY = 1 << 16
-BUCKETS = 1 << 20
 MIX = 0.7  # weight of the bigram share
-HELD_WORDS = 400_000
+CHUNK = 16_000_000  # characters of a chunk's texts, about; also the measure of a key range
+LEAST_CHUNKS = 8
+PAIR, WORD, CONTEXT = 0, 1, 2
+START = 0x5851F42D4C957F2D
 
 
 def words_of(text: str | None) -> list[bytes]:
     return (text or "").lower().encode("utf-8", "replace").split()
 
 
-def word_counts(docs: DataFrame, text: str = "text") -> DataFrame:
-    """word (a signed 64-bit hash), n: over all texts, added up by task first."""
-
-    def count(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        seen: Counter[bytes] = Counter()
-        hashes = WordHashes(1)
-
-        def told() -> pd.DataFrame:
-            out = pd.DataFrame({"word": np.fromiter((hashes[w] for w in seen), np.uint64, len(seen)).view(np.int64), "n": np.fromiter(seen.values(), np.int64, len(seen))})
-            seen.clear()
-            return out
-
-        for part in parts:
-            for t in part["text"]:
-                seen.update(words_of(t))
-            if len(seen) > HELD_WORDS:
-                yield told()
-        yield told()
-
-    return docs.select(docs[text].alias("text")).mapInPandas(count, "word long, n long").groupBy("word").agg(F.sum("n").alias("n"))
-
+class Numbers(dict):
+    """Numbers of words in the order in which they come."""
+
+    def __missing__(self, word: bytes) -> int:
+        self[word] = n = len(self)
+        return n
+
+
+class Chunk:
+    """The words of some texts, and the keys of all words, contexts and pairs in them, in order.
+
+    keys, counts (in these texts) and wanted (in those that are target texts) are aligned.
+    """
+
+    def __init__(self, texts, target) -> None:
+        numbers, ids, lengths = Numbers(), [], []
+        for t in texts:
+            words = words_of(t)
+            ids.append(np.fromiter(map(numbers.__getitem__, words), np.int64, len(words)))
+            lengths.append(len(words))
+        self.lengths = np.array(lengths, np.int64)
+        self.ids = np.concatenate([*ids, np.empty(0, np.int64)])
+        size = len(numbers)
+        first = (np.cumsum(self.lengths) - self.lengths)[self.lengths > 0]
+        self.before = np.concatenate(([size], self.ids[:-1])) if len(self.ids) else self.ids.copy()
+        self.before[first] = size  # the start of a text
+        weight = np.repeat(np.asarray(target, float), self.lengths)
+        hashes = np.fromiter((xxhash.xxh64_intdigest(w) for w in numbers), np.uint64, size)
+        hashes = np.append(hashes, np.uint64(START))
+        pairs, self.pair = np.unique(self.before * (size + 1) + self.ids, return_inverse=True)
+        u, w = np.divmod(pairs, size + 1)
+        made = (mix64(hashes[u] * np.uint64(0x9E3779B97F4A7C15) + mix64(hashes[w])), mix64(hashes[:size]), mix64(hashes ^ np.uint64(0xA0761D6478BD642F)))
+        keys = np.concatenate([k & ~np.uint64(3) | np.uint64(kind) for kind, k in enumerate(made)])
+        places = (self.pair, self.ids, self.before)
+        sizes = (len(pairs), size, size + 1)
+        counts = np.concatenate([np.bincount(p, minlength=n) for p, n in zip(places, sizes)])
+        wanted = np.concatenate([np.bincount(p, weight, minlength=n) for p, n in zip(places, sizes)])
+        order = np.argsort(keys, kind="stable")
+        self.place = np.empty(len(keys), np.int64)  # where a pair's, word's or context's entry stands in the order of keys
+        self.place[order] = np.arange(len(keys))
+        self.sizes = sizes
+        self.keys, self.counts, self.wanted = keys[order], counts[order].astype(np.uint32), wanted[order].astype(np.uint32)
+
+    def losses(self, counts: np.ndarray, words: float, vocabulary: int) -> np.ndarray:
+        """Bits of each word by corpus-wide counts, in the order of keys."""
+        n, size, _ = self.sizes
+        pair, word, context = (counts[self.place[a:b]].astype(float) for a, b in ((0, n), (n, n + size), (n + size, len(self.keys))))
+        context = context[self.before]
+        after = np.divide(pair[self.pair], context, out=np.zeros(len(self.ids)), where=context > 0)
+        mix = np.where(context > 0, MIX, 0.0)
+        return -np.log2(mix * after + (1 - mix) * (word[self.ids] + 1) / (words + vocabulary + 1))
 
-def vocabulary(docs: DataFrame, text: str = "text", size: int = VOCABULARY) -> np.ndarray:
-    """Sorted hashes of the most frequent words, ``size`` at most."""
-    top = word_counts(docs, text).orderBy(F.desc("n"), "word").limit(size).select("word").toArrow()
-    return np.sort(top["word"].to_numpy())
+    def means(self, values: np.ndarray) -> np.ndarray:
+        """Of each text, 0 for one without words."""
+        out, full = np.zeros(len(self.lengths)), self.lengths > 0
+        if full.any():
+            out[full] = np.add.reduceat(values, (np.cumsum(self.lengths) - self.lengths)[full]) / self.lengths[full]
+        return out
 
 
-class Ids:
-    """Word ids by a vocabulary; the last id is every other word's."""
+def ranges(keys: np.ndarray, number: int) -> Iterator[tuple[int, int, int]]:
+    """(range, from, to) of sorted keys; empty ranges are left out."""
+    at = ((keys >> np.uint64(32)) * np.uint64(number) >> np.uint64(32)).astype(np.int64)
+    starts = np.flatnonzero(np.diff(at, prepend=-1))
+    for a, b in zip(starts.tolist(), [*starts[1:].tolist(), len(keys)]):
+        yield int(at[a]), a, b
 
-    def __init__(self, vocab: np.ndarray) -> None:
-        self.vocab, self.hashes = vocab, WordHashes()
 
-    def __call__(self, text: str | None) -> np.ndarray:
-        h = self.hashes.array(words_of(text)).view(np.int64)
-        at = np.searchsorted(self.vocab, h)
-        known = at < len(self.vocab)
-        known[known] = self.vocab[at[known]] == h[known]
-        return np.where(known, at, len(self.vocab))
+def packed(*arrays: np.ndarray) -> bytes:
+    return zstandard.ZstdCompressor(level=1).compress(b"".join(a.tobytes() for a in arrays))
 
 
-def bigram_buckets(ids: np.ndarray, buckets: int) -> np.ndarray:
-    """The bucket of each pair (previous word, word); the first word follows the start, id -1."""
-    before = np.concatenate(([-1], ids[:-1])) if len(ids) else ids
-    pairs = (before + 1).astype(np.uint64) << np.uint64(32) | ids.astype(np.uint64)
-    return (mix64(pairs) % np.uint64(buckets)).astype(np.int64)
+def opened(block: bytes) -> bytes:
+    return zstandard.ZstdDecompressor().decompress(block)
 
 
-def counts(docs: DataFrame, vocab: np.ndarray, text: str = "text", buckets: int = BUCKETS) -> DataFrame:
-    """key, n: words (key = id), contexts (key = V + 1 + id + 1) and bigrams (key = 2 V + 4 + bucket)."""
-    size = len(vocab)
+def dealt(docs: DataFrame, number: int) -> DataFrame:
+    """doc_id (as text), text, chunk."""
+    by = F.when(F.col("doc_id").isNull(), F.xxhash64("text")).otherwise(F.xxhash64("doc_id"))
+    return docs.select(F.col("doc_id").cast("string"), "text", F.pmod(by, F.lit(number)).cast("int").alias("chunk"))
 
-    def count(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        of, total = Ids(vocab), np.zeros(2 * size + 4 + buckets, np.int64)
-        for part in parts:
-            keys = []
-            for t in part["text"]:
-                ids = of(t)
-                if len(ids):
-                    keys += [ids, size + 1 + np.concatenate(([0], ids[:-1] + 1)), 2 * size + 4 + bigram_buckets(ids, buckets)]
-            if keys:
-                total += np.bincount(np.concatenate(keys), minlength=len(total))
-        found = np.flatnonzero(total)
-        for k in range(0, len(found), 100_000):
-            at = found[k : k + 100_000]
-            yield pd.DataFrame({"key": at, "n": total[at]})
 
-    return docs.select(docs[text].alias("text")).mapInPandas(count, "key long, n long").groupBy("key").agg(F.sum("n").alias("n"))
+def asked(docs: DataFrame, target: DataFrame, number: int) -> DataFrame:
+    """range, chunk, n, block: the counts of each chunk by key range. docs: doc_id, text; target: doc_id of its texts."""
+    texts = dealt(docs, number).withColumn("marks", F.lit(False))
+    marks = dealt(target.select("doc_id", F.lit(None).cast("string").alias("text")), number).withColumn("marks", F.lit(True))
 
+    def count(rows: pd.DataFrame) -> pd.DataFrame:
+        marks = rows["marks"].to_numpy(bool)
+        wanted = rows["doc_id"].isin(rows["doc_id"][marks].dropna())
+        own = Chunk(rows["text"][~marks], wanted[~marks])
+        chunk = int(rows["chunk"].iloc[0])
+        out = [(k, chunk, b - a, packed(own.keys[a:b], own.counts[a:b], own.wanted[a:b])) for k, a, b in ranges(own.keys, number)]
+        return pd.DataFrame(out, columns=["range", "chunk", "n", "block"])
 
-class Bigrams:
-    """A model from summed counts."""
+    return texts.unionByName(marks).groupBy("chunk").applyInPandas(count, "range int, chunk int, n int, block binary")
 
-    def __init__(self, keys: np.ndarray, n: np.ndarray, size: int, buckets: int = BUCKETS) -> None:
-        full = np.zeros(2 * size + 4 + buckets, np.int64)
-        full[keys] = n
-        words, contexts, self.pairs = full[: size + 1], full[size + 1 : 2 * size + 4].astype(float), full[2 * size + 4 :]
-        self.share = (words + 1) / (words.sum() + size + 1)
-        self.contexts, self.words, self.buckets = contexts, words, buckets
 
-    def losses(self, ids: np.ndarray) -> np.ndarray:
-        """Bits of each word."""
-        context = self.contexts[np.concatenate(([0], ids[:-1] + 1))]
-        pairs = np.minimum(self.pairs[bigram_buckets(ids, self.buckets)], np.minimum(context, self.words[ids]))
-        after = np.divide(pairs, context, out=np.zeros(len(ids)), where=context > 0)
-        mix = np.where(context > 0, MIX, 0.0)
-        return -np.log2(mix * after + (1 - mix) * self.share[ids])
+def answered(blocks: DataFrame) -> DataFrame:
+    """chunk, range, n, block: corpus-wide counts in the order asked; and, without a chunk, the words, target_words and different words of each range."""
 
+    def add(rows: pd.DataFrame) -> pd.DataFrame:
+        rows = rows.sort_values("chunk")
+        parts = [opened(b) for b in rows["block"]]
+        sizes = rows["n"].to_numpy()
+        keys = np.concatenate([np.frombuffer(p, np.uint64, n) for p, n in zip(parts, sizes)])
+        counts = np.concatenate([np.frombuffer(p, np.uint32, 2 * n, 8 * n).reshape(2, n) for p, n in zip(parts, sizes)], axis=1)
+        every, place = np.unique(keys, return_inverse=True)
+        both = np.stack([np.bincount(place, c, minlength=len(every)) for c in counts.astype(float)])
+        words = (every & np.uint64(3)) == WORD
+        found = both[:, place].astype(np.uint64)
+        k, out, at = int(rows["range"].iloc[0]), [], 0
+        for chunk, n in zip(rows["chunk"], sizes):
+            out.append((int(chunk), k, int(n), packed(found[:, at : at + n]), 0.0, 0.0, 0.0))
+            at += n
+        out.append((None, k, 0, b"", *both[:, words].sum(axis=1), float(words.sum())))
+        return pd.DataFrame(out, columns=["chunk", "range", "n", "block", "words", "target_words", "different"]).astype({"chunk": "Int32"})
 
-def models(docs: DataFrame, target: DataFrame, text: str = "text", size: int = VOCABULARY, buckets: int = BUCKETS) -> tuple[np.ndarray, Bigrams, Bigrams]:
-    """Vocabulary, target model and background model."""
-    vocab = vocabulary(docs, text, size)
-    made = []
-    for part in (target, docs):
-        table = counts(part, vocab, text, buckets).toArrow()
-        made.append(Bigrams(table["key"].to_numpy(), table["n"].to_numpy(), len(vocab), buckets))
-    return vocab, made[0], made[1]
+    return blocks.groupBy("range").applyInPandas(add, "chunk int, range int, n int, block binary, words double, target_words double, different double")
 
 
-def score(df: DataFrame, vocab: np.ndarray, target: Bigrams, background: Bigrams, text: str = "text") -> DataFrame:
-    """Adds n_words, target_bits, background_bits (means by word) and score, their difference."""
-    held = df.sparkSession.sparkContext.broadcast((vocab, target, background))
+_SCORES = "doc_id string, n_words long, target_bits double, background_bits double, score double"
 
-    @F.pandas_udf("n_words long, target_bits double, background_bits double, score double")
-    def of(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
-        vocab, target, background = held.value
-        ids_of = Ids(vocab)
-        for part in parts:
-            rows = []
-            for t in part:
-                ids = ids_of(t)
-                a, b = (float(m.losses(ids).mean()) if len(ids) else 0.0 for m in (target, background))
-                rows.append((len(ids), round(a, 6), round(b, 6), round(b - a, 6)))
-            yield pd.DataFrame(rows, columns=["n_words", "target_bits", "background_bits", "score"])
 
-    new = ("n_words", "target_bits", "background_bits", "score")
-    return df.select(*[df[c] for c in df.columns if c not in new], of(df[text]).alias("__s")).select(*[c for c in df.columns if c not in new], "__s.*")
+def scored(docs: DataFrame, answers: DataFrame, number: int, totals: tuple[float, float, float]) -> DataFrame:
+    """doc_id, n_words, target_bits, background_bits, score."""
+    all_words, target_words, vocabulary = totals
 
+    def score(rows: pd.DataFrame, told: pd.DataFrame) -> pd.DataFrame:
+        own = Chunk(rows["text"], np.zeros(len(rows)))
+        if len(own.keys) and len(told):
+            parts = [np.frombuffer(opened(b), np.uint64).reshape(2, n) for b, n in told.sort_values("range")[["block", "n"]].itertuples(False)]
+            background, target = np.concatenate(parts, axis=1)
+        else:
+            background = target = np.zeros(len(own.keys), np.uint64)
+        a, b = own.means(own.losses(target, target_words, vocabulary)).round(6), own.means(own.losses(background, all_words, vocabulary)).round(6)
+        return pd.DataFrame({"doc_id": rows["doc_id"], "n_words": own.lengths, "target_bits": a, "background_bits": b, "score": (b - a).round(6)})
 
-def labelled(docs: DataFrame, labels: DataFrame, label: str = "quality", value: int = 1, doc_id: str = "doc_id") -> DataFrame:
-    """The documents with the label. Labels grow with the documents, so both sides are merged and none is broadcast."""
-    chosen = labels.where(labels[label] == value).select(labels[doc_id].alias("__id")).distinct().hint("merge")
-    return docs.join(chosen, docs[doc_id] == chosen["__id"], "left_semi")
+    found = dealt(docs, number).groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInPandas(score, _SCORES)
+    return found.withColumn("doc_id", F.col("doc_id").cast(docs.schema["doc_id"].dataType))
 
 
-def cross_entropy_difference(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id with n_words, target_bits, background_bits and score."""
+def cross_entropy_difference(docs: DataFrame, labels: DataFrame, doc_id: str = "doc_id", text: str = "text", label: str = "quality", value: int = 1) -> DataFrame:
+    """doc_id with n_words, target_bits, background_bits and score, for every row; the target is what ``labels`` gives the value."""
     slim = docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text"))
-    target = labelled(slim, labels)
-    return score(slim, *models(slim, target)).drop("text")
+    target = labels.where(labels[label] == value).select(labels[doc_id].cast(slim.schema["doc_id"].dataType).alias("doc_id")).where("doc_id is not null").distinct()
+    size = slim.agg(F.sum(F.length("text")).alias("n")).first().n or 0
+    number = max(LEAST_CHUNKS, -(-size // CHUNK))
+    blocks = written(asked(slim, target, number))
+    answers = written(answered(blocks))
+    dropped(blocks)
+    freed(docs.sparkSession)
+    totals = answers.where("chunk is null").agg(*[F.coalesce(F.sum(c), F.lit(0.0)) for c in ("words", "target_words", "different")]).first()
+    return scored(slim, answers.where("chunk is not null").select("chunk", "range", "n", "block"), number, tuple(totals))
