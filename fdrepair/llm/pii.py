@@ -1,13 +1,16 @@
 """Personal data: patterns, and terms that reveal them by what the corpus says.
 
-Spans of four kinds (email, ip, card, phone) are found by pattern. Each of them is a protected entity;
-its value is what occurs again. The words around a mention (``CONTEXT`` on either side) may give it away:
-for a term t and an entity e, PMI(t; e) = log2(p(t, e) / (p(t) p(e))) is the information that t
-discloses about e, and IC(e) = -log2 p(e) is all there is to disclose, with p as shares of documents
-over the whole corpus. A term with PMI >= ``DISCLOSED`` * IC, seen near e in ``SUPPORT`` documents or
-more, is generalised wherever it stands near a mention of e.
-
-Counts are gathered in partial sums (terms by partition), so hot values do not gather in one task.
+Spans of four kinds (email, ip, card, phone) are found by pattern. Each of them is a protected entity; its value is what
+occurs again. Any other word of a document with an entity may give it away: for a term t and an entity e,
+PMI(t; e) = log2(p(t, e) / (p(t) p(e))) is the information that t discloses about e, and IC(e) = -log2 p(e) is all there is to disclose,
+with p as shares of whole documents over the whole corpus. A term with PMI >= ``DISCLOSED`` * IC for an entity of a document
+is generalised at all its places in that document: to its class (name, number, code, word). Rare entities go by the same
+threshold: an entity of one document is disclosed by the terms of that document that hardly any other one holds.
+
+With N documents, n(t), n(e) and n(t, e) of them holding the term, the entity and both, the condition is
+n(t, e) / n(t) >= (n(e) / N) ** (1 - DISCLOSED). As n(t, e) <= n(e), terms over N ** (1 - DISCLOSED) * n(e) ** DISCLOSED documents are out before pairs
+are made; and an entity of one document needs no pairs, as n(t, e) is 1 for each of its document's terms. Terms are counted in
+partial sums, so hot ones do not gather in one task. Only texts with entities are moved between tasks.
 
 Defined results: null and empty texts have no spans; repeated rows have the same spans; a row's spans belong to its
 text, even if another row has the same id; ``sanitise`` keeps extra columns. Offsets are in code points.
@@ -25,12 +28,10 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import checkpointed
+from .common import written
 
 KINDS = ("email", "ip", "card", "phone")
-CONTEXT = 6
 DISCLOSED = 0.8
-SUPPORT = 3
 HELD_TERMS = 300_000
 
 _LOCAL = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
@@ -39,7 +40,7 @@ _ip = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++").finditer
 _card = re.compile(r"[0-9](?:[\x20-]?[0-9])+").finditer
 _phone = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]").finditer
 _not_digit = re.compile(r"[^0-9]+")
-_before = re.compile(r"\w{3,}")
+_terms = re.compile(r"\w{3,}")
 
 
 def emails(text: str) -> Iterator[tuple[int, int]]:
@@ -95,44 +96,46 @@ def term(word: str) -> int:
     return xxhash.xxh64_intdigest(word.lower()) - (1 << 63)
 
 
-def context(text: str, spans: list[tuple[int, int, int]]) -> list[tuple[int, int, int, int]]:
-    """(entity, term, start, end) of the words near each mention that are no part of a span."""
-    if not spans:
-        return []
-    inside = sorted((a, b) for _, a, b in spans)
-    starts = [a for a, _ in inside]
-    from bisect import bisect_right
-
-    def free(a: int, b: int) -> bool:
-        k = bisect_right(starts, a)
-        return not (k and inside[k - 1][1] > a) and not (k < len(inside) and inside[k][0] < b)
-
-    out = []
-    for kind, a, b in spans:
-        e = entity(kind, text[a:b])
-        reach = 24 * CONTEXT
-        left = [m.span() for m in _before.finditer(text, max(0, a - reach), a)][-CONTEXT:]
-        right = [m.span() for m in _before.finditer(text, b, min(len(text), b + reach))][:CONTEXT]
-        out += [(e, term(text[x:y]), x, y) for x, y in left + right if free(x, y)]
-    return out
+def free_terms(text: str, spans: list[tuple[int, int, int]]) -> Iterator[tuple[int, int, int]]:
+    """(term, start, end) of the words that touch no span."""
+    ends = sorted((a, b) for _, a, b in spans)
+    k, reach = 0, 0  # spans that start before a word's end, and how far they go
+    for m in _terms.finditer(text):
+        x, y = m.span()
+        while k < len(ends) and ends[k][0] < y:
+            reach = max(reach, ends[k][1])
+            k += 1
+        if reach <= x:
+            yield term(m[0]), x, y
 
 
-_MARKS = "spans array<struct<kind:int,start:int,end:int>>, near array<struct<e:long,t:long,start:int,end:int>>"
+_SPANS = "array<struct<kind:int,start:int,end:int>>"
 
 
-def marked(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, text_key, spans (base), near (words by the mentions)."""
+def with_spans(docs: DataFrame, text: str = "text", out: str = "spans") -> DataFrame:
+    """docs and their base spans."""
 
-    @F.pandas_udf(_MARKS)
-    def of(parts: Iterator[pd.Series]) -> Iterator[pd.DataFrame]:
+    @F.pandas_udf(_SPANS)
+    def of(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
         for part in parts:
+            yield pd.Series([[dict(zip(("kind", "start", "end"), s)) for s in base_spans(t)] for t in part])
+
+    return docs.withColumn(out, of(docs[text]))
+
+
+def holdings(texts: DataFrame) -> DataFrame:
+    """row, entities, terms: the different ones of each text with spans; texts: row, text, spans."""
+
+    @F.pandas_udf("entities array<long>, terms array<long>")
+    def of(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.DataFrame]:
+        for values, spans in parts:
             rows = []
-            for t in part:
-                spans = base_spans(t)
-                rows.append(([dict(zip(("kind", "start", "end"), s)) for s in spans], [dict(zip(("e", "t", "start", "end"), c)) for c in context(t or "", spans)]))
-            yield pd.DataFrame(rows, columns=["spans", "near"])
+            for t, found in zip(values, spans):
+                s = [(x["kind"], x["start"], x["end"]) for x in found]
+                rows.append((sorted({entity(k, t[a:b]) for k, a, b in s}), sorted({w for w, _, _ in free_terms(t, s)})))
+            yield pd.DataFrame(rows, columns=["entities", "terms"])
 
-    return docs.select(docs[doc_id].alias("doc_id"), F.xxhash64(docs[text]).alias("text_key"), of(docs[text]).alias("m")).select("doc_id", "text_key", "m.*")
+    return texts.select("row", of("text", "spans").alias("h")).select("row", "h.*")
 
 
 def term_documents(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -149,7 +152,7 @@ def term_documents(docs: DataFrame, text: str = "text") -> DataFrame:
         for part in parts:
             for t in part["text"]:
                 if t:
-                    seen.update(set(_before.findall(t.lower())))
+                    seen.update(set(_terms.findall(t.lower())))
             if len(seen) > HELD_TERMS:
                 yield told()
         yield told()
@@ -157,27 +160,65 @@ def term_documents(docs: DataFrame, text: str = "text") -> DataFrame:
     return docs.select(docs[text].alias("text")).mapInPandas(count, "t long, n long").groupBy("t").agg(F.sum("n").alias("n"))
 
 
-def disclosing(marks: DataFrame, docs: DataFrame, text: str = "text", share: float = DISCLOSED, support: int = SUPPORT) -> DataFrame:
-    """e, t, pmi, ic of the terms that reveal an entity."""
-    near = marks.select("doc_id", "text_key", F.explode("near").alias("x")).select("doc_id", "text_key", "x.e", "x.t").distinct()
-    joint = near.groupBy("e", "t").agg(F.count(F.lit(1)).alias("n_et")).where(F.col("n_et") >= support)
-    mentioned = near.select("doc_id", "text_key", "e").distinct().groupBy("e").agg(F.count(F.lit(1)).alias("n_e"))
-    total = F.broadcast(marks.agg(F.count(F.lit(1)).alias("n")))  # one row
-    both = joint.join(mentioned, "e").join(term_documents(docs, text).withColumnRenamed("n", "n_t"), "t").crossJoin(total)
-    pmi = F.log2(F.col("n_et") * F.col("n") / (F.col("n_t").cast("double") * F.col("n_e")))
-    ic = -F.log2(F.col("n_e").cast("double") / F.col("n"))
-    return both.select("e", "t", pmi.alias("pmi"), ic.alias("ic")).where((F.col("ic") > 0) & (F.col("pmi") >= share * F.col("ic")))
+def disclosing(texts: DataFrame, docs: DataFrame, text: str = "text", share: float = DISCLOSED) -> DataFrame:
+    """row, terms: the terms of each text that disclose one of its entities. texts: row, n (how many rows of docs it stands for), text, spans."""
+    held = written(holdings(texts).join(texts.select("row", "n"), "row"))
+    total = docs.select(F.count(F.lit(1)).alias("total"))  # one row
+    entities = held.select("row", "n", F.explode("entities").alias("e"))
+    n_e = entities.groupBy("e").agg(F.sum("n").alias("n_e"))
+    entities = entities.drop("n").join(n_e, "e").crossJoin(F.broadcast(total)).where("n_e < total")
+    bound = F.pow("total", F.lit(1 - share)) * F.pow("n_e", F.lit(share)) * (1 + 1e-9)
+    entities = written(entities.withColumn("most", F.floor(bound)))
+    reach = entities.groupBy("row").agg(F.max("most").alias("most"))
+    terms = held.select("row", "n", F.explode("terms").alias("t")).join(reach, "row").join(term_documents(docs, text).withColumnRenamed("n", "n_t"), "t")
+    terms = written(terms.where("n_t <= most").select("row", "n", "t", "n_t"))
+    enough = F.col("n_et") / F.col("n_t") >= F.pow(F.col("n_e") / F.col("total"), F.lit(1 - share)) * (1 - 1e-9)
+    # an entity of one text: its terms occur with it just as often as it does
+    alone = entities.join(entities.groupBy("e").agg(F.count(F.lit(1)).alias("k")).where("k = 1").select("e"), "e", "left_semi")
+    alone = terms.join(alone.select("row", "n_e", "total", "most"), "row").where("n_t <= most").withColumn("n_et", F.col("n_e")).where(enough).select("row", "t")
+    several = entities.join(entities.groupBy("e").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("e"), "e", "left_semi")
+    pairs = several.join(terms, "row").where("n_t <= most")
+    told = pairs.groupBy("e", "t").agg(F.sum("n").alias("n_et"), F.first("n_t").alias("n_t"), F.first("n_e").alias("n_e"), F.first("total").alias("total")).where(enough).select("e", "t")
+    return alone.union(pairs.join(told, ["e", "t"], "left_semi").select("row", "t")).groupBy("row").agg(F.collect_set("t").alias("terms"))
+
+
+def places(texts: DataFrame) -> DataFrame:
+    """texts with the places of their terms; texts: text, spans, terms (null: none)."""
+
+    @F.pandas_udf("array<struct<start:int,end:int>>")
+    def of(parts: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.Series]:
+        for values, spans, terms in parts:
+            out = []
+            for t, found, told in zip(values, spans, terms):
+                told = set() if told is None else set(told)
+                out.append([{"start": a, "end": b} for w, a, b in free_terms(t, [(x["kind"], x["start"], x["end"]) for x in found]) if w in told] if told else [])
+            yield pd.Series(out)
+
+    return texts.withColumn("terms", of("text", "spans", "terms"))
+
+
+def found(docs: DataFrame, text: str = "text", whole: bool = True) -> tuple[DataFrame, DataFrame]:
+    """(docs with spans, with a key of a text that has some; the texts that have some: row, n, text, spans, terms as places).
+
+    Equal texts are one of the second, so that a large group of copies is looked at once. whole: texts without spans are kept in the first.
+    """
+    some = F.size("__spans") > 0
+    every = with_spans(docs, text, "__spans").withColumn("__row", F.when(some, F.sha2(F.col(text).cast("binary"), 256)))
+    every = written(every if whole else every.withColumn(text, F.when(some, F.col(text))))
+    private = every.where(F.size("__spans") > 0)
+    texts = written(private.groupBy(F.col("__row").alias("row")).agg(F.count(F.lit(1)).alias("n"), F.first(text).alias("text"), F.first("__spans").alias("spans")))
+    told = disclosing(texts, docs, text)
+    return every, places(texts.join(told, "row", "left"))
 
 
 def spans(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """doc_id, text_key, spans (base), terms (spans of disclosing terms), one row for each row of docs."""
-    marks = checkpointed(marked(docs, doc_id, text))
-    found = disclosing(marks, docs, text)
-    words = marks.select("doc_id", "text_key", F.explode("near").alias("x")).select("doc_id", "text_key", "x.*")
-    hit = words.join(found, ["e", "t"]).select("doc_id", "text_key", "start", "end").groupBy("doc_id", "text_key").agg(F.array_sort(F.collect_set(F.struct("start", "end"))).alias("terms"))
-    right = hit.select(F.col("doc_id").alias("d"), F.col("text_key").alias("k"), "terms")
-    joined = marks.join(right, marks.doc_id.eqNullSafe(right.d) & (marks.text_key == right.k), "left")
-    return joined.select("doc_id", "text_key", "spans", F.coalesce("terms", F.array().cast("array<struct<start:int,end:int>>")).alias("terms"))
+    """doc_id, spans (base), terms (spans of disclosing terms), one row for each row of docs."""
+    slim = docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text"))
+    every, texts = found(slim, whole=False)
+    none = F.array().cast("array<struct<start:int,end:int>>")
+    clean = every.where(F.size("__spans") == 0).select("doc_id", F.col("__spans").alias("spans"), none.alias("terms"))
+    private = every.where(F.size("__spans") > 0).select("doc_id", F.col("__row").alias("row")).join(texts.select("row", "spans", "terms"), "row")
+    return clean.unionByName(private.select("doc_id", "spans", "terms"))
 
 
 def digests(found: DataFrame) -> DataFrame:
@@ -191,11 +232,20 @@ def digests(found: DataFrame) -> DataFrame:
     return found.select("doc_id", *counts, F.sha2(F.array_join(base, ",").cast("binary"), 256).alias("base_sha256"), F.array_join(F.concat(base, extra), ",").alias("spans"))
 
 
+def general(word: str) -> str:
+    """The class that a word is generalised to."""
+    if word.isdigit():
+        return "[NUMBER]"
+    if any(c.isdigit() or c == "_" for c in word):
+        return "[CODE]"
+    return "[NAME]" if word[0].isupper() else "[WORD]"
+
+
 def redact(text: str | None, spans, terms) -> str | None:
-    """The text with each span replaced by its kind and each disclosing term by a general word; overlaps go to the earlier, longer one."""
+    """The text with each span replaced by its kind and each disclosing term by its class; overlaps go to the earlier, longer one."""
     if text is None:
         return None
-    parts = sorted([(s["start"], -s["end"], f"[{KINDS[s['kind']].upper()}]") for s in spans] + [(s["start"], -s["end"], "[TERM]") for s in terms])
+    parts = sorted([(s["start"], -s["end"], f"[{KINDS[s['kind']].upper()}]") for s in spans] + [(s["start"], -s["end"], general(text[s["start"] : s["end"]])) for s in terms])
     out, done = [], 0
     for start, end, name in parts:
         if start < done:
@@ -206,18 +256,22 @@ def redact(text: str | None, spans, terms) -> str | None:
     return "".join([*out, text[done:]])
 
 
-def sanitise(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The documents with personal data and what discloses it replaced in the text; other columns stay."""
-    found = spans(docs, doc_id, text).where("size(spans) > 0").dropDuplicates(["doc_id", "text_key"]).select(F.col("doc_id").alias("__d"), F.col("text_key").alias("__k"), F.col("spans").alias("__s"), F.col("terms").alias("__t"))
+def sanitise(docs: DataFrame, text: str = "text") -> DataFrame:
+    """The documents with personal data and what discloses it replaced in the text; other columns stay.
+
+    Documents without spans pass as they were read; each different text with some is rewritten once.
+    """
+    every, texts = found(docs, text)
 
     @F.pandas_udf("string")
     def of(parts: Iterator[tuple[pd.Series, ...]]) -> Iterator[pd.Series]:
-        for texts, s, t in parts:
-            yield pd.Series([x if a is None else redact(x, a, b) for x, a, b in zip(texts, s, t)], dtype=object)
+        for values, s, t in parts:
+            yield pd.Series([redact(x, a, b) for x, a, b in zip(values, s, t)], dtype=object)
 
-    keyed = docs.withColumn("__key", F.xxhash64(docs[text]))
-    joined = keyed.join(found, keyed[doc_id].eqNullSafe(found["__d"]) & (keyed["__key"] == found["__k"]), "left")
-    return joined.withColumn(text, of(joined[text], joined["__s"], joined["__t"])).select(*docs.columns)
+    clean = every.where(F.size("__spans") == 0).select(*docs.columns)
+    fresh = texts.select(F.col("row").alias("__key"), of("text", "spans", "terms").alias("__text"))
+    private = every.where(F.size("__spans") > 0).drop(text).join(fresh, F.col("__row") == F.col("__key"))
+    return clean.unionByName(private.withColumnRenamed("__text", text).select(*docs.columns))
 
 
 def digest_of(spans: list[tuple[int, int, int]]) -> str:

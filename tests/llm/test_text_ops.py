@@ -138,6 +138,43 @@ def test_pii_discloses_terms(spark, docs, empty):
     assert pii.spans(empty).count() == 0 and pii.sanitise(empty).count() == 0
 
 
+def test_pii_terms_as_brute_force(spark):
+    """Every term of a document with an entity, by the definition over whole documents."""
+    import random
+
+    rnd, rows = random.Random(6), []
+    people = [f"p{k}@example.com" for k in range(12)]
+    for k in range(300):
+        words = [f"word{min(int(rnd.expovariate(0.05)), 400)}" for _ in range(30)]
+        if k % 4 == 0:
+            words += rnd.sample(people, rnd.choice([1, 1, 2, 3]))
+        if k % 7 == 0:
+            words += [f"only{k}"]
+        rnd.shuffle(words)
+        rows.append((k, " ".join(words)))
+    rows.append((900, rows[0][1]))  # a copy
+    rows.append((901, "far and near secret@example.com " + " ".join(["word1"] * 50) + " unheard"))
+    held = [(i, set(re.findall(r"\S+@example\.com", t)), set(re.findall(r"\w{3,}", re.sub(r"\S+@\S+", " ", t))), t) for i, t in rows]
+    size, n_t, n_e, both = len(rows), Counter(), Counter(), Counter()
+    for _, entities, _, t in held:
+        n_t.update(set(re.findall(r"\w{3,}", t)))
+        n_e.update(entities)
+    for _, entities, terms, _ in held:
+        both.update((e, t) for e in entities for t in terms)
+    want = {}
+    for i, entities, terms, _ in held:
+        want[i] = {t for t in terms for e in entities if math.log2(both[e, t] * size / (n_t[t] * n_e[e])) >= 0.8 * math.log2(size / n_e[e]) - 1e-9}
+    got = {r.doc_id: {dict(rows)[r.doc_id][x.start : x.end] for x in r.terms} for r in pii.spans(spark.createDataFrame(rows, SCHEMA)).collect()}
+    assert got == want
+    assert "unheard" in want[901] and "word1" not in want[901] and any(want[i] for i in range(0, 300, 4))
+
+
+def test_pii_generalises_to_classes():
+    text = "Call Zorblax or 12345 or ab12 or zorblax now"
+    places = [{"start": m.start(), "end": m.end()} for m in re.finditer(r"\b(?:[Zz]orblax|12345|ab12)\b", text)]
+    assert pii.redact(text, [], places) == "Call [NAME] or [NUMBER] or [CODE] or [WORD] now"
+
+
 def test_decontamination(spark, docs, empty):
     item = "A farmer named Alice has 12 apples and gives 5 kg to Bob, how many apples does Alice keep at the end of that day?"
     bench = spark.createDataFrame([(1, item), (2, None), (3, ""), (4, "too short")], "item_id long, text string")
