@@ -9,16 +9,17 @@ each word also occurs in the shard), and the maximal spans at or above the thres
 shards are made of what can match:
 
 1. every window is named by the smallest hash among its runs of ``RUN`` words (equal windows have equal
-   names at equal places); consecutive windows of one name are a segment of at most 2 * WINDOW - RUN words;
-2. names that occur once cannot repeat and are left out: names are counted in partial sums, and each document gets its
-   repeated names;
-3. segments of a name are put in order; a segment with the same words as an earlier one is repeated altogether,
-   and names whose segments are all the same need no more (names that occur more than ``SPLIT`` times are first
-   treated in parts, and then over the parts' first segments);
-4. the different segments of a name are a shard: each streams past the automaton of those before it, windows whose matching
+   names at equal places); consecutive windows of one name are a segment of at most 2 * WINDOW - RUN words, kept with a hash of its words;
+2. segments meet by name and are put in order; one with the same words as an earlier one is repeated altogether,
+   and names whose segments are all the same need no more. Names with more than ``SPLIT`` segments and more than one in ``HOT`` of all segments (so
+   ``HOT`` names at most) are first treated in parts, and then over the parts' first segments;
+3. the different segments of a name are a shard: each streams past the automaton of those before it, windows whose matching
    statistic reaches WINDOW are repeated, and the automaton is extended by the segment. A name with more than ``SHARD`` different segments is resolved by
    counting its windows instead, in partial sums, so that no task holds an unbounded shard.
 
+Texts are moved twice: those with different segments of a repeated name for step 3, and all when the ranges come back to them.
+Each step is written and the files of the one before it are deleted, so disk holds one step at a time.
+
 Defined results: null and empty texts have no words; texts of fewer than WINDOW words stay; rows with the same id are
 taken for copies of one document and none of them is earlier than the other; rows with a null id stay whole and repeat nothing; extra columns are not read.
 """
@@ -34,10 +35,12 @@ from numpy.lib.stride_tricks import sliding_window_view
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import WordHashes, mix64, rolled, written
+from .common import WordHashes, dropped, freed, mix64, rolled, written
 
 WINDOW, RUN = 20, 5
 SPLIT = 100_000
+HOT = 10_000
+COARSE = 1 << 16  # groups of names that are counted to find the hot ones
 SHARD = 5_000
 SHARD_WORDS = 200_000
 
@@ -123,20 +126,6 @@ def segments(ids: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     return runs[place[first]], first, np.append(first[1:], len(view))
 
 
-def names(docs: DataFrame) -> DataFrame:
-    """name, doc_id of every segment; docs: doc_id, text."""
-
-    def of(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        hashes = WordHashes()
-        for part in parts:
-            found = [segments(hashes.array(words_of(t)))[0] for t in part["text"]]
-            sizes = list(map(len, found))
-            name = np.concatenate(found).view(np.int64) if found else np.empty(0, np.int64)
-            yield pd.DataFrame({"name": name, "doc_id": np.repeat(part["doc_id"].to_numpy(np.int64), sizes)})
-
-    return docs.mapInPandas(of, "name long, doc_id long")
-
-
 _ODD = 0x9E3779B97F4A7C15
 
 
@@ -156,40 +145,42 @@ class RunHashes:
 
 
 def listed(docs: DataFrame) -> DataFrame:
-    """doc_id, name, part, split, first, behind, words_hash: the segments of repeated names.
-
-    docs: doc_id, text, wanted (repeated names), often and parts (those of them that are treated in parts, and in how many).
-    """
+    """name, doc_id, first, behind, words_hash of every segment; docs: doc_id, text."""
 
     def of(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         hashes, runs = WordHashes(), RunHashes()
         for frame in frames:
             out = []
-            for i, t, wanted, often, parts in zip(frame["doc_id"], frame["text"], frame["wanted"], frame["often"], frame["parts"]):
+            for i, t in zip(frame["doc_id"], frame["text"]):
                 ids = hashes.array(words_of(t))
                 name, first, behind = segments(ids)
-                name = name.view(np.int64)
-                keep = np.isin(name, wanted)
-                name, first, behind = name[keep], first[keep], behind[keep]
-                split = dict(zip(often, parts)) if len(often) else {}
-                n = np.fromiter((split.get(x, 1) for x in name.tolist()), np.int64, len(name)) if split else np.ones(len(name), np.int64)
-                out.append((np.full(len(name), i), name, i % n, n > 1, first, behind, runs(ids, first, behind - 1 + WINDOW).view(np.int64)))
+                out.append((name.view(np.int64), np.full(len(name), i), first, behind, runs(ids, first, behind - 1 + WINDOW).view(np.int64)))
             if out:
-                yield pd.DataFrame(dict(zip(("doc_id", "name", "part", "split", "first", "behind", "words_hash"), map(np.concatenate, zip(*out)))))
+                yield pd.DataFrame(dict(zip(("name", "doc_id", "first", "behind", "words_hash"), map(np.concatenate, zip(*out)))))
+
+    return docs.select("doc_id", "text").mapInPandas(of, "name long, doc_id long, first int, behind int, words_hash long")
 
-    return docs.select("doc_id", "text", "wanted", "often", "parts").mapInPandas(of, "doc_id long, name long, part long, split boolean, first int, behind int, words_hash long")
 
+def hot_names(rows: DataFrame) -> DataFrame:
+    """name, parts of the names that are treated in parts, at most ``HOT`` of them."""
+    size = F.greatest(F.lit(SPLIT), F.floor(F.sum("k").over(Window.partitionBy()) / HOT))  # over one row for each group of names
+    group = F.pmod("name", F.lit(COARSE))
+    heavy = rows.groupBy(group.alias("g")).agg(F.count(F.lit(1)).alias("k")).withColumn("size", size).where("k > size").select("g", "size")
+    found = rows.select("name").join(F.broadcast(heavy), group == F.col("g")).groupBy("name", "size").agg(F.count(F.lit(1)).alias("k"))
+    return found.where("k > size").select("name", F.ceil(F.col("k") / F.col("size")).alias("parts"))
 
-def resolved(rows: DataFrame) -> DataFrame:
-    """kind (0 repeated, 1 first of its words), name, doc_id, first, behind, of segments in the order of documents.
+
+def resolved(rows: DataFrame, hot: DataFrame) -> DataFrame:
+    """kind (0 repeated, 1 first of its words), name, doc_id, first, behind, of the segments of repeated names in the order of documents.
 
     First segments are told only of names in parts and of names with several of them.
     """
     place = F.struct("doc_id", "first")
     same = Window.partitionBy("name", "part", "words_hash")
     name = Window.partitionBy("name", "part")
-    seen = rows.repartition("name", "part").withColumn("least", F.min(place).over(same)).withColumns({"low": F.min("words_hash").over(name), "high": F.max("words_hash").over(name)})
-    told = seen.withColumn("kind", F.when(place > F.col("least"), 0).when(F.col("split") | (F.col("low") != F.col("high")), 1))
+    dealt = rows.join(F.broadcast(hot), "name", "left").withColumn("part", F.coalesce(F.pmod("doc_id", "parts"), F.lit(0)).cast("int"))
+    seen = dealt.repartition("name", "part").withColumn("least", F.min(place).over(same)).withColumns({"low": F.min("words_hash").over(name), "high": F.max("words_hash").over(name)})
+    told = seen.withColumn("kind", F.when(place > F.col("least"), 0).when(F.col("parts").isNotNull() | (F.col("low") != F.col("high")), 1))
     return told.where("kind is not null").select("kind", "name", "doc_id", "first", "behind")
 
 
@@ -233,12 +224,11 @@ def counted(shards: DataFrame) -> DataFrame:
 def repeated_ranges(docs: DataFrame) -> DataFrame:
     """doc_id, ranges (start, stop in words): what is repeated in each document; docs: doc_id, text."""
     known = docs.where("doc_id is not null and text is not null")
-    named = written(names(known))
-    often = named.groupBy("name").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("name", F.ceil(F.col("n") / SPLIT).alias("parts"))
-    split = F.when(F.col("parts") > 1, F.struct("name", "parts"))
-    wanted = named.join(often, "name").groupBy("doc_id").agg(F.collect_list("name").alias("wanted"), F.collect_set(split).alias("s"))
-    wanted = wanted.select("doc_id", "wanted", F.col("s.name").alias("often"), F.col("s.parts").alias("parts"))
-    found = written(resolved(listed(known.join(wanted, "doc_id"))))
+    rows = written(listed(known))
+    hot = written(hot_names(rows))
+    found = written(resolved(rows, hot))
+    dropped(rows, hot)
+    freed(docs.sparkSession)
     same = found.where("kind = 0").select("doc_id", F.col("first").alias("start"), (F.col("behind") - 1 + WINDOW).alias("stop"))
     firsts = found.where("kind = 1")
     sizes = firsts.groupBy("name").agg(F.count(F.lit(1)).alias("n"))
@@ -255,7 +245,10 @@ def repeated_ranges(docs: DataFrame) -> DataFrame:
 
     shards = known.join(asked, "doc_id").select("doc_id", F.inline(content("text", "asked")))
     small, large = matched(shards.where(F.col("n") <= SHARD)), counted(shards.where(F.col("n") > SHARD))
-    return same.unionByName(small).unionByName(large).groupBy("doc_id").agg(F.collect_list(F.struct("start", "stop")).alias("ranges"))
+    out = written(same.unionByName(small).unionByName(large).groupBy("doc_id").agg(F.collect_list(F.struct("start", "stop")).alias("ranges")))
+    dropped(found)
+    freed(docs.sparkSession)
+    return out
 
 
 def kept_words(words: list[bytes], ranges) -> list[bytes]:
