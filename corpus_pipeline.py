@@ -5,17 +5,19 @@
 3. decontamination: documents that leak a benchmark item go;
 4. personal_data: personal data and terms that disclose it are replaced in the texts, and n_chars follows;
 5. tokens: the texts' ids, as digests (``bpe.encode`` gives the lists).
+
+Defined results: a null or empty text gets the score of no evidence (the share of good labels), is no one's duplicate, leaks nothing, holds no personal data and has no
+tokens; rows with the same id and the same words are one document after stage 2, rows with a null id all stay; empty tables give no rows;
+extra columns pass through the first four stages whatever their names, unless they are named like ``documents``' own.
 """
 
 from __future__ import annotations
 
-import os
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from fdrepair.llm import bpe, decontaminate, neardup, pii, quality
-from fdrepair.llm.common import table
+from fdrepair.llm.common import dropped, freed, table, written
 from fdrepair.llm.queries import tokenizer
 
 
@@ -55,11 +57,10 @@ ORACLE_SQL = None
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over ``documents``; each stage's result is written and read again, in the shared checkpoint folder."""
     docs = table(spark, sf_dir, "documents")
-    base = spark.conf.get("spark.checkpoint.dir", None) or os.path.join("/tmp", "checkpoints")
-    folder = f"{base}/pipeline-{spark.sparkContext.applicationId}-{os.urandom(6).hex()}"
-    for k, (name, stage) in enumerate(STAGES):
-        docs = stage(spark, docs, sf_dir)
-        if k + 1 < len(STAGES):
-            docs.write.parquet(f"{folder}/{k}-{name}")
-            docs = spark.read.parquet(f"{folder}/{k}-{name}")
-    return docs
+    kept: list[DataFrame] = []
+    for _, stage in STAGES[:-1]:
+        kept.append(written(stage(spark, docs, sf_dir)))
+        dropped(*kept[:-1])
+        kept, docs = kept[-1:], kept[-1]
+        freed(spark)
+    return STAGES[-1][1](spark, docs, sf_dir)

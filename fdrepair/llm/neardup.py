@@ -10,11 +10,15 @@ two texts agree in a coordinate with the probability of their weighted Jaccard s
 
 ``BANDS`` bands of ``ROWS`` coordinates give candidate buckets (a pair of similarity 0.8 shares none
 with a probability of 4e-5). Texts with the same words are one node from the start. A bucket of at most
-``SMALL`` nodes proposes all its pairs at once; a larger one proposes in rounds the pairs of its first ``PIVOTS`` members with
-all after them, then of ``GROWTH`` times as many, and so on, members of the most bucket rows first. Every proposed pair is checked
-exactly, and links of similarity >= ``SIMILARITY`` join nodes to classes. A round takes all that is left where this is no more than the first round had. A later round leaves out only pairs that are in
-one class by then and pairs that were checked before, and rounds go on until no bucket has a pair left, so classes are those of all pairs
-that share a bucket. Proposals grow linearly where links join a bucket's members, and with its pairs only where they stay apart.
+``SMALL`` nodes proposes all its pairs at once. A larger one proposes in rounds, every member with a pivot: first the member of the most
+bucket rows, which is closest to the others, then members drawn by hash, ``GROWTH`` times as many each round. Every proposed pair is checked
+exactly, and links of similarity >= ``SIMILARITY`` join nodes to classes. A bucket is done when its members are of one class or have all been pivots.
+
+Between rounds members that can have no further link are left out by a bound: what a text shares with any text of another class weighs
+at most as much as its runs that occur in one at all. If these are less than ``SIMILARITY`` of its weight it has no link there; and a pair is
+proposed only if the runs of either text in question suffice for both texts' weight. So copies with many changes of their own, which share buckets
+with a whole group but belong to no class, cost a pass over their runs and not a pair with each of the others. No pair
+that could be a link is left out: classes are those of all pairs that share a bucket.
 
 Defined results: texts without words (null, empty, blank) are alone in their class, also if equal;
 repeated rows with the same id are one document; a null id stays null and alone; an empty table
@@ -29,18 +33,18 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import xxhash
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.components import components
-from .common import WordHashes, checkpointed, mix64, rolled
+from .common import WordHashes, dropped, freed, mix64, rolled, written
 
 WORDS = 5
 SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
 HASHES = BANDS * ROWS
 SMALL = 8
-PIVOTS, GROWTH = 2, 4
+GROWTH = 4
 _words = re.compile(r"\w+").findall
 _UNIT = 2.0**-53
 
@@ -146,53 +150,90 @@ def ordered(pairs: DataFrame) -> DataFrame:
     return pairs.where("node <> other").select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
 
 
-def buckets(nodes: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """key, all (the nodes) of the small buckets; key, node, place (from 1) of the large ones."""
-    rows = nodes.select("node", F.explode("keys").alias("key"))
-    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    member = rows.join(sizes, "key")
-    small = member.where(F.col("n") <= SMALL).groupBy("key").agg(F.collect_list("node").alias("all"))
-    large = member.where(F.col("n") > SMALL)
-    met = large.groupBy("node").agg(F.sum("n").alias("met"))
-    by = Window.partitionBy("key").orderBy(F.desc("met"), F.xxhash64("node"), "node")
-    return small, large.join(met, "node").select("key", "node", F.row_number().over(by).alias("place"))
+def open_members(large: DataFrame, classes: DataFrame | None) -> DataFrame:
+    """key, node, met, root of the buckets whose members are of several classes; classes: node, root (others are alone)."""
+    if classes is not None:
+        told = classes.select(F.col("node").alias("__node"), F.col("root").alias("__root"))
+        large = large.drop("root").join(told, F.col("node") == F.col("__node"), "left").select("key", "node", "met", F.coalesce("__root", "node").alias("root"))
+    several = large.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
+    return large.join(several, "key")
+
+
+def shingles(texts: DataFrame) -> DataFrame:
+    """node, e, c: the runs of each text and how often they occur; texts: node, text."""
+
+    @F.pandas_udf("array<struct<e:long,c:int>>")
+    def of(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+        hashes = WordHashes()
+        for part in parts:
+            out = []
+            for t in part:
+                e, c = weighted_shingles(hashes.array(words_of(t)))
+                out.append([{"e": x, "c": int(n)} for x, n in zip(e.view(np.int64).tolist(), c.tolist())])
+            yield pd.Series(out)
 
+    return texts.select("node", F.inline(of("text")))
 
-def round_pairs(large: DataFrame, done: int, upto: int) -> DataFrame:
-    """Pairs (node, other) of a large bucket's members at places over ``done`` up to ``upto`` with those after them, in different classes."""
-    pivots = large.where((F.col("place") > done) & (F.col("place") <= upto)).select("key", F.col("node").alias("other"), F.col("place").alias("at"), F.col("root").alias("its"))
-    others = large.where(F.col("place") > done)
-    return others.join(pivots, "key").where("place > at and root <> its").select("node", "other")
+
+def bounded(large: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
+    """large with w (weight of a member's runs) and s (of those that occur in another class), without members that can have no link."""
+    member = large.select("node", "root").distinct()
+    runs = shingles(texts.join(member.select("node"), "node", "left_semi")).join(member, "node")
+    common = runs.groupBy("e").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("e", F.lit(True).alias("common"))
+    weight = runs.join(common, "e", "left").groupBy("node").agg(F.sum("c").alias("w"), F.sum(F.when(F.col("common"), F.col("c")).otherwise(0)).alias("s"))
+    return large.join(weight.where(F.col("s") >= F.col("w") * (threshold - 1e-9)), "node")
+
+
+def pivot_pairs(large: DataFrame, pivots: DataFrame, threshold: float) -> DataFrame:
+    """Pairs (node, other) of the members of a bucket with its pivots of another class, where the bound allows a link."""
+    other = pivots.select("key", F.col("node").alias("other"), F.col("root").alias("its"), F.col("w").alias("w2"), F.col("s").alias("s2"))
+    need = (F.col("w") + F.col("w2")) * (threshold / (1 + threshold) - 1e-9)
+    return large.join(other, "key").where((F.col("root") != F.col("its")) & (F.col("s") >= need) & (F.col("s2") >= need)).select("node", "other")
 
 
 def linked(nodes: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
     """node, root: the least node of each class of the links among all pairs that share a bucket; nodes without links don't occur."""
-    small, large = buckets(nodes)
-    large = checkpointed(large.withColumn("root", F.col("node")))
+    rows = nodes.select("node", F.explode("keys").alias("key"))
+    sizes = rows.groupBy("key").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    member = written(rows.join(sizes, "key"))
+    small = member.where(F.col("n") <= SMALL).groupBy("key").agg(F.collect_list("node").alias("all"))
+    large = member.where(F.col("n") > SMALL)
+    large = written(large.join(large.groupBy("node").agg(F.sum("n").alias("met")), "node").select("key", "node", "met", F.col("node").alias("root")))
+    first = written(large.groupBy("key").agg(F.min(F.struct((-F.col("met")).alias("m"), F.xxhash64("node").alias("h"), "node")).getField("node").alias("other")))
     pairs = small.select(F.explode("all").alias("node"), "all").select("node", F.explode("all").alias("other"))
-    pairs = checkpointed(ordered(pairs.union(round_pairs(large, 0, PIVOTS))))
-    checked, few, done, upto = pairs, pairs.count(), PIVOTS, PIVOTS * GROWTH
+    pairs = written(ordered(pairs.union(large.join(first, "key").select("node", "other"))))
     found = components(verified(pairs, texts, threshold))
+    dropped(member)
+    freed(nodes.sparkSession)
+    checked, few, turn, held = pairs, pairs.count(), 0, None
+    large = large.join(first.select("key", F.col("other").alias("node")), ["key", "node"], "left_anti")
     while True:
-        roots = found.select(F.col("node").alias("member"), F.col("root").alias("now"))
-        named = large.where(F.col("place") > done).join(roots, F.col("root") == F.col("member"), "left").select("key", "node", "place", F.coalesce("now", "root").alias("root"))
-        open_ = named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
-        large = checkpointed(named.join(open_, "key"))
-        rest = large.groupBy("key").agg(F.count(F.lit(1)).alias("n"), F.max("place").alias("last")).agg(F.sum(F.expr("n * (n - 1) div 2")).alias("pairs"), F.max("last").alias("last")).first()
-        if rest.pairs is None:
+        turn += 1
+        large = written(open_members(large, found))
+        if large.isEmpty():
             return found
-        if rest.pairs <= few:
-            upto = rest.last
-        pairs = checkpointed(ordered(round_pairs(large, done, upto)).join(checked, ["a", "b"], "left_anti"))
-        links = verified(pairs, texts, threshold)
+        if held is None:
+            held = written(texts.join(large.select("node").distinct(), "node", "left_semi"))
+        large = written(open_members(bounded(large, held, threshold).drop("w", "s"), None))
+        if large.isEmpty():
+            return found
+        rated = written(bounded(large, held, threshold))
+        size = rated.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
+        rest = size.agg(F.sum(F.expr("n * (n - 1) div 2"))).first()[0] or 0
+        drawn = F.pmod(F.xxhash64("node", "key", F.lit(turn)), F.lit(1 << 30)) / F.lit(float(1 << 30))
+        share = F.lit(1.0) if rest <= few else F.lit(float(GROWTH**turn)) / F.col("n")
+        pivots = written(rated.join(size, "key").where(drawn < share).drop("n"))
+        pairs = written(ordered(pivot_pairs(rated, pivots, threshold)).join(checked, ["a", "b"], "left_anti"))
+        links = verified(pairs, held, threshold)
+        roots = found.select(F.col("node").alias("member"), F.col("root").alias("now"))
         for side in ("a", "b"):
             links = links.join(roots, F.col(side) == F.col("member"), "left").withColumn(side, F.coalesce("now", side)).drop("member", "now")
         moved = components(links)
         fresh = moved.join(found, "node", "left_anti").select("node", F.col("node").alias("root"))
         moved = moved.select(F.col("node").alias("was"), F.col("root").alias("now"))
-        found = checkpointed(found.union(fresh).join(moved, F.col("root") == F.col("was"), "left").select("node", F.coalesce("now", "root").alias("root")))
+        found = written(found.union(fresh).join(moved, F.col("root") == F.col("was"), "left").select("node", F.coalesce("now", "root").alias("root")))
         checked = checked.union(pairs)
-        done, upto = upto, upto * GROWTH
+        large = rated.drop("w", "s").join(pivots.select("key", "node"), ["key", "node"], "left_anti")
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:
@@ -222,7 +263,7 @@ def verified(pairs: DataFrame, texts: DataFrame, threshold: float = SIMILARITY)
 def classes(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, class_id: the least id of the documents that are linked to it, directly or through others."""
     docs = docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text"))
-    signed = checkpointed(signatures(docs))
+    signed = written(signatures(docs))
     same = signed.where("words_hash is not null and doc_id is not null").groupBy("words_hash").agg(F.min("doc_id").alias("node"), F.first("keys").alias("keys"))
     nodes = same.select("node", "keys")
     texts = docs.where("doc_id is not null and text is not null").select(F.col("doc_id").alias("node"), "text")
