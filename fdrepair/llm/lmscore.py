@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from .common import dropped, freed, mix64, written
 
 MIX = 0.7  # weight of the bigram share
-CHUNK = 16_000_000  # characters of a chunk's texts, about; also the measure of a key range
+CHUNK = 5_000_000  # characters of a chunk's texts, about; also the measure of a key range
 LEAST_CHUNKS = 8
 PAIR, WORD, CONTEXT = 0, 1, 2
 START = 0x5851F42D4C957F2D
@@ -191,6 +191,7 @@ def cross_entropy_difference(docs: DataFrame, labels: DataFrame, doc_id: str = "
     size = slim.agg(F.sum(F.length("text")).alias("n")).first().n or 0
     number = max(LEAST_CHUNKS, -(-size // CHUNK))
     blocks = written(asked(slim, target, number))
+    freed(docs.sparkSession)
     answers = written(answered(blocks))
     dropped(blocks)
     freed(docs.sparkSession)

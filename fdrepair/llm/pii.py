@@ -28,7 +28,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import written
+from .common import dropped, freed, written
 
 KINDS = ("email", "ip", "card", "phone")
 DISCLOSED = 0.8
@@ -124,7 +124,7 @@ def with_spans(docs: DataFrame, text: str = "text", out: str = "spans") -> DataF
 
 
 def holdings(texts: DataFrame) -> DataFrame:
-    """row, entities, terms: the different ones of each text with spans; texts: row, text, spans."""
+    """row, n, entities, terms: the different ones of each text with spans; texts: row, n, text, spans."""
 
     @F.pandas_udf("entities array<long>, terms array<long>")
     def of(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.DataFrame]:
@@ -135,7 +135,7 @@ def holdings(texts: DataFrame) -> DataFrame:
                 rows.append((sorted({entity(k, t[a:b]) for k, a, b in s}), sorted({w for w, _, _ in free_terms(t, s)})))
             yield pd.DataFrame(rows, columns=["entities", "terms"])
 
-    return texts.select("row", of("text", "spans").alias("h")).select("row", "h.*")
+    return texts.select("row", "n", of("text", "spans").alias("h")).select("row", "n", "h.*")
 
 
 def term_documents(docs: DataFrame, text: str = "text") -> DataFrame:
@@ -162,7 +162,7 @@ def term_documents(docs: DataFrame, text: str = "text") -> DataFrame:
 
 def disclosing(texts: DataFrame, docs: DataFrame, text: str = "text", share: float = DISCLOSED) -> DataFrame:
     """row, terms: the terms of each text that disclose one of its entities. texts: row, n (how many rows of docs it stands for), text, spans."""
-    held = written(holdings(texts).join(texts.select("row", "n"), "row"))
+    held = written(holdings(texts))
     total = docs.select(F.count(F.lit(1)).alias("total"))  # one row
     entities = held.select("row", "n", F.explode("entities").alias("e"))
     n_e = entities.groupBy("e").agg(F.sum("n").alias("n_e"))
@@ -203,11 +203,18 @@ def found(docs: DataFrame, text: str = "text", whole: bool = True) -> tuple[Data
     Equal texts are one of the second, so that a large group of copies is looked at once. whole: texts without spans are kept in the first.
     """
     some = F.size("__spans") > 0
-    every = with_spans(docs, text, "__spans").withColumn("__row", F.when(some, F.sha2(F.col(text).cast("binary"), 256)))
+    every = with_spans(docs, text, "__spans").withColumn("__key", F.when(some, F.unhex(F.sha2(F.col(text).cast("binary"), 256))))
     every = written(every if whole else every.withColumn(text, F.when(some, F.col(text))))
     private = every.where(F.size("__spans") > 0)
-    texts = written(private.groupBy(F.col("__row").alias("row")).agg(F.count(F.lit(1)).alias("n"), F.first(text).alias("text"), F.first("__spans").alias("spans")))
-    told = disclosing(texts, docs, text)
+    each = private.groupBy(F.col("__key").alias("key")).agg(F.count(F.lit(1)).alias("n"), F.first(text).alias("text"), F.first("__spans").alias("spans"))
+    texts = written(each.withColumn("row", F.monotonically_increasing_id()))
+    if not whole:  # the texts are in the second table now
+        held = every
+        every = written(every.drop(text))
+        dropped(held)
+    freed(docs.sparkSession)
+    told = written(disclosing(texts, docs, text))
+    freed(docs.sparkSession)
     return every, places(texts.join(told, "row", "left"))
 
 
@@ -217,7 +224,7 @@ def spans(docs: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFr
     every, texts = found(slim, whole=False)
     none = F.array().cast("array<struct<start:int,end:int>>")
     clean = every.where(F.size("__spans") == 0).select("doc_id", F.col("__spans").alias("spans"), none.alias("terms"))
-    private = every.where(F.size("__spans") > 0).select("doc_id", F.col("__row").alias("row")).join(texts.select("row", "spans", "terms"), "row")
+    private = every.where(F.size("__spans") > 0).select("doc_id", F.col("__key").alias("key")).join(texts.select("key", "spans", "terms"), "key")
     return clean.unionByName(private.select("doc_id", "spans", "terms"))
 
 
@@ -269,8 +276,8 @@ def sanitise(docs: DataFrame, text: str = "text") -> DataFrame:
             yield pd.Series([redact(x, a, b) for x, a, b in zip(values, s, t)], dtype=object)
 
     clean = every.where(F.size("__spans") == 0).select(*docs.columns)
-    fresh = texts.select(F.col("row").alias("__key"), of("text", "spans", "terms").alias("__text"))
-    private = every.where(F.size("__spans") > 0).drop(text).join(fresh, F.col("__row") == F.col("__key"))
+    fresh = texts.select(F.col("key").alias("__same"), of("text", "spans", "terms").alias("__text"))
+    private = every.where(F.size("__spans") > 0).drop(text).join(fresh, F.col("__key") == F.col("__same"))
     return clean.unionByName(private.withColumnRenamed("__text", text).select(*docs.columns))
 
 
