@@ -36,7 +36,7 @@ def all_repairs(df: DataFrame, fds, tid: str) -> DataFrame:
     spark, out = df.sparkSession, None
     for k, r in enumerate(rows):
         made = [(tuple(map(str, v)), sum(str(r[a]) != str(w) for a, w in zip(attributes, v))) for v in product(*(domains[a] for a in attributes))]
-        choice = spark.createDataFrame(made, f"t{k} struct<{','.join(f'`{a}`:string' for a in attributes)}>, c{k} int")
+        choice = spark.createDataFrame(made, f"t{k} struct<{','.join(f'`{a}`:string' for a in attributes)}>, c{k} int").coalesce(1)
         out = choice if out is None else out.crossJoin(choice)
     n = len(rows)
     for f in listed:

@@ -1,12 +1,13 @@
 """Rows violate an FD if their patterns are similar but not equal; the less frequent one is rewritten as the more frequent one.
 
-Works on distinct patterns. Pairs are looked for in blocks (same first characters of the left side), so a block's size decides the
-cost: it grows with the square of a block, as the approach it stands for does with the table.
+Works on distinct patterns. Two texts whose edit distance is at most a share of the longer one's length have pairs of letters in
+common, of each all but a few; so with pairs of letters put in order of their frequency, the rarest few of either text meet
+(prefix filter). Candidates are joined on those, no pair is lost, and the distance is computed for candidates of near length alone.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..operators import chase
@@ -15,23 +16,48 @@ from ..operators.patterns import project, simple, x
 from ..operators.store import written
 from ..plans import FD, build_plan
 
-PREFIX = 3
+GRAM = 2
 
 
-def similar_pairs(t: DataFrame, f: FD, tau: float = 0.8, prefix: int = PREFIX) -> DataFrame:
+def rare_grams(p: DataFrame, tau: float) -> DataFrame:
+    """text, gram of the rarest pairs of letters of each text, as many as a similar text needs to meet one.
+
+    p: text (different ones). A pair of letters and the number of its occurrence in the text are one gram. A partner's length is at most the
+    text's own over tau, which bounds the distance; each edit changes ``GRAM`` grams at most.
+    """
+    far = F.floor(F.length("text") * (1 / tau - 1) + 1e-9)
+    starts = F.sequence(F.lit(1), F.greatest(F.length("text") - GRAM + 1, F.lit(1)))
+    each = p.select("text", (far * GRAM + 1).alias("wanted"), F.explode(F.transform(starts, lambda k: F.substr(F.col("text"), k, F.lit(GRAM)))).alias("letters"))
+    nth = F.row_number().over(Window.partitionBy("text", "letters").orderBy(F.lit(1)))  # any order: occurrences are alike
+    grams = each.withColumn("gram", F.concat_ws("\x1f", "letters", nth.cast("string")))
+    often = grams.groupBy(F.col("gram").alias("g")).agg(F.count(F.lit(1)).alias("often"))
+    rank = F.row_number().over(Window.partitionBy("text").orderBy("often", "gram"))
+    return grams.join(often, F.col("gram") == F.col("g")).withColumn("rank", rank).where("rank <= wanted").select("text", "gram")
+
+
+def similar_texts(p: DataFrame, tau: float = 0.8) -> DataFrame:
+    """text, text2: pairs of different texts with 1 - distance / longer length >= tau, both ways; p: text (different ones)."""
+    grams = written(rare_grams(p, tau))
+    other = grams.select(F.col("text").alias("text2"), "gram")
+    share = int(round((1 - tau) * 1000))
+    longest = F.greatest(F.length("text"), F.length("text2"))
+    close = F.abs(F.length("text") - F.length("text2")) * 1000 <= longest * share
+    met = grams.join(other, "gram").where((F.col("text") < F.col("text2")) & close).select("text", "text2").distinct()
+    near = met.where(F.levenshtein("text", "text2") * 1000 <= longest * share)
+    return near.union(near.select("text2", "text"))
+
+
+def similar_pairs(t: DataFrame, f: FD, tau: float = 0.8) -> DataFrame:
     """lhs, rhs, cnt of a pattern and lhs2, rhs2, cnt2 of a more frequent similar one (ties: the smaller text)."""
     lhs = F.concat_ws("|", *[F.col(x(a)).cast("string") for a in f.lhs])
-    p = t.select(lhs.alias("lhs"), F.col("y").cast("string").alias("rhs"), "cnt").withColumn("text", F.concat_ws("|", "lhs", "rhs"))
-    p = p.withColumn("block", F.concat(F.substring("lhs", 1, prefix), F.lit(":"), F.length("lhs")))
-    q = p.select(*[F.col(c).alias(c if c == "block" else f"{c}2") for c in p.columns])
-    longest = F.greatest(F.length("text"), F.length("text2"))
-    # similarity as integers: 1 - distance / longest >= tau
-    near = F.levenshtein("text", "text2") * 1000 <= longest * int(round((1 - tau) * 1000))
+    p = written(t.select(lhs.alias("lhs"), F.col("y").cast("string").alias("rhs"), "cnt").withColumn("text", F.concat_ws("|", "lhs", "rhs")))
+    q = p.select(*[F.col(c).alias(f"{c}2") for c in p.columns])
     order = (F.col("cnt2") > F.col("cnt")) | ((F.col("cnt2") == F.col("cnt")) & (F.col("text2") < F.col("text")))
-    return p.join(q, "block").where((F.col("text") != F.col("text2")) & order & near).select("lhs", "rhs", "cnt", "lhs2", "rhs2", "cnt2")
+    met = similar_texts(p.select("text").distinct(), tau).join(p, "text").join(q, "text2")
+    return met.where(order).select("lhs", "rhs", "cnt", "lhs2", "rhs2", "cnt2")
 
 
-def similarity(df: DataFrame, fds, tid: str, tau: float = 0.8, prefix: int = PREFIX, **options) -> RepairResult:
+def similarity(df: DataFrame, fds, tid: str, tau: float = 0.8, **options) -> RepairResult:
     """Each left side takes the right side of its most frequent pattern, or of the most frequent similar pattern if that is more frequent."""
     plan = build_plan(fds, df.schema, **options)
     projected = written(project(df, plan.attributes, tid))
@@ -39,7 +65,7 @@ def similarity(df: DataFrame, fds, tid: str, tau: float = 0.8, prefix: int = PRE
     for f in plan.fds:
         t = written(simple(projected, f, plan.nulls))
         key = F.concat_ws("|", *[F.col(x(a)).cast("string") for a in f.lhs])
-        better = similar_pairs(t, f, tau, prefix).groupBy(F.col("lhs").alias("k"), F.col("rhs").alias("r")).agg(F.min(F.struct((-F.col("cnt2")).alias("c"), "rhs2")).alias("b"))
+        better = similar_pairs(t, f, tau).groupBy(F.col("lhs").alias("k"), F.col("rhs").alias("r")).agg(F.min(F.struct((-F.col("cnt2")).alias("c"), "rhs2")).alias("b"))
         own = t.withColumn("k", key).withColumn("r", F.col("y").cast("string"))
         met = own.join(better, ["k", "r"], "left").withColumns({"to": F.coalesce(F.col("b.rhs2"), F.col("r")), "votes": F.coalesce(-F.col("b.c"), F.col("cnt"))})
         pick = met.groupBy(*map(x, f.lhs)).agg(F.min(F.struct((-F.col("votes")).alias("v"), (-F.col("cnt")).alias("c"), "to")).alias("b"), F.count(F.lit(1)).alias("rivals"))

@@ -17,7 +17,7 @@ from ..plans.fd import parts
 from .components import components
 from .patterns import SCALE, project, x
 from .quality import Edges, edge_quality
-from .select import choose, long
+from .select import choose
 from .store import written, written_all
 
 
@@ -55,14 +55,16 @@ class RepairResult:
     def explain(self, tid) -> DataFrame:
         """attribute, fd, lhs, rhs, score, rival, rival_score: the chosen edge behind each free cell of a row, with the edges it was chosen from."""
         row = self.df.where(F.col(self.tid) == tid)
-        edges, chosen = self.edges.long(), long(self.decisions)
         out = None
         for f in self.plan.fds:
-            lhs = F.concat_ws("|", *[F.col(a).cast("string") for a in f.lhs])
-            mine = row.select(F.lit(f.rhs).alias("attribute"), F.lit(f.name).alias("fd"), lhs.alias("lhs"), F.col(f.rhs).cast("string").alias("rhs"))
-            out = mine if out is None else out.unionByName(mine)
-        rivals = edges.select("fd", "lhs", F.col("rhs").alias("rival"), F.round(F.col("quality_fp") / SCALE, 6).alias("rival_quality"))
-        return out.join(chosen.select("fd", "lhs", F.round(F.col("score_fp") / SCALE, 6).alias("score"), "origin"), ["fd", "lhs"], "left").join(rivals, ["fd", "lhs"], "left")
+            mine = row.select(*[F.col(a).alias(x(a)) for a in f.lhs], F.col(f.rhs).cast("string").alias("rhs"))
+            chosen = self.decisions[f].select(*map(x, f.lhs), F.round(F.col("score_fp") / SCALE, 6).alias("score"), "origin")
+            rivals = self.edges.tables[f].select(*map(x, f.lhs), F.col("y").cast("string").alias("rival"), F.round(F.col("quality_fp") / SCALE, 6).alias("rival_quality"))
+            lhs = F.concat_ws("|", *[F.col(x(a)).cast("string") for a in f.lhs])
+            met = mine.join(chosen, list(map(x, f.lhs)), "left").join(rivals, list(map(x, f.lhs)), "left")
+            part = met.select(F.lit(f.name).alias("fd"), lhs.alias("lhs"), F.lit(f.rhs).alias("attribute"), "rhs", "score", "origin", "rival", "rival_quality")
+            out = part if out is None else out.unionByName(part)
+        return out
 
 
 def key_of(plan: RepairPlan) -> tuple[str, ...]:
@@ -198,6 +200,9 @@ def repair(
         projected = written(projected)
     edges = edge_quality(projected, plan, score=score, normalize=normalize, weight=weight, keep=keep)
     decisions = choose(edges, strategy, theta=theta, theta_on=theta_on, strict=strict, anchor=anchor)
+    if plan.on_conflict == "deferred":
+        inside = [f for f in plan.fds if all(plan.component[a] == plan.component[f.rhs] for a in f.lhs)]
+        decisions = with_claims(edges, decisions, inside)
     if keep:
         decisions = written_all(decisions)
     return finish(df, plan, projected, edges, decisions, tid, scope)
@@ -239,13 +244,25 @@ def deferred(edges: Edges, f: FD) -> DataFrame:
     In each round every left side without a value claims its best value that is still free, and each value keeps its best
     claimant (quality, count, then the smaller left side); the others claim their next best. Rounds end when nothing is claimed.
     """
-    key = x(f.lhs[0])
-    rest = written(edges.tables[f].select(key, "y", "quality_fp", "cnt"))
+    key = list(map(x, f.lhs))
+    rest = written(edges.tables[f].select(*key, "y", "quality_fp", "cnt"))
     kept, n = None, 0
     while not rest.isEmpty():
         n += 1
-        claim = rest.groupBy(key).agg(F.min(F.struct((-F.col("quality_fp")).alias("q"), (-F.col("cnt")).alias("c"), "y")).alias("b")).select(key, "b.*")
-        won = written(claim.groupBy("y").agg(F.min(F.struct("q", "c", key)).alias("b")).select(F.col(f"b.{key}").alias(key), "y", F.lit(n).alias("rounds")))
+        claim = rest.groupBy(*key).agg(F.min(F.struct((-F.col("quality_fp")).alias("q"), (-F.col("cnt")).alias("c"), "y")).alias("b")).select(*key, "b.*")
+        won = written(claim.groupBy("y").agg(F.min(F.struct("q", "c", *key)).alias("b")).select(*[F.col(f"b.{a}").alias(a) for a in key], "y", F.lit(n).alias("rounds")))
         kept = won if kept is None else kept.unionByName(won)
-        rest = written(rest.join(won.select(key), key, "left_anti").join(won.select("y"), "y", "left_anti"))
-    return kept if kept is not None else rest.select(key, "y", F.lit(0).alias("rounds"))
+        rest = written(rest.join(won.select(*key), key, "left_anti").join(won.select("y"), "y", "left_anti"))
+    return kept if kept is not None else rest.select(*key, "y", F.lit(0).alias("rounds"))
+
+
+def with_claims(edges: Edges, decisions: dict[FD, DataFrame], fds) -> dict[FD, DataFrame]:
+    """decisions with those of the given FDs replaced by deferred claims; left sides that got no value of their own keep the decision they had."""
+    out = dict(decisions)
+    for f in fds:
+        key = list(map(x, f.lhs))
+        claims = deferred(edges, f).select(*key, F.col("y").alias("__y"))
+        told = decisions[f].join(claims, key, "left")
+        columns = decisions[f].columns
+        out[f] = told.withColumn("origin", F.when(F.col("__y").isNotNull(), "claim").otherwise(F.col("origin"))).withColumn("y", F.coalesce("__y", "y")).select(*columns)
+    return out

@@ -10,6 +10,7 @@ from pyspark.sql import functions as F
 
 from ..plans import FD, RepairPlan
 from ..plans.fd import interaction
+from .patterns import simple, x
 
 EMPTY = "named_struct('fds', cast(array() as array<string>), 'vals', cast(map() as map<string,string>))"
 
@@ -64,24 +65,28 @@ def render(p: Column) -> Column:
     return F.concat(F.array_join(p["fds"], ","), F.lit("{"), F.array_join(vals, ","), F.lit("}"))
 
 
-def composable_pairs(patterns: DataFrame, plan: RepairPlan) -> DataFrame:
-    """fd1, fd2, lhs1, rhs1, lhs2, rhs2, case: patterns of two FDs with one attribute on the left that meet in a shared value.
+def composable_pairs(projected: DataFrame, plan: RepairPlan) -> DataFrame:
+    """fd1, lhs1, rhs1, fd2, lhs2, rhs2, kind: patterns of two FDs that share attributes and agree on all of them.
 
-    patterns: fd, lhs, rhs, cnt. An equi-join on (attribute, value); the kinds of meeting come from the plan.
+    projected: the distinct projection. An equi-join on the shared attributes, on either side of either FD; the kind of meeting comes from the plan.
     """
+    tables = {f: simple(projected, f, plan.nulls) for f in plan.fds}
     out = None
-    p, q = patterns.select(F.col("fd").alias("fd1"), F.col("lhs").alias("lhs1"), F.col("rhs").alias("rhs1")), patterns.select(F.col("fd").alias("fd2"), F.col("lhs").alias("lhs2"), F.col("rhs").alias("rhs2"))
-    side = {"same_lhs": ("lhs1", "lhs2"), "same_rhs": ("rhs1", "rhs2")}
     for k, f in enumerate(plan.fds):
         for g in plan.fds[k + 1 :]:
-            case = interaction(f, g)
-            if case == "none" or len(f.lhs) > 1 or len(g.lhs) > 1:
+            kind = interaction(f, g)
+            if kind == "none":
                 continue
-            left, right = p.where(F.col("fd1") == f.name), q.where(F.col("fd2") == g.name)
-            a, b = side.get(case, ("rhs1", "lhs2") if f.rhs in g.lhs else ("lhs1", "rhs2"))
-            on = F.col(a) == F.col(b)
-            if case == "cycle":
-                on = on & (F.col("lhs1") == F.col("rhs2"))
-            part = left.join(right, on).withColumn("kind", F.lit(case))
+            left, right = tables[f].alias("p"), tables[g].alias("q")
+            on = [F.col(f"p.{side(f, a)}").eqNullSafe(F.col(f"q.{side(g, a)}")) for a in sorted(f.attributes & g.attributes)]
+            shown = [c for n, h, name in ((1, f, "p"), (2, g, "q")) for c in (F.lit(h.name).alias(f"fd{n}"), F.concat_ws("|", *[F.col(f"{name}.{x(a)}").cast("string") for a in h.lhs]).alias(f"lhs{n}"), F.col(f"{name}.y").cast("string").alias(f"rhs{n}"))]
+            part = left.join(right, on).select(*shown, F.lit(kind).alias("kind"))
             out = part if out is None else out.unionByName(part)
-    return out if out is not None else p.crossJoin(q).where("false").withColumn("kind", F.lit(""))
+    if out is None:
+        return projected.sparkSession.createDataFrame([], "fd1 string, lhs1 string, rhs1 string, fd2 string, lhs2 string, rhs2 string, kind string")
+    return out
+
+
+def side(f: FD, attribute: str) -> str:
+    """The column of an attribute in f's pattern table."""
+    return "y" if attribute == f.rhs else x(attribute)

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans import FD, RepairPlan
@@ -15,6 +15,11 @@ def x(attribute: str) -> str:
     return f"x_{attribute}"
 
 
+def values(column, f: FD) -> Column:
+    """The left-side values of an FD as a list of texts: a key for tables that hold several FDs. column: gives an attribute's column."""
+    return F.array(*[column(a).cast("string") for a in f.lhs])
+
+
 def project(df: DataFrame, attributes, tid: str) -> DataFrame:
     """The distinct values of the attributes with __w (how many rows) and __min_tid (the first of them).
 
@@ -55,9 +60,15 @@ def pattern_table(projected: DataFrame, plan: RepairPlan) -> DataFrame:
 
 
 def pattern_counts_one_pass(projected: DataFrame, plan: RepairPlan) -> DataFrame:
-    """fd, lhs, rhs, cnt of all FDs by one aggregation over grouping sets; for tables whose projection can't be kept."""
-    sides = [F.array(*[F.struct(F.lit(f.name).alias("fd"), F.concat_ws("|", *[F.col(a).cast("string") for a in f.lhs]).alias("lhs"), F.col(f.rhs).cast("string").alias("rhs"), F.array_contains(F.array(*[F.col(a).isNull() for a in (*f.lhs, f.rhs)]), True).alias("gap")) for f in plan.fds])]
-    return projected.select("__w", F.inline(sides[0])).where("not gap").groupBy("fd", "lhs", "rhs").agg(F.sum("__w").alias("cnt"))
+    """fd, lhs, rhs, cnt of all FDs by one aggregation; for tables whose projection can't be kept.
+
+    Left sides are grouped as lists of values, so values that hold the sign between them stay apart.
+    """
+    sides = F.array(*[F.struct(F.lit(f.name).alias("fd"), values(F.col, f).alias("left"), F.col(f.rhs).cast("string").alias("rhs")) for f in plan.fds])
+    rows = projected.select("__w", F.inline(sides))
+    if plan.nulls == "missing":
+        rows = rows.where(F.col("rhs").isNotNull() & ~F.exists("left", lambda v: v.isNull()))
+    return rows.groupBy("fd", "left", "rhs").agg(F.sum("__w").alias("cnt")).select("fd", F.array_join("left", "|").alias("lhs"), "rhs", "cnt")
 
 
 def instance_graph(patterns: DataFrame) -> tuple[DataFrame, DataFrame]:

@@ -13,7 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans import FD, RepairPlan
-from .patterns import SCALE, simple, x
+from .patterns import SCALE, simple, values, x
 from .store import written_all
 
 N_SCALE = 1_000_000  # weighted numbers of reachable patterns are kept as integers of so many parts
@@ -162,9 +162,10 @@ def vertex_quality(edges: Edges) -> DataFrame:
     """attribute, val, sum_fp, avg_fp: scores of the edges that leave a node, added up and averaged."""
     out = None
     for f, t in edges.tables.items():
-        part = t.groupBy(F.lit(",".join(f.lhs)).alias("attribute"), F.concat_ws("|", *[F.col(x(a)).cast("string") for a in f.lhs]).alias("val")).agg(F.sum("score_fp").alias("s"), F.count(F.lit(1)).alias("k"))
+        part = t.groupBy(F.lit(",".join(f.lhs)).alias("attribute"), values(lambda a: F.col(x(a)), f).alias("values")).agg(F.sum("score_fp").alias("s"), F.count(F.lit(1)).alias("k"))
         out = part if out is None else out.unionByName(part)
-    return out.groupBy("attribute", "val").agg(F.sum("s").alias("sum_fp"), F.floor(F.sum("s") / F.sum("k")).cast("long").alias("avg_fp"))
+    both = out.groupBy("attribute", "values").agg(F.sum("s").alias("sum_fp"), F.floor(F.sum("s") / F.sum("k")).cast("long").alias("avg_fp"))
+    return both.select("attribute", F.array_join("values", "|").alias("val"), "sum_fp", "avg_fp")
 
 
 def composed_quality(qualities: Column) -> Column:

@@ -129,7 +129,7 @@ def build_plan(
     ordered: bool = True,
 ) -> RepairPlan:
     """minimal: keep the FDs as given, reduce them, or be strict. ordered=False keeps the declared order (for comparison)."""
-    for value, allowed in ((reach, ("auto", "distinct", "path")), (back_edges, ("target", "outside")), (on_conflict, ("keep_first", "overwrite", "component")), (nulls, ("missing", "value")), (lhs_source, ("chased", "input")), (minimal, ("keep", "reduce", "strict"))):
+    for value, allowed in ((reach, ("auto", "distinct", "path")), (back_edges, ("target", "outside")), (on_conflict, ("keep_first", "overwrite", "component", "deferred")), (nulls, ("missing", "value")), (lhs_source, ("chased", "input")), (minimal, ("keep", "reduce", "strict"))):
         if value not in allowed:
             raise ValueError(f"{value!r} is none of {', '.join(allowed)}")
     listed = fds_.parse(fds, schema)

@@ -11,14 +11,15 @@ from ..operators import chase, compose, detect, errors, metrics, patterns, quali
 from ..operators.patterns import SCALE
 from ..operators.store import written
 from ..plans import build_plan
-from ..sources.tables import CASE2, CHAIN, CUSTOMER_SCORED, CYCLE, LINES, VIEWS
+from ..sources.tables import CASE2, CHAIN, COMPOSITE, CUSTOMER, CUSTOMER_SCORED, CYCLE, LINES, VIEWS
 from . import twin
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 ORACLES: dict[str, str] = {}
 
 RATE = 0.05
-SETS = {"orders": ("orders_wide", CHAIN), "customer": ("customer_wide", CUSTOMER_SCORED), "line": ("lineitem_wide", LINES), "cycle": ("orders_wide", CYCLE), "case2": ("orders_wide", CASE2)}
+CLAIMS = 8  # rounds of claims in SQL, more than the data need
+SETS = {"orders": ("orders_wide", CHAIN), "customer": ("customer_wide", CUSTOMER_SCORED), "line": ("lineitem_wide", LINES), "cycle": ("orders_wide", CYCLE), "case2": ("orders_wide", CASE2), "composite": ("customer_desk", COMPOSITE), "four": ("customer_wide", CUSTOMER)}
 
 
 def add(name: str, query: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
@@ -59,12 +60,15 @@ def _patterns() -> None:
     s = script("orders")
     s.plan(CHAIN)
 
-    def one_pass(spark, sf_dir):
-        _, df, fds = dirty(spark, sf_dir, "orders")
+    def one_pass(spark, sf_dir, which="orders"):
+        _, df, fds = dirty(spark, sf_dir, which)
         plan = build_plan(fds, df.schema)
         return patterns.pattern_counts_one_pass(patterns.project(df, plan.attributes, "tid"), plan)
 
     add("pat_one_pass", one_pass, s.say(f"select fd, lhs, rhs, cnt from ({s.patterns_long()})"))
+    c = script("composite")
+    c.plan(COMPOSITE)
+    add("pat_one_pass_composite", lambda spark, d: one_pass(spark, d, "composite"), c.say(f"select fd, lhs, rhs, cnt from ({c.patterns_long()})"))
     graph = f"select fd, split_part(fd, '->', 1) as src_attribute, lhs as src, split_part(fd, '->', 2) as dst_attribute, rhs as dst, cnt from ({s.patterns_long()})"
     nodes = f"select src_attribute as attribute, src as val from ({graph}) union select dst_attribute, dst from ({graph})"
 
@@ -88,24 +92,27 @@ def _patterns() -> None:
     plan = build_plan(CUSTOMER_SCORED)
     add("pat_of_tuples", tuples, twin.Script("customer_wide").say(" union all ".join(f"select tid, '{f.name}' as fd, {f.lhs[0]}::varchar as lhs, {f.rhs}::varchar as rhs from clean" for f in plan.fds)))
 
-    def pairs(spark, sf_dir):
-        df = VIEWS["customer_wide"](spark, sf_dir)
-        plan = build_plan(CUSTOMER_SCORED, df.schema)
-        return compose.composable_pairs(patterns.pattern_table(written(patterns.project(df, plan.attributes, "tid")), plan), plan)
-
     from ..plans.fd import interaction
 
-    s = twin.Script("customer_wide")
-    s.plan(CUSTOMER_SCORED)
-    long, found = s.add("long", s.patterns_long()), []
-    for k, f in enumerate(s.p.fds):
-        for g in s.p.fds[k + 1 :]:
-            case = interaction(f, g)
-            if case != "none":
-                a, b = {"same_lhs": ("lhs", "lhs"), "same_rhs": ("rhs", "rhs")}.get(case, ("rhs", "lhs") if f.rhs in g.lhs else ("lhs", "rhs"))
-                extra = " and p.lhs = q.rhs" if case == "cycle" else ""
-                found.append(f"select p.fd as fd1, p.lhs as lhs1, p.rhs as rhs1, q.fd as fd2, q.lhs as lhs2, q.rhs as rhs2, '{case}' as kind from {long} p join {long} q on p.{a} = q.{b}{extra} where p.fd = '{f.name}' and q.fd = '{g.name}'")
-    add("compose_pairs", pairs, s.say(" union all ".join(found)))
+    for name, which in (("compose_pairs", "customer"), ("compose_pairs_composite", "composite")):
+        view, fds = SETS[which]
+
+        def pairs(spark, sf_dir, view=view, fds=fds):
+            df = VIEWS[view](spark, sf_dir)
+            plan = build_plan(fds, df.schema)
+            return compose.composable_pairs(written(patterns.project(df, plan.attributes, "tid")), plan)
+
+        s = twin.Script(view)
+        s.plan(fds)
+        found = []
+        for k, f in enumerate(s.p.fds):
+            for g in s.p.fds[k + 1 :]:
+                kind = interaction(f, g)
+                if kind != "none":
+                    on = " and ".join(f"p.{compose.side(f, a)} = q.{compose.side(g, a)}" for a in sorted(f.attributes & g.attributes))
+                    p, q = (f"(select {s.key(h)} as lhs, y::varchar as rhs, * from {s.pat[h]})" for h in (f, g))
+                    found.append(f"select '{f.name}' as fd1, p.lhs as lhs1, p.rhs as rhs1, '{g.name}' as fd2, q.lhs as lhs2, q.rhs as rhs2, '{kind}' as kind from {p} p join {q} q on {on}")
+        add(name, pairs, s.say(" union all ".join(found)))
 
     def composed(spark, sf_dir):
         df = VIEWS["customer_wide"](spark, sf_dir)
@@ -126,6 +133,8 @@ def _quality() -> None:
         "quality_confidence_orders": ("orders", {}, {"weight": "confidence"}),
         "quality_best_orders": ("orders", {}, {"weight": "best"}),
         "quality_line": ("line", {}, {}),
+        "quality_composite": ("composite", {}, {}),
+        "quality_composite_path": ("composite", {"reach": "path"}, {}),
         "quality_case2": ("case2", {}, {}),
         "quality_closing_target": ("cycle", {"reach": "path"}, {}),
         "quality_closing_outside": ("cycle", {"reach": "path", "back_edges": "outside"}, {}),
@@ -150,6 +159,17 @@ def _quality() -> None:
     add("quality_vertex", lambda spark, d: quality.vertex_quality(edges_for(spark, d, "orders", reach="path")), s.say(f"select attribute, val, sum(score_fp)::bigint as sum_fp, floor(sum(score_fp)::double / count(*))::bigint as avg_fp from ({each}) group by all"))
 
 
+    def along(spark, sf_dir):
+        e = edges_for(spark, sf_dir, "orders", reach="path")
+        f, g = (next(h for h in e.plan.fds if h.name == n) for n in ("c_nationkey->n_name", "n_name->n_regionkey"))
+        left, right = e.tables[f].alias("p"), e.tables[g].alias("q")
+        met = left.join(right, F.col("p.y") == F.col("q.x_n_name"))
+        return met.select(F.col("p.x_c_nationkey").alias("c_nationkey"), F.col("p.y").alias("n_name"), F.col("q.y").alias("n_regionkey"), quality.composed_quality(F.array("p.quality_fp", "q.quality_fp")).alias("quality_fp"))
+
+    f, g = (next(h for h in s.p.fds if h.name == n) for n in ("c_nationkey->n_name", "n_name->n_regionkey"))
+    add("quality_composed", along, s.say(f"select p.x_c_nationkey as c_nationkey, p.y as n_name, q.y as n_regionkey, floor((p.quality_fp + q.quality_fp) / 2.0)::bigint as quality_fp from {s.q[f]} p join {s.q[g]} q on p.y = q.x_n_name"))
+
+
 def _selection() -> None:
     grid = {
         "select_greedy_orders": ("orders", "greedy", {}),
@@ -161,6 +181,8 @@ def _selection() -> None:
         "select_cover_cycle": ("cycle", "cover", {}),
         "select_hybrid_line": ("line", "hybrid", {}),
         "select_greedy_case2": ("case2", "greedy", {}),
+        "select_cover_composite": ("composite", "cover", {}),
+        "select_hybrid_four": ("four", "hybrid", {}),
     }
     for name, (which, strategy, options) in grid.items():
         s = script(which)
@@ -189,6 +211,9 @@ def _repairs() -> None:
         "repair_orders_nulls": ("orders", "null", "greedy", {"weight": "confidence"}),
         "repair_customer_cycle": ("customer", "swap", "hybrid", {}),
         "repair_orders_cycle": ("cycle", "swap", "greedy", {"prefer_bound": ["o_custkey"]}),
+        "repair_composite": ("composite", "swap", "hybrid", {}),
+        "repair_composite_confidence": ("composite", "mix", "cover", {"weight": "confidence"}),
+        "repair_four": ("four", "swap", "greedy", {}),
         "repair_line_case1": ("line", "swap", "hybrid", {}),
         "repair_case2_keep_first": ("case2", "swap", "greedy", {}),
         "repair_case2_overwrite": ("case2", "swap", "greedy", {"on_conflict": "overwrite"}),
@@ -203,9 +228,9 @@ def _repairs() -> None:
 
         add(name, run, s.say(s.repaired()))
         stem = name.removeprefix("repair_")
-        if name in ("repair_orders_hybrid", "repair_customer_cycle", "repair_line_case1", "repair_case2_overwrite"):
+        if name in ("repair_orders_hybrid", "repair_customer_cycle", "repair_line_case1", "repair_case2_overwrite", "repair_composite"):
             add(f"delta_{stem}", lambda spark, d, a=(which, kind, strategy), o=options: fixed(spark, d, *a, **o).delta, s.say(s.delta()))
-        if name in ("repair_orders_hybrid", "repair_orders_cycle", "repair_case2_keep_first", "repair_line_case1"):
+        if name in ("repair_orders_hybrid", "repair_orders_cycle", "repair_case2_keep_first", "repair_line_case1", "repair_composite"):
             add(f"rtab_{stem}", lambda spark, d, a=(which, kind, strategy), o=options: fixed(spark, d, *a, **o).repair_tables(), s.say(s.tables_long()))
             add(f"expr_{stem}", lambda spark, d, a=(which, kind, strategy), o=options: fixed(spark, d, *a, **o).expressions, s.say(s.expressions()))
         if name in ("repair_case2_keep_first", "repair_orders_cycle"):
@@ -217,8 +242,41 @@ def _repairs() -> None:
     picked = " union all ".join(f"select '{f.name}' as fd, {s.key(f)} as lhs, round(score_fp / 1e9, 6) as score, origin from {t}" for f, t in s.d.items())
     rivals = f"select fd, lhs, rhs as rival, round(quality_fp / 1e9, 6) as rival_quality from ({s.quality_long()})"
     add("explain_orders", lambda spark, d: fixed(spark, d, "orders").explain(7), s.say(f"select fd, lhs, attribute, rhs, score, origin, rival, rival_quality from ({' union all '.join(lines)}) left join ({picked}) using (fd, lhs) left join ({rivals}) using (fd, lhs)"))
-    # merging: one value for each component of left sides; rows-only, as components need as many rounds as the data ask for
-    add("repair_case2_component", lambda spark, d: (lambda r: r.df.select("tid", *r.plan.attributes))(fixed(spark, d, "case2", strategy="greedy", on_conflict="component")))
+    # merging: one value for each component of left sides
+    s = script("case2")
+    s.plan(CASE2)
+    s.quality()
+    s.choose("greedy")
+    s.chase()
+    s.merge()
+    s.apply()
+    add("repair_case2_component", lambda spark, d: (lambda r: r.df.select("tid", *r.plan.attributes))(fixed(spark, d, "case2", strategy="greedy", on_conflict="component")), s.say(s.repaired()))
+
+    # deferred claims inside a cycle, alone and in a repair
+    s = script("cycle")
+    s.plan(CYCLE, prefer_bound=["o_custkey"])
+    s.quality()
+    inside = [f for f in s.p.fds if all(s.p.component[a] == s.p.component[f.rhs] for a in f.lhs)]
+    add("deferred_claims", lambda spark, d: chase.deferred(edges_for(spark, d, "cycle", prefer_bound=["o_custkey"]), inside[0]).withColumn("rounds", F.col("rounds").cast("int")), s.say(s.claims(inside[0], CLAIMS)))
+    s.choose("greedy")
+    for f in inside:
+        told = s.add("claims", s.claims(f, CLAIMS))
+        s.d[f] = s.add("pick", f"select d.* replace (coalesce(w.y, d.y) as y, case when w.y is not null then 'claim' else d.origin end as origin) from {s.d[f]} d left join {told} w using ({', '.join(f'x_{a}' for a in f.lhs)})")
+    s.chase()
+    s.apply()
+    add("repair_cycle_deferred", lambda spark, d: (lambda r: r.df.select("tid", *r.plan.attributes))(fixed(spark, d, "cycle", strategy="greedy", on_conflict="deferred", prefer_bound=["o_custkey"])), s.say(s.repaired()))
+
+    # repaired again until nothing changes
+    def stable(spark, sf_dir):
+        _, df, fds = dirty(spark, sf_dir, "customer")
+        r, _ = chase.repair_until_stable(df, fds, "tid", "greedy", max_rounds=3, lhs_source="input")
+        return r.df.select("tid", *r.plan.attributes)
+
+    s = script("customer")
+    for _ in range(3):
+        s.repair(CUSTOMER_SCORED, "greedy", lhs_source="input")
+        s.dirty = s.add("again", f"select * exclude ({', '.join(f'old_{a}' for a in s.touched())}) from {s.fixed}")
+    add("repair_until_stable", stable, s.say(s.repaired()))
 
     def scoped(spark, sf_dir):
         _, df, fds = dirty(spark, sf_dir, "orders")

@@ -9,7 +9,8 @@ from ..sources.tables import LINE
 VIEWS = {
     "orders_wide": "select o_orderkey as tid, o_custkey, c_name, c_nationkey, n_name, n_regionkey, r_name, c_mktsegment from orders join customer on o_custkey = c_custkey join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey",
     "customer_wide": "select c_custkey as tid, c_custkey, c_nationkey, n_name, n_regionkey, r_name, c_mktsegment from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey",
-    "lineitem_wide": f"select tid, l_partkey, p_name, p_brand, p_type, l_suppkey, s_name, s_nationkey, n_name from (select *, row_number() over (order by {', '.join(LINE)}) as tid from lineitem) join part on l_partkey = p_partkey join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey",
+    "customer_desk": "select c_custkey as tid, n_name, c_mktsegment, r_name || '|' || c_mktsegment as desk, r_name, c_nationkey from customer join nation on c_nationkey = n_nationkey join region on n_regionkey = r_regionkey",
+    "lineitem_wide": f"select tid, l_partkey, p_name, p_brand, p_type, l_suppkey, s_name, s_nationkey, n_name from (select *, l_orderkey * 1000 + row_number() over (partition by l_orderkey order by {', '.join(LINE)}) as tid from lineitem) join part on l_partkey = p_partkey join supplier on l_suppkey = s_suppkey join nation on s_nationkey = n_nationkey",
     "pages_lang": "select page_id as tid, regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) as host, regexp_extract(url, '^[a-z]+://[^/]+/([a-z]+)/', 1) as path_lang, regexp_extract(html, '<html lang=\"([a-z]+)\"', 1) as html_lang from pages",
     "documents_src": "select doc_id as tid, md5(text) as digest, lang, source, n_chars from documents",
     "events_user": "select event_id as tid, user_id, event_type, json_extract_string(props, '$.k') as k from events",
@@ -34,7 +35,8 @@ class Script:
         return name
 
     def say(self, query: str) -> str:
-        return "with " + ",\n".join(f"{n} as materialized ({b})" for n, b in self.ctes) + "\n" + query
+        walks = any(n.startswith("walk_") for n, _ in self.ctes)
+        return f"with {'recursive ' * walks}" + ",\n".join(f"{n} as ({b})" if n.startswith("walk_") else f"{n} as materialized ({b})" for n, b in self.ctes) + "\n" + query
 
     def inject(self, fds: str, rate: float, seed: int = 1, kind: str = "swap") -> Script:
         for k, f in enumerate(parse(fds)):
@@ -224,6 +226,111 @@ class Script:
         both = f"select *, correct::double / nullif(changed, 0) as p, fixed::double / nullif(dirty, 0) as r from ({one})"
         return f"select changed, correct, dirty, fixed, round(p, 6) as precision, round(r, 6) as recall, round(2 * p * r / nullif(p + r, 0), 6) as f1 from ({both})"
 
+    def known(self, a: str) -> str:
+        return a if a in NUMBERS else f"case when {a} not like '⊥%' then {a} end"
+
+    def cover_round(self, fds, tag: int = 1, only_fresh: bool = False) -> str:
+        """One round of the conflict cover over the current table."""
+        fds, cur = list(fds), self.dirty
+        touched = list(dict.fromkeys(a for f in fds for a in (*f.lhs, f.rhs)))
+        conf, kept = [], []
+        for f in fds:
+            seen = f"select {', '.join(f'{self.known(a)} as g_{a}' for a in f.lhs)}, {self.known(f.rhs)} as v from {cur}"
+            full = " and ".join([*(f"g_{a} is not null" for a in f.lhs), "v is not null"])
+            conf.append(self.add("conf", f"select *, sum(c) over (partition by {', '.join(f'g_{a}' for a in f.lhs)}) - c as n from (select *, count(*) as c from ({seen}) where {full} group by all)"))
+        joins = " ".join(f"left join {t} c{k} on {' and '.join(f'd.{a} = c{k}.g_{a}' for a in f.lhs)} and d.{f.rhs} = c{k}.v" for k, (f, t) in enumerate(zip(fds, conf)))
+        each = ", ".join(f"coalesce(c{k}.n, 0)::bigint as conf{k}" for k in range(len(fds)))
+        rated = self.add("rated", f"select *, {', '.join(' + '.join(f'conf{k}' for k, f in enumerate(fds) if a in f.attributes) + f' as deg_{a}' for a in touched)} from (select d.*, {each} from {cur} d {joins})")
+        for f in fds:
+            seen = f"select {', '.join(f'{self.known(a)} as g_{a}' for a in f.lhs)}, {self.known(f.rhs)} as v, deg_{f.rhs} as deg from {rated}"
+            full = " and ".join([*(f"g_{a} is not null" for a in f.lhs), "v is not null"])
+            left = ", ".join(f"g_{a}" for a in f.lhs)
+            kept.append(self.add("kept", f"select {left}, v from (select *, row_number() over (partition by {left} order by (d * 1000) // c, c desc, v) as k from (select {left}, v, count(*) as c, sum(deg)::bigint as d from ({seen}) where {full} group by all)) where k = 1"))
+        gone: dict[str, list[str]] = {}
+        for k, f in enumerate(fds):
+            cells, earlier = [f.rhs, *f.lhs], []
+            for a in cells:
+                here = f"deg_{a} = greatest({', '.join(f'deg_{b}' for b in cells)})"
+                gone.setdefault(a, []).append("(" + " and ".join([f"conf{k} > 0", f"{f.rhs} <> k{k}.v", here, *earlier]) + ")")
+                earlier.append(f"not ({here})")
+        new = []
+        for a, ways in gone.items():
+            fresh = "null" if a in NUMBERS else f"'⊥{a}#' || tid || '#{tag}'"
+            told = [f"k{k}.v" for k, f in enumerate(fds) if f.rhs == a]
+            if told and not only_fresh:
+                agreed = f"coalesce({', '.join(told)})"
+                same = " and ".join(f"coalesce({t} = {agreed}, true)" for t in told)
+                fresh = f"case when {agreed} is not null and {same} and {agreed} <> {a} then {agreed} else {fresh} end"
+            new.append(f"case when {' or '.join(f'coalesce({w}, false)' for w in ways)} then {fresh} else {a} end as {a}")
+        joins = " ".join(f"left join {t} k{k} on {' and '.join(f'd.{a} = k{k}.g_{a}' for a in f.lhs)}" for k, (f, t) in enumerate(zip(fds, kept)))
+        helpers = ", ".join([*(f"conf{k}" for k in range(len(fds))), *(f"deg_{a}" for a in touched)])
+        self.dirty = self.add("covered", f"select d.* exclude ({helpers}) replace ({', '.join(new)}) from {rated} d {joins}")
+        return self.dirty
+
+    def conflict_cover(self, fds, rounds: int = 4) -> str:
+        """Rounds of the conflict cover and one of fresh values; rounds without conflicts change nothing. The result goes to ``fixed``."""
+        before = self.dirty
+        self.p = build_plan(fds)
+        for k in range(1, rounds + 2):
+            self.cover_round(self.p.fds, k, k > rounds)
+        free = self.p.free
+        done = f"select tid, {', '.join(f'{self.known(a)} as {a}' for a in free)} from {self.dirty}"
+        self.fixed = self.add("fixed", f"select n.*, {', '.join(f'o.{a} as old_{a}' for a in free)} from ({done}) n join {before} o using (tid)")
+        return self.dirty
+
+    def similar(self, fds: str, tau: int = 800) -> str:
+        """Decisions of the similarity baseline by comparing all patterns of an FD, then the chase."""
+        self.plan(fds)
+        self.d = {}
+        for k, f in enumerate(self.p.fds):
+            left = ", ".join(f"x_{a}" for a in f.lhs)
+            base = self.add("texts", f"select {left}, y, cnt, {self.key(f)} as k, y::varchar as r, concat_ws('|', {self.key(f)}, y::varchar) as text from {self.pat[f]}")
+            near = f"levenshtein(a.text, b.text) * 1000 <= greatest(length(a.text), length(b.text)) * {1000 - tau}"
+            more = "(b.cnt > a.cnt or (b.cnt = a.cnt and b.text < a.text))"
+            better = self.add("better", f"select k, r, r2, c2 from (select a.k, a.r, b.r as r2, b.cnt as c2, row_number() over (partition by a.k, a.r order by b.cnt desc, b.r) as n from {base} a join {base} b on abs(length(a.text) - length(b.text)) * 1000 <= greatest(length(a.text), length(b.text)) * {1000 - tau} where a.text <> b.text and {more} and {near}) where n = 1")
+            met = f"select t.*, coalesce(b.r2, t.r) as goal, coalesce(b.c2, t.cnt) as votes from {base} t left join {better} b using (k, r)"
+            kind = "bigint" if f.rhs in NUMBERS else "varchar"
+            self.d[f] = self.add("alike", f"select {left}, goal::{kind} as y, 'similar' as origin from (select *, row_number() over (partition by {left} order by votes desc, cnt desc, goal) as n from ({met})) where n = 1")
+        self.chase()
+        return self.apply()
+
+    def drawn(self, fds: str, seed: int = 1) -> str:
+        """Decisions of the sampling baseline, then the chase."""
+        self.plan(fds)
+        h = f"((tid * 40503 + {7919 * seed}) % 1000003)"
+        self.d = {}
+        for f in self.p.fds:
+            left = ", ".join(f.lhs)
+            keep = " and ".join(f"{a} is not null" for a in (*f.lhs, f.rhs))
+            self.d[f] = self.add("drawn", f"select {', '.join(f'{a} as x_{a}' for a in f.lhs)}, {f.rhs} as y, 'drawn' as origin from (select *, row_number() over (partition by {left} order by ({h} * {h} + {104729 * seed} + tid) % 1000003, tid) as k from {self.dirty} where {keep}) where k = 1")
+        self.chase()
+        return self.apply()
+
+    def claims(self, f: FD, rounds: int) -> str:
+        """Rounds of deferred claims of an FD: left side, y, rounds."""
+        left = [f"x_{a}" for a in f.lhs]
+        keys, rest, won = ", ".join(left), f"select {', '.join(left)}, y, quality_fp, cnt from {self.q[f]}", []
+        for n in range(1, rounds + 1):
+            rest = self.add("rest", rest)
+            claim = f"select * from (select *, row_number() over (partition by {keys} order by quality_fp desc, cnt desc, y) as k from {rest}) where k = 1"
+            won.append(self.add("won", f"select {keys}, y, {n} as rounds from (select *, row_number() over (partition by y order by quality_fp desc, cnt desc, {keys}) as j from ({claim})) where j = 1"))
+            rest = f"select r.* from {rest} r anti join {won[-1]} w using ({keys}) anti join {won[-1]} v on r.y = v.y"
+        return " union all ".join(f"select * from {w}" for w in won)
+
+    def merge(self) -> str:
+        """One value for each component of left-side values of a shared right side (by recursion), in place of the chase's."""
+        for a in self.p.shared_rhs():
+            fds = [f for f in self.p.fds if f.rhs == a]
+            names = [f"concat_ws(chr(31), '{f.name}', {', '.join(f'v_{b}::varchar' for b in f.lhs)})" for f in fds]
+            links = self.add("links", " union ".join(f"select {names[0]} as a, {n} as b from {self.cur}" for n in names))
+            both = self.add("sides", f"select a, b from {links} union select b, a from {links}")
+            self.ctes.append((f"walk_{a}(a, b)", f"select a, a from {both} union select walk_{a}.a, e.b from walk_{a} join {both} e on walk_{a}.b = e.a"))
+            roots = self.add("roots", f"select a as node, min(b) as root from walk_{a} group by a")
+            votes = " union all ".join(f"select concat_ws(chr(31), '{f.name}', {', '.join(f'x_{b}::varchar' for b in f.lhs)}) as node, y, quality_fp::hugeint * cnt as s from {self.q[f]}" for f in fds)
+            best = self.add("best", f"select root, y from (select root, y, row_number() over (partition by root order by sum(s) desc, y) as k from ({votes}) join {roots} using (node) group by root, y) where k = 1")
+            self.cur = self.add("cur", f"select c.* replace (coalesce(b.y, c.v_{a}) as v_{a}) from (select *, {names[0]} as node from {self.cur}) c left join {roots} r using (node) left join {best} b using (root)")
+        return self.cur
+
     def tables_long(self) -> str:
         return " union all ".join(f"select '{f.name}' as fd, {self.key(f)} as lhs, y::varchar as rhs, origin from {t}" for f, t in self.r.items())
 

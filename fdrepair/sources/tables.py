@@ -27,16 +27,24 @@ def customer_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
 LINE = ("l_orderkey", "l_partkey", "l_suppkey", "l_linenumber", "l_quantity", "l_extendedprice", "l_discount", "l_tax", "l_returnflag", "l_linestatus", "l_shipdate")
 
 
+MOST_LINES = 1000  # of an order
+
+
 def lineitem_wide(spark: SparkSession, sf_dir: str, numbered: bool = True) -> DataFrame:
-    """Line items with part and supplier. numbered: ids are row numbers over all columns, the same in any engine but made in one
-    task; else a 64-bit hash of the row, which needs no order (ids may then collide; ``collisions`` counts them)."""
+    """Line items with part and supplier. numbered: ids are the order's key and the row's number in the order, the same in any
+    engine; else a 64-bit hash of the row, which needs no order (ids may then collide; ``collisions`` counts them)."""
     line, p, s, n = (table(spark, sf_dir, t) for t in ("lineitem", "part", "supplier", "nation"))
-    keyed = line.withColumn("tid", F.row_number().over(Window.orderBy(*LINE)).cast("long") if numbered else F.abs(F.xxhash64(*LINE)))
+    keyed = line.withColumn("tid", (F.col("l_orderkey") * MOST_LINES + F.row_number().over(Window.partitionBy("l_orderkey").orderBy(*LINE))).cast("long") if numbered else F.abs(F.xxhash64(*LINE)))
     met = keyed.select("tid", "l_partkey", "l_suppkey").join(p.select("p_partkey", "p_name", "p_brand", "p_type"), F.col("l_partkey") == F.col("p_partkey"))
     met = met.join(s.select("s_suppkey", "s_name", "s_nationkey"), F.col("l_suppkey") == F.col("s_suppkey")).join(n.select("n_nationkey", "n_name"), F.col("s_nationkey") == F.col("n_nationkey"))
     return met.select("tid", "l_partkey", "p_name", "p_brand", "p_type", "l_suppkey", "s_name", "s_nationkey", "n_name")
 
 
+def customer_desk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Customers with the desk that serves them, named by region and segment; its values hold the sign that joins left sides in texts."""
+    return customer_wide(spark, sf_dir).select("tid", "n_name", "c_mktsegment", F.concat_ws("|", "r_name", "c_mktsegment").alias("desk"), "r_name", "c_nationkey")
+
+
 def collisions(df: DataFrame, tid: str) -> DataFrame:
     """How many ids occur more than once."""
     return df.groupBy(tid).agg(F.count(F.lit(1)).alias("k")).where("k > 1").agg(F.count(F.lit(1)).alias("collisions"))
@@ -73,7 +81,8 @@ def conv_role(spark: SparkSession, sf_dir: str) -> DataFrame:
 CHAIN = "o_custkey -> c_nationkey; c_nationkey -> n_name; n_name -> n_regionkey; n_regionkey -> r_name"
 CUSTOMER = "c_custkey -> c_nationkey; c_nationkey -> n_name; n_name -> c_nationkey; n_name -> r_name"
 CUSTOMER_SCORED = "c_nationkey -> n_name; n_name -> c_nationkey; n_name -> r_name"
+COMPOSITE = "n_name, c_mktsegment -> desk; desk -> r_name; desk, n_name -> c_nationkey"
 LINES = "l_partkey -> p_brand; l_partkey -> p_type; l_suppkey -> s_nationkey; s_nationkey -> n_name"
 CASE2 = "o_custkey -> r_name; c_nationkey -> r_name"
 CYCLE = "c_name -> o_custkey; o_custkey -> c_name; o_custkey -> c_nationkey; c_nationkey -> n_name"
-VIEWS = {"orders_wide": orders_wide, "customer_wide": customer_wide, "lineitem_wide": lineitem_wide, "pages_lang": pages_lang, "documents_src": documents_src, "events_user": events_user, "conv_role": conv_role}
+VIEWS = {"orders_wide": orders_wide, "customer_wide": customer_wide, "customer_desk": customer_desk, "lineitem_wide": lineitem_wide, "pages_lang": pages_lang, "documents_src": documents_src, "events_user": events_user, "conv_role": conv_role}

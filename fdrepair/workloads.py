@@ -3,8 +3,11 @@
 from __future__ import annotations
 
 import time
-from collections.abc import Iterable
+from collections.abc import Callable, Iterable
+from concurrent.futures import ThreadPoolExecutor
+from functools import reduce
 
+from pyspark import inheritable_thread_target
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,6 +16,8 @@ from .operators import chase, errors, metrics
 from .operators.store import written
 from .plans import build_plan
 
+SIDE_BY_SIDE = 4
+
 #: Algorithms by name: (dirty, fds, tid, truth) -> (repaired, free attributes).
 ALGORITHMS = {
     "greedy": lambda d, f, t, _: _own(chase.repair(d, f, t, "greedy")),
@@ -38,16 +43,23 @@ def _own(result) -> tuple[DataFrame, tuple[str, ...]]:
 
 
 def measure(truth: DataFrame, fds, algorithms: Iterable[str], rate: float, kind: str, seed: int = 1, **labels) -> DataFrame:
-    """One row of accuracy for each algorithm on one error setting."""
+    """One row of accuracy for each algorithm on one error setting; algorithms run side by side."""
     truth = written(truth)
     dirty = written(errors.inject(truth, fds, "tid", rate, seed, kind)[0])
-    out = None
-    for name in algorithms:
+
+    def one(name: str) -> DataFrame:
         repaired, free = ALGORITHMS[name](dirty, fds, "tid", truth)
         row = metrics.accuracy(dirty, repaired, truth, "tid", free)
-        named = row.select(*[F.lit(v).alias(k) for k, v in labels.items()], F.lit(name).alias("algorithm"), F.lit(kind).alias("kind"), F.lit(rate).alias("rate"), "*")
-        out = named if out is None else out.unionByName(named)
-    return out
+        return written(row.select(*[F.lit(v).alias(k) for k, v in labels.items()], F.lit(name).alias("algorithm"), F.lit(kind).alias("kind"), F.lit(rate).alias("rate"), "*"))
+
+    return side_by_side(truth.sparkSession, one, list(algorithms))
+
+
+def side_by_side(spark: SparkSession, job: Callable[..., DataFrame], items: list) -> DataFrame:
+    """The union of what a job gives for each item; jobs wait for each other's fixed costs no longer."""
+    with ThreadPoolExecutor(min(SIDE_BY_SIDE, len(items))) as pool:
+        jobs = [pool.submit(inheritable_thread_target(spark)(job), i) for i in items]
+        return reduce(DataFrame.unionByName, [j.result() for j in jobs])
 
 
 def prefix(df: DataFrame, percent: int, tid: str = "tid", order: str | None = None) -> DataFrame:
@@ -58,20 +70,12 @@ def prefix(df: DataFrame, percent: int, tid: str = "tid", order: str | None = No
 
 def size_sweep(truth: DataFrame, fds, percents=(20, 40, 60, 80, 100), rate: float = 0.05, kind: str = "swap", algorithms=("greedy", "cover", "hybrid", "majority")) -> DataFrame:
     """Precision and recall against size."""
-    out = None
-    for p in percents:
-        part = measure(prefix(truth, p), fds, algorithms, rate, kind, percent=p)
-        out = part if out is None else out.unionByName(part)
-    return out
+    return side_by_side(truth.sparkSession, lambda p: measure(prefix(truth, p), fds, algorithms, rate, kind, percent=p), list(percents))
 
 
 def rate_sweep(truth: DataFrame, fds, rates=(0.01, 0.02, 0.04, 0.06, 0.08, 0.10), kind: str = "swap", algorithms=("greedy", "cover", "hybrid", "majority")) -> DataFrame:
     """Precision and recall against the error rate."""
-    out = None
-    for r in rates:
-        part = measure(truth, fds, algorithms, r, kind)
-        out = part if out is None else out.unionByName(part)
-    return out
+    return side_by_side(truth.sparkSession, lambda r: measure(truth, fds, algorithms, r, kind), list(rates))
 
 
 def ablate(truth: DataFrame, fds, rate: float = 0.05, kind: str = "mix", thetas=(0.0, 0.25, 0.5, 0.75, 1.1)) -> DataFrame:
