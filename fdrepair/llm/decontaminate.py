@@ -2,18 +2,19 @@
 
 Texts are cut in tokens; numbers, names (capitalised words inside a sentence) and units after a
 number become typed placeholders, everything else is put in lower case without punctuation. Runs of
-``WINDOW`` template tokens of the benchmark are hash-joined with those of the documents; in a matched run the
-values behind the placeholders must be consistent: one value of the item always stands for one value
-of the document and the other way round, over all matched runs of a document and an item on the same diagonal. So a question
-whose numbers, names or units were swapped is found as well as a verbatim passage.
-
-The benchmark is read in blocks whose windows fit ``BLOCK_WINDOWS``; each block is broadcast and the
-documents stream past it, so nothing that is broadcast grows beyond that bound. An item shorter than the
-window is matched as one run of its whole length. Runs with few literals or of a short item say little by their template, so they
+``WINDOW`` template tokens of the documents are hash-joined with those of the benchmark; in the matched runs of a document and an item on the same
+diagonal the values behind the placeholders must be consistent: one value of the item always stands for one value
+of the document and the other way round. So a question whose numbers, names or units were swapped is found as well as a verbatim passage.
+
+Documents are read once: a filter of ``SLOTS`` marks, of that size whatever the benchmark's, says which windows may match, and only those go on to the join with the
+benchmark's windows. A run's place in the item fixes its place in the document on a diagonal, so what is checked together
+is bounded by the item's length. Spark decides by size how the join is made; nothing of the benchmark but the marks is on the driver.
+
+An item shorter than the window is matched as one run of its whole length. Runs with few literals or of a short item say little by their template, so they
 count only if their values are verbatim, or (items of ``SHORTEST`` tokens or more with a literal) if the whole item is there with consistent values.
 
-Defined results: null or empty texts and items match nothing; repeated rows give repeated rows in ``flags``
-and one row in ``leaks``; equal items are reported each; extra columns are kept by ``clean``.
+Defined results: null or empty texts, and items that are null, empty or without an id, match nothing; repeated rows give one row in ``leaks`` and all go or stay in ``clean``;
+equal items are reported each; extra columns are kept by ``clean``.
 """
 
 from __future__ import annotations
@@ -27,12 +28,13 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import rolled
+from .common import rolled, written
 
 WINDOW = 8
 SHORTEST = 6
 LITERALS = 5  # windows with fewer tokens that are no placeholders need the exact check
-BLOCK_WINDOWS = 2_000_000
+SLOT_BITS = 22
+SLOTS = 1 << SLOT_BITS
 HELD_TOKENS = 400_000
 # Units that follow a number.
 UNITS = frozenset("mm cm m km in ft yd mi mg g kg lb oz ml l s sec min h hr hours hour minutes seconds days day weeks week months years usd eur dollars cents euros percent mph kmh".split())
@@ -93,122 +95,135 @@ class Codes(dict):
         return kinds[flags & END == 0]
 
 
-def _whole(item_kinds: list[str], item_values: list[str], kinds: list[str], values: list[str], shift: int) -> bool:
-    """Whether the whole item is at ``shift`` with values that are consistent one to one; short items and those without a literal never."""
-    n = len(item_kinds)
-    if n < SHORTEST or shift < 0 or kinds[shift : shift + n] != item_kinds or all(x[0] == "\x00" for x in item_kinds):
-        return False
-    pairs = {(s, a, b) for s, a, b in zip(item_kinds, item_values, values[shift : shift + n]) if s[0] == "\x00"}
-    return len({(s, a) for s, a, _ in pairs}) == len(pairs) == len({(s, b) for s, _, b in pairs})
-
-
-class Index:
-    """Windows of a block of benchmark items by hash."""
-
-    def __init__(self, items: list[tuple[int, str]], window: int = WINDOW) -> None:
-        codes, self.window = Codes(), window
-        items = [(i, t) for i, t in items if t]
-        self.items = [(i, *template(t)) for i, t in items]
-        self.at: dict[int, list[tuple[int, int, int, bool]]] = {}
-        self.widths = set()
-        for k, ((_, kinds, _), (_, text)) in enumerate(zip(self.items, items)):
-            width = min(window, len(kinds))
-            if not width:
-                continue
-            self.widths.add(width)
-            for p, h in enumerate(rolled(codes.template(text), width).tolist()):
-                strong = width >= min(window, SHORTEST) and sum(x[0] != "\x00" for x in kinds[p : p + width]) >= min(LITERALS, width)
-                self.at.setdefault(h ^ width, []).append((k, p, width, strong))
-        self.keys = np.sort(np.fromiter(self.at, np.uint64, len(self.at)))
-        self.filter = np.zeros(1 << 20, bool)
-        self.filter[(self.keys >> np.uint64(44)).astype(np.int64)] = True
-
-    def matches(self, text: str | None, codes: Codes) -> list[tuple[int, int, int, int]]:
-        """(item, runs matched, runs of the item, runs that are verbatim) of the items that the text leaks."""
-        ids = codes.template(text)
-        hits = []
-        for width in self.widths:
-            run = rolled(ids, width) ^ np.uint64(width)
-            near = np.flatnonzero(self.filter[(run >> np.uint64(44)).astype(np.int64)])
-            hits += [(width, p, int(run[p])) for p in near.tolist() if int(run[p]) in self.at]
-        if not hits:
-            return []
-        kinds, values = template(text)
-        found: dict[tuple[int, int], list[tuple[int, int, int, bool]]] = {}
-        for width, p, h in hits:
-            for k, q, w, strong in self.at[h]:
-                if w == width and self.items[k][1][q : q + w] == kinds[p : p + w]:
-                    found.setdefault((k, p - q), []).append((p, q, w, strong))
-        best: dict[int, tuple[int, int]] = {}
-        for (k, shift), runs in found.items():
-            forth: dict[tuple[str, str], str] = {}
-            back: dict[tuple[str, str], str] = {}
-            good = same = 0
-            item_kinds, item_values = self.items[k][1:]
-            whole = None
-            for p, q, w, strong in runs:
-                if not strong:
-                    if item_values[q : q + w] == values[p : p + w]:
-                        good, same = good + 1, same + 1
-                        continue
-                    if whole is None:
-                        whole = _whole(item_kinds, item_values, kinds, values, shift)
-                    good += whole
-                    continue
-                slots = [(kinds[p + x], item_values[q + x], values[p + x]) for x in range(w) if item_kinds[q + x][0] == "\x00"]
-                if all(forth.setdefault((s, a), b) == b and back.setdefault((s, b), a) == a for s, a, b in slots):
-                    good += 1
-                    same += all(a == b for _, a, b in slots)
-            if good:
-                old = best.get(k, (0, 0))
-                best[k] = (old[0] + good, old[1] + same)
-        return [(self.items[k][0], good, max(1, len(self.items[k][1]) - self.window + 1), same) for k, (good, same) in sorted(best.items())]
+_WINDOWS = "item_id long, n int, q int, width int, strong boolean, h long, kinds array<string>, values array<string>"
 
 
-def blocks(benchmark: DataFrame, item_id: str = "item_id", text: str = "text") -> Iterator[list[tuple[int, str]]]:
-    """The benchmark's items in blocks of at most about ``BLOCK_WINDOWS`` words, read from Spark one partition at a time."""
-    block, size = [], 0
-    for row in benchmark.select(item_id, text).where(F.col(text).isNotNull()).toLocalIterator():
-        block.append((row[0], row[1]))
-        size += len(row[1]) // 4
-        if size >= BLOCK_WINDOWS:
-            yield block
-            block, size = [], 0
-    if block:
-        yield block
+def _key(run: np.ndarray, width: int) -> np.ndarray:
+    """The join key of runs: their hash and width."""
+    return (run ^ np.uint64(width)).view(np.int64)
 
 
-_indexes: dict[int, Index] = {}
+def item_windows(benchmark: DataFrame, item_id: str = "item_id", text: str = "text", window: int = WINDOW) -> DataFrame:
+    """Every window of every item, with its template and values; n is the item's number of windows."""
+
+    def of(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        codes = Codes()
+        for part in parts:
+            rows = []
+            for i, t in zip(part["item_id"], part["text"]):
+                kinds, values = template(t)
+                width = min(window, len(kinds))
+                if not width:
+                    continue
+                keys = _key(rolled(codes.template(t), width), width).tolist()
+                for q, h in enumerate(keys):
+                    strong = width >= min(window, SHORTEST) and sum(x[0] != "\x00" for x in kinds[q : q + width]) >= min(LITERALS, width)
+                    rows.append((i, len(keys), q, width, strong, h, kinds[q : q + width], values[q : q + width]))
+            yield pd.DataFrame(rows, columns=["item_id", "n", "q", "width", "strong", "h", "kinds", "values"])
 
+    return benchmark.select(benchmark[item_id].alias("item_id"), benchmark[text].alias("text")).where("item_id is not null and text is not null").mapInPandas(of, _WINDOWS)
 
-def _matcher(items: list[tuple[int, str]], window: int):
-    key = hash((tuple(items), window))
 
-    @F.pandas_udf("array<struct<item_id:long,runs:int,item_runs:int,verbatim:int>>")
+_HITS = "array<struct<p:int,width:int,h:long,kinds:array<string>,values:array<string>>>"
+
+
+def with_hits(docs: DataFrame, windows: DataFrame, text: str = "text", out: str = "hits") -> DataFrame:
+    """docs with their windows that may occur in the benchmark."""
+    slot = F.expr(f"shiftrightunsigned(h, {64 - SLOT_BITS})")
+    marks = windows.select("width", slot.alias("slot")).distinct().toArrow()  # at most SLOTS for each width, whatever the benchmark's size
+    widths = sorted(set(marks["width"].to_pylist()))
+    slots = np.unique(marks["slot"].to_numpy())
+
+    @F.pandas_udf(_HITS)
     def of(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
-        if key not in _indexes:
-            _indexes.clear()
-            _indexes[key] = Index(items, window)
-        index, codes = _indexes[key], Codes()
+        codes, marked = Codes(), np.zeros(SLOTS, bool)
+        marked[slots] = True
         for part in parts:
-            yield pd.Series([[dict(zip(("item_id", "runs", "item_runs", "verbatim"), m)) for m in index.matches(t, codes)] for t in part])
+            out = []
+            for t in part:
+                ids, found = codes.template(t), []
+                for width in widths:
+                    keys = _key(rolled(ids, width), width)
+                    near = np.flatnonzero(marked[(keys.view(np.uint64) >> np.uint64(64 - SLOT_BITS)).astype(np.int64)])
+                    found += [(width, p, h) for p, h in zip(near.tolist(), keys[near].tolist())]
+                if found:
+                    kinds, values = template(t)
+                    found = [{"p": p, "width": w, "h": h, "kinds": kinds[p : p + w], "values": values[p : p + w]} for w, p, h in found]
+                out.append(found)
+            yield pd.Series(out)
+
+    return docs.withColumn(out, of(docs[text]))
+
+
+def consistent(n: int, runs: list[tuple]) -> tuple[int, int]:
+    """(runs that count, runs that are verbatim) of an item of n windows on one diagonal; runs: (q, strong, kinds, item's values, document's values).
+
+    A run's values are bound only if all of them are consistent with those bound before.
+    """
+    forth: dict[tuple[str, str], str] = {}
+    back: dict[tuple[str, str], str] = {}
+
+    def binds(slots: set[tuple[str, str, str]]) -> bool:
+        new, old = dict(forth), dict(back)
+        if not all(new.setdefault((s, a), b) == b and old.setdefault((s, b), a) == a for s, a, b in slots):
+            return False
+        forth.update(new)
+        back.update(old)
+        return True
+
+    def slots(run) -> set[tuple[str, str, str]]:
+        return {(s, a, b) for s, a, b in zip(run[2], run[3], run[4]) if s[0] == "\x00"}
+
+    runs = sorted(runs)
+    good = same = 0
+    whole = None
+    for run in runs:
+        q, strong, kinds, theirs, ours = run
+        if strong:
+            if binds(slots(run)):
+                good, same = good + 1, same + (theirs == ours)
+        elif theirs == ours:
+            good, same = good + 1, same + 1
+        else:
+            if whole is None:
+                every = set().union(*map(slots, runs))
+                whole = len(runs) == n and n + len(kinds) - 1 >= SHORTEST and any(x[0] != "\x00" for r in runs for x in r[2])
+                whole = whole and len({(s, a) for s, a, _ in every}) == len(every) == len({(s, b) for s, _, b in every})
+            good += whole
+    return good, same
+
 
-    return of.asNondeterministic()
+def matched(hits: DataFrame, windows: DataFrame) -> DataFrame:
+    """key, item_id, runs, item_runs, verbatim of the items that texts leak; hits: key (of a text) and the fields of a hit."""
+    theirs = windows.select("item_id", "n", "q", "width", "strong", "h", F.col("kinds").alias("k"), F.col("values").alias("v"))
+    met = hits.join(theirs, ["h", "width"]).where(F.col("kinds") == F.col("k"))
+    run = F.struct("q", "strong", "kinds", "v", "values")
+    lines = met.groupBy("key", "item_id", "n", (F.col("p") - F.col("q")).alias("shift")).agg(F.collect_set(run).alias("runs"))
 
+    @F.pandas_udf("runs int, verbatim int")
+    def check(n: pd.Series, runs: pd.Series) -> pd.DataFrame:
+        rows = [consistent(k, [(x["q"], x["strong"], list(x["kinds"]), list(x["v"]), list(x["values"])) for x in r]) for k, r in zip(n, runs)]
+        return pd.DataFrame(rows, columns=["runs", "verbatim"])
 
-def flags(docs: DataFrame, benchmark: DataFrame, text: str = "text", out: str = "leaks", window: int = WINDOW) -> DataFrame:
-    """Adds the list of items that a document leaks (empty for a clean one)."""
-    parts = [_matcher(block, window)(docs[text]) for block in blocks(benchmark)]
-    empty = F.array().cast("array<struct<item_id:long,runs:int,item_runs:int,verbatim:int>>")
-    return docs.withColumn(out, F.concat(*parts) if len(parts) > 1 else parts[0] if parts else empty)
+    told = lines.select("key", "item_id", "n", check("n", "runs").alias("c")).where("c.runs > 0")
+    return told.groupBy("key", "item_id").agg(F.sum("c.runs").cast("int").alias("runs"), F.first("n").alias("item_runs"), F.sum("c.verbatim").cast("int").alias("verbatim"))
 
 
 def leaks(docs: DataFrame, benchmark: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """doc_id, item_id, runs, item_runs, verbatim: one row for each document and item that it leaks."""
+    windows = item_windows(benchmark)
     slim = docs.select(docs[doc_id].alias("doc_id"), docs[text].alias("text"))
-    return flags(slim, benchmark).select("doc_id", F.inline("leaks")).distinct()
+    some = written(with_hits(slim, windows).where("size(hits) > 0").select(F.struct("doc_id", F.md5(F.col("text").cast("binary")).alias("t")).alias("key"), "hits"))
+    found = matched(some.select("key", F.inline("hits")), windows)
+    return found.select("key.doc_id", "item_id", "runs", "item_runs", "verbatim").distinct()
 
 
 def clean(docs: DataFrame, benchmark: DataFrame, text: str = "text") -> DataFrame:
-    """The documents that leak no item, with their columns."""
-    return flags(docs, benchmark, text, "__leaks").where(F.size("__leaks") == 0).drop("__leaks")
+    """The documents that leak no item, with their columns. Those without a hit pass as they were read; only the others are moved."""
+    windows = item_windows(benchmark)
+    every = written(with_hits(docs, windows, text, "__hits").withColumn("__key", F.when(F.size("__hits") > 0, F.unhex(F.sha2(F.col(text).cast("binary"), 256)))))
+    some = every.where(F.size("__hits") > 0)
+    hits = some.dropDuplicates(["__key"]).select(F.col("__key").alias("key"), F.inline("__hits"))
+    found = matched(hits, windows).select(F.col("key").alias("__leaky")).distinct()
+    passed = every.where(F.size("__hits") == 0).select(*docs.columns)
+    return passed.unionByName(some.join(found, F.col("__key") == F.col("__leaky"), "left_anti").select(*docs.columns))

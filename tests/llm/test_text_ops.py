@@ -221,12 +221,56 @@ def test_template_by_arrays(text):
     assert len(set(zip(kinds, hashes))) == len(set(kinds)) == len(set(hashes))
 
 
-def test_decontamination_in_blocks(spark, monkeypatch):
-    items = [(k, " ".join(f"w{k}x{j}" for j in range(20))) for k in range(6)]
-    monkeypatch.setattr(decontaminate, "BLOCK_WINDOWS", 30)
+def leaks_by_rule(doc, item):
+    """(runs, verbatim) of an item in a document, window by window and diagonal by diagonal."""
+    kinds, values = decontaminate.template(doc)
+    their_kinds, their_values = decontaminate.template(item)
+    width = min(8, len(their_kinds))
+    n, good, same = len(their_kinds) - width + 1, 0, 0
+    if not width:
+        return 0, 0
+    for shift in range(-len(their_kinds), len(kinds)):
+        at = [q for q in range(n) if 0 <= q + shift <= len(kinds) - width and kinds[q + shift : q + shift + width] == their_kinds[q : q + width]]
+        pairs = lambda qs: {(their_kinds[k], their_values[k], values[k + shift]) for q in qs for k in range(q, q + width) if their_kinds[k][0] == "\x00"}
+        one_to_one = lambda p: len({x[:2] for x in p}) == len(p) == len({(x[0], x[2]) for x in p})
+        bound = []
+        for q in at:
+            literals = sum(x[0] != "\x00" for x in their_kinds[q : q + width])
+            verbatim = their_values[q : q + width] == values[q + shift : q + shift + width]
+            if width >= 6 and literals >= min(5, width):
+                if one_to_one(pairs([*bound, q])):
+                    bound.append(q)
+                    good, same = good + 1, same + verbatim
+            elif verbatim:
+                good, same = good + 1, same + 1
+            elif len(at) == n and len(their_kinds) >= 6 and any(x[0] != "\x00" for x in their_kinds) and one_to_one(pairs(at)):
+                good += 1
+    return good, same
+
+
+def test_decontamination_as_brute_force(spark):
+    import random
+
+    rnd = random.Random(11)
+    some = ["12", "7", "kg", "lb", "Alice", "Bob", "the", "a", "has", "red", "box", "and", "of", "then", ".", "goes", "home"]
+    items = [(k, " ".join(rnd.choice(some) for _ in range(rnd.choice([0, 3, 6, 9, 14, 25])))) for k in range(25)]
+    docs = []
+    for k in range(40):
+        parts = [" ".join(rnd.choice(some) for _ in range(rnd.randrange(12)))]
+        for _ in range(rnd.randrange(3)):
+            words = rnd.choice(items)[1].split()
+            swap = rnd.choice([{}, {"12": "40"}, {"Alice": "Carol", "kg": "oz"}, {"12": "7"}])
+            words = [swap.get(w, w) for w in words]
+            if words and rnd.random() < 0.3:
+                words[rnd.randrange(len(words))] = rnd.choice(some)
+            parts += [" ".join(words), rnd.choice(some)]
+        docs.append((k, " ".join(parts)))
     bench = spark.createDataFrame(items, "item_id long, text string")
-    docs = spark.createDataFrame([(k, "before it " + t + " after it") for k, t in items], SCHEMA)
-    assert {(r.doc_id, r.item_id) for r in decontaminate.leaks(docs, bench).collect()} == {(k, k) for k in range(6)}
+    df = spark.createDataFrame(docs, SCHEMA)
+    want = {(d, i): v for d, t in docs for i, x in items if (v := leaks_by_rule(t, x))[0]}
+    got = {(r.doc_id, r.item_id): (r.runs, r.verbatim) for r in decontaminate.leaks(df, bench).collect()}
+    assert got == want and len(want) > 20
+    assert {r.doc_id for r in decontaminate.clean(df, bench).collect()} == {d for d, _ in docs} - {d for d, _ in want}
 
 
 def test_lm_scores_by_hand(spark, docs, empty):
