@@ -6,8 +6,8 @@ sizes' difference over the plain size says which kind it is closer to, whatever
 A logistic curve fitted on the training rows (two-fold, so that no text is measured by a dictionary
 that holds it) turns that figure into the probability of label 1.
 
-Only fitting is bounded: at most ``FIT_ROWS`` labelled rows are used, those whose id hashes lowest.
-Every row is scored over its whole text.
+Only fitting is bounded: at most ``FIT_ROWS`` labelled rows are used, those whose id hashes lowest, each with its whole
+text. Every row is scored over its whole text.
 
 Defined results: null and empty texts have no block and get the share of label 1 in the training
 rows; without usable labels of both kinds every score is that share (0.5 if there are none). Repeated rows are
@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 from .common import crc_mod
 
 FIT_ROWS = 6000  # labelled rows at most that the classifier is fitted on
-FIT_BYTES = 4000  # of a training text, its first bytes go in a dictionary
+PIECE = 64  # bytes in a row that a dictionary takes of a text at least
 BLOCK = 2048  # bytes compressed at once
 DICTIONARY = 512 * 1024
 LEVEL = 6
@@ -45,9 +45,16 @@ class CompressionModel:
 
 
 def _dictionary(texts: list[str]) -> bytes:
-    """Raw content: the newest bytes are the cheapest to refer to, so short pieces of many texts are used."""
-    share = max(64, DICTIONARY // max(1, len(texts)))
-    return b"".join(t.encode("utf-8", "replace")[:FIT_BYTES][:share] for t in texts)[-DICTIONARY:]
+    """Raw content of at most ``DICTIONARY`` bytes: pieces of every text, spread evenly over it, each text with the same share."""
+    share = max(PIECE, DICTIONARY // max(1, len(texts)))
+    return b"".join(part for t in texts for part in _spread(t.encode("utf-8", "replace"), share))[-DICTIONARY:]
+
+
+def _spread(data: bytes, share: int) -> list[bytes]:
+    if len(data) <= share:
+        return [data]
+    number = max(1, share // PIECE)
+    return [data[at : at + share // number] for at in (k * (len(data) - share // number) // max(1, number - 1) for k in range(number))]
 
 
 class Sizer:
@@ -107,7 +114,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", doc_id: str
     order = [F.xxhash64("i"), "i"]
     parts = [known.where(F.col("y") == k).dropDuplicates(["i"]).orderBy(*order).limit(FIT_ROWS // 2) for k in (0, 1)]
     chosen = parts[0].unionByName(parts[1])
-    rows = docs.select(docs[doc_id].alias("i"), docs[text].alias("t")).join(F.broadcast(chosen), "i").select("i", "y", F.substring("t", 1, FIT_BYTES).alias("t")).collect()
+    rows = docs.select(docs[doc_id].alias("i"), docs[text].alias("t")).join(F.broadcast(chosen), "i").select("i", "y", "t").collect()
     rows.sort(key=lambda r: (hash_order(r.i), r.i, r.t or ""))
     return fit_model([r.t for r in rows], [r.y for r in rows])
 
