@@ -1,14 +1,14 @@
-"""Main text of web pages: markup, and nearest-URL page differencing.
+"""Main text of web pages: nearest-URL page differencing, with markup's vote on what it leaves.
 
-A page is cut into blocks of text. Markup gives each block a role: *kept* inside an article or main element,
+A page is cut into blocks of text, one a line. Pages of a host are put in the order of their paths and each is paired with its
+neighbours; the longest common subsequence of the pair's lines outside articles is what the site repeats, and these lines are deleted.
+What only one page has is left to markup, which gives each block a role: *kept* inside an article or main element,
 *dropped* inside navigation, page headers and footers, sidebars, forms, scripts, notices, adverts and reader comments,
-and *open* where the markup does not say. Pages of a host are then put in the order of
-their paths and each is paired with its neighbours; the longest common subsequence of the
-pair's lines outside articles is what the site repeats, and open lines that are in it are deleted. Lines
-inside an article are never deleted, since two pages may carry the same article.
+and *open* where it does not say; of the lines that differ, dropped ones go and open ones stay. Lines
+inside an article are never deleted, since two pages may carry the same article. ``n_shared`` and ``n_marked`` say how many lines went either way.
 
 The order comes from a range partitioning by (host, path, id), so one large host is spread over many tasks;
-pairs across the borders of partitions are made from the border pages alone.
+pairs across the borders of partitions are made from the border pages alone. Pages are parsed once.
 
 Defined results: a null or empty page has no text; cut-off markup is read as far as it goes; repeated rows are
 neighbours of each other and keep their articles; extra columns are not read.
@@ -21,12 +21,15 @@ import re
 from collections.abc import Iterator
 from urllib.parse import urlsplit
 
+import numpy as np
 import pandas as pd
 import xxhash
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .common import written
+
 _tags = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*(?:>|\Z)|<(/?)([a-zA-Z][a-zA-Z0-9:-]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)(?:>|\Z)", re.S).finditer
 _names = re.compile(r"(?:class|id|role)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s>]+))", re.I).finditer
 # Elements without text of their own, elements of a page's frame, and elements that stay inside a line.
@@ -36,6 +39,7 @@ INLINE = frozenset("a abbr acronym b bdi bdo big br cite code data del dfn em fo
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 NOTICE = re.compile(r"(?:^|[\s_-])(?:ad|ads|advert\w*|sponsor\w*|promo\w*|banner|cookie\w*|consent|notice\w*|alert|popup|modal|sidebar|side|nav\w*|menu\w*|breadcrumb\w*|footer|header|masthead|comment\w*|respond|disqus\w*|share|sharing|social\w*|related|recommend\w*|newsletter|subscribe|signup|widget\w*|pagination|pager|search\w*)(?:$|[\s_-])", re.I)
 KEPT, OPEN, DROPPED = 2, 1, 0
+CELLS = 20_000_000  # of lines by lines that are compared in one piece
 
 
 def blocks(page: str | None) -> list[tuple[int, str]]:
@@ -121,20 +125,48 @@ def line_hash(text: str) -> int:
     return xxhash.xxh64_intdigest(text) - (1 << 63)
 
 
-def common(a: list[int], b: list[int]) -> list[int]:
-    """A longest common subsequence of two lists of lines, by bit-parallel rows."""
+def _rows(a: list[int], b: list[int]) -> Iterator[int]:
+    """For each line of b, a number whose bit k is 0 where the common subsequence with a[: k + 1] is longer than with a[:k]."""
     where: dict[int, int] = {}
     for k, x in enumerate(a):
         where[x] = where.get(x, 0) | 1 << k
-    full = (1 << len(a)) - 1
-    rows, row = [], full
+    row = full = (1 << len(a)) - 1
     for y in b:
         u = row & where.get(y, 0)
         row = ((row + u) | (row - u)) & full
-        rows.append(row)
+        yield row
+
+
+def _lengths(a: list[int], b: list[int]) -> np.ndarray:
+    """Length of the longest common subsequence of b with a[:k], for each k."""
+    row = (1 << len(a)) - 1
+    for row in _rows(a, b):
+        pass
+    bits = np.unpackbits(np.frombuffer(row.to_bytes(len(a) // 8 + 1, "little"), np.uint8), bitorder="little")[: len(a)]
+    return np.concatenate(([0], np.cumsum(bits == 0)))
+
+
+def common(a: list[int], b: list[int], most: int = CELLS) -> list[int]:
+    """A longest common subsequence of two lists of lines, by bit-parallel rows; lists of more than ``most`` cells are split, so memory stays bounded."""
+    n = 0
+    while n < min(len(a), len(b)) and a[n] == b[n]:
+        n += 1
+    if n:
+        return a[:n] + common(a[n:], b[n:], most)
+    while n < min(len(a), len(b)) and a[-1 - n] == b[-1 - n]:
+        n += 1
+    if n:
+        return common(a[:-n], b[:-n], most) + a[-n:]
+    if not a or not b:
+        return []
+    if len(a) * len(b) > most and len(b) > 1:
+        half = len(b) // 2
+        at = int((_lengths(a, b[:half]) + _lengths(a[::-1], b[half:][::-1])[::-1]).argmax())
+        return common(a[:at], b[:half], most) + common(a[at:], b[half:], most)
+    rows = list(_rows(a, b))
     out, i, j = [], len(a) - 1, len(b) - 1
     while i >= 0 and j >= 0:
-        if rows[j] >> i & 1:  # row bits are 0 where the length grows at that line of a
+        if rows[j] >> i & 1:
             i -= 1
         elif j and not rows[j - 1] >> i & 1:
             j -= 1
@@ -144,24 +176,23 @@ def common(a: list[int], b: list[int]) -> list[int]:
     return out[::-1]
 
 
-_PARSED = "host string, path string, text string, outside array<long>, open int"
+_PARSED = "host string, path string, blocks array<struct<role:int,line:long,text:string>>, outside array<long>"
 
 
 def parsed(pages: DataFrame, page_id: str = "page_id", url: str = "url", page: str = "html") -> DataFrame:
-    """page_id, url, text_key, host, path, text (of kept and open blocks), outside (hashes of lines outside articles), open (how many open blocks)."""
+    """page_id, url, text_key, host, path, blocks (dropped ones without their text), outside (hashes of lines outside articles)."""
 
     @F.pandas_udf(_PARSED)
     def of(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.DataFrame]:
         for urls, htmls in parts:
             rows = []
             for u, h in zip(urls, htmls):
-                found = blocks(h)
-                text = "\n".join(t for r, t in found if r != DROPPED)
-                rows.append((*place(u), text, [line_hash(t) for r, t in found if r != KEPT], sum(r == OPEN for r, _ in found)))
-            yield pd.DataFrame(rows, columns=["host", "path", "text", "outside", "open"])
+                found = [(r, line_hash(t), t) for r, t in blocks(h)]
+                rows.append((*place(u), [{"role": r, "line": x, "text": t if r != DROPPED else None} for r, x, t in found], [x for r, x, _ in found if r != KEPT]))
+            yield pd.DataFrame(rows, columns=["host", "path", "blocks", "outside"])
 
     base = pages.select(pages[page_id].alias("page_id"), pages[url].alias("url"), pages[page].alias("html"))
-    return base.select("page_id", "url", "html", F.xxhash64("url", "html").alias("text_key"), of("url", "html").alias("p")).select("page_id", "url", "html", "text_key", "p.*")
+    return base.select("page_id", "url", F.xxhash64("url", "html").alias("text_key"), of("url", "html").alias("p")).select("page_id", "url", "text_key", "p.*")
 
 
 def repeated_lines(lines: DataFrame) -> DataFrame:
@@ -206,25 +237,17 @@ def repeated_lines(lines: DataFrame) -> DataFrame:
 
 
 def main_text(pages: DataFrame, page_id: str = "page_id", url: str = "url", page: str = "html") -> DataFrame:
-    """page_id, url, text, n_chars of every page; text is empty if there is none.
-
-    Pages whose blocks all have a role are finished where they are read; only pages with open blocks meet their neighbours' lines again.
-    """
-    ready = parsed(pages, page_id, url, page)
-    done = ready.where("open = 0").select("page_id", "url", "text")
-    undecided = ready.where("open > 0").select("page_id", "url", "html", "text_key")
+    """page_id, url, text, n_chars, n_shared, n_marked of every page; text is empty if there is none."""
+    ready = written(parsed(pages, page_id, url, page))
     shared = repeated_lines(ready.select("page_id", "text_key", "host", "path", "outside")).select(F.col("page_id").alias("p"), F.col("text_key").alias("k"), "shared")
-    joined = undecided.join(shared, undecided.page_id.eqNullSafe(shared.p) & (undecided.text_key == shared.k), "left")
+    joined = ready.select("page_id", "url", "text_key", "blocks").join(shared, F.col("page_id").eqNullSafe(F.col("p")) & (F.col("text_key") == F.col("k")), "left")
+    repeats = F.coalesce("shared", F.array().cast("array<long>"))
 
-    @F.pandas_udf("string")
-    def of(parts: Iterator[tuple[pd.Series, pd.Series]]) -> Iterator[pd.Series]:
-        for htmls, lines in parts:
-            out = []
-            for h, s in zip(htmls, lines):
-                drop = set() if s is None else {int(x) for x in s}
-                out.append("\n".join(t for r, t in blocks(h) if r == KEPT or r == OPEN and line_hash(t) not in drop))
-            yield pd.Series(out, dtype=object)
-
-    rest = joined.select("page_id", "url", of("html", "shared").alias("text"))
-    both = done.unionByName(rest)
-    return both.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"))
+    def left_over(x):
+        return (x.role == KEPT) | ~F.array_contains(repeats, x.line)
+
+    differ = F.filter("blocks", left_over)
+    told = joined.withColumn("differ", differ).withColumn("kept", F.filter("differ", lambda x: x.role != DROPPED))
+    text = F.array_join(F.transform("kept", lambda x: x.text), "\n")
+    out = told.select("page_id", "url", text.alias("text"), (F.size("blocks") - F.size("differ")).cast("long").alias("n_shared"), (F.size("differ") - F.size("kept")).cast("long").alias("n_marked"))
+    return out.select("page_id", "url", "text", F.length("text").cast("long").alias("n_chars"), "n_shared", "n_marked")

@@ -219,6 +219,61 @@ def test_lines_shared_with_a_neighbour_go(spark):
     assert pages.main_text(spark.createDataFrame([], df.schema)).count() == 0
 
 
+def longest(a, b):
+    """Length of a longest common subsequence, cell by cell."""
+    row = [0] * (len(b) + 1)
+    for x in a:
+        last = row[:]
+        for k, y in enumerate(b):
+            row[k + 1] = last[k] + 1 if x == y else max(row[k], last[k + 1])
+    return row[-1]
+
+
+@pytest.mark.parametrize("most", [1, 30, 10**9])
+def test_common_lines_as_brute_force(most):
+    rnd = random.Random(3)
+    for _ in range(300):
+        a, b = ([rnd.randrange(6) for _ in range(rnd.randrange(18))] for _ in range(2))
+        got = pages.common(a, b, most)
+        for side in (a, b):
+            rest = iter(side)
+            assert all(x in rest for x in got)
+        assert len(got) == longest(a, b)
+
+
+def test_long_pages_in_bounded_memory():
+    a = list(range(30_000))
+    assert len(pages.common(a[::2] + a, a + a[::3])) >= 30_000
+
+
+def test_differencing_as_brute_force(spark):
+    """Lines that a page has in common with a neighbour by path go unless they are in its article; then markup's dropped ones go."""
+    rnd, rows = random.Random(12), []
+    frames = {"a.example": ["Welcome", "Menu of the site", "Contact us"], "b.example": ["Top", "All rights reserved"]}
+    for k in range(60):
+        host = rnd.choice(list(frames))
+        frame = [f"<div>{t}</div>" for t in frames[host] if rnd.random() < 0.8] + ["<nav>Nav shared</nav>", f"<aside>Aside {rnd.randrange(4)}</aside>"]
+        own = [f"<p>Own {k} {j}</p>" for j in range(rnd.randrange(3))] + ["<article><p>Common story</p></article>"] * rnd.randrange(2)
+        parts = frame + own
+        rnd.shuffle(parts)
+        rows.append((k, f"https://{host}/p/{rnd.randrange(1000):03d}", "".join(parts)))
+    rows += [(100, None, None), (101, "https://c.example/", "<p>alone</p>" * 3000)]
+    got = {r.page_id: r for r in pages.main_text(spark.createDataFrame(rows, "page_id long, url string, html string").selectExpr("*", "1 as blocks", "2 as text", "3 as shared").repartition(5)).collect()}
+    cut = {i: pages.blocks(h) for i, _, h in rows}
+    shared = {i: set() for i, _, _ in rows}
+    in_order = sorted(((*pages.place(u), i) for i, u, _ in rows))
+    for (h1, _, i), (h2, _, j) in zip(in_order, in_order[1:]):
+        if h1 == h2:
+            both = pages.common(*([pages.line_hash(t) for r, t in cut[x] if r != pages.KEPT] for x in (i, j)))
+            shared[i] |= set(both)
+            shared[j] |= set(both)
+    for i, _, _ in rows:
+        differ = [(r, t) for r, t in cut[i] if r == pages.KEPT or pages.line_hash(t) not in shared[i]]
+        kept = [t for r, t in differ if r != pages.DROPPED]
+        assert (got[i].text, got[i].n_shared, got[i].n_marked) == ("\n".join(kept), len(cut[i]) - len(differ), len(differ) - len(kept))
+    assert sum(r.n_shared for r in got.values()) > 50 and sum(r.n_marked for r in got.values()) > 5
+
+
 def test_media_round_trip(spark):
     df = spark.createDataFrame(ROWS, SCHEMA).selectExpr("*", "1 as media", "2 as clip")
     got = media.digests(df).collect()
