@@ -92,13 +92,24 @@ def ablate(truth: DataFrame, fds, rate: float = 0.05, kind: str = "mix", thetas=
 
 
 def run_times(spark: SparkSession, truth: DataFrame, fds, percents=(20, 60, 100), algorithms=("greedy", "hybrid", "cover"), rate: float = 0.05) -> list[dict]:
-    """percent, rows, algorithm, seconds: wall time of each repair, its result read in full and thrown away."""
+    """percent, rows, algorithm, seconds, prepared, shuffle_mb: wall time of each repair, its result read in full and thrown away.
+
+    prepared: the part before the result is read (patterns, quality and decisions are written by then). shuffle_mb: what tasks wrote for shuffles, where the status store is at hand.
+    """
     out = []
     for p in percents:
         dirty = written(errors.inject(prefix(truth, p), fds, "tid", rate)[0])
         rows = dirty.count()
         for name in algorithms:
-            began = time.perf_counter()
-            ALGORITHMS[name](dirty, fds, "tid", dirty)[0].write.format("noop").mode("overwrite").save()
-            out.append({"percent": p, "rows": rows, "algorithm": name, "seconds": round(time.perf_counter() - began, 3)})
+            before, began = shuffled(spark), time.perf_counter()
+            repaired = ALGORITHMS[name](dirty, fds, "tid", dirty)[0]
+            prepared = time.perf_counter() - began
+            repaired.write.format("noop").mode("overwrite").save()
+            out.append({"percent": p, "rows": rows, "algorithm": name, "seconds": round(time.perf_counter() - began, 3), "prepared": round(prepared, 3), "shuffle_mb": round(shuffled(spark) - before, 1)})
     return out
+
+
+def shuffled(spark: SparkSession) -> float:
+    """MB that this application's tasks have written for shuffles so far."""
+    executors = spark.sparkContext._jsc.sc().statusStore().executorList(False)
+    return sum(executors.apply(k).totalShuffleWrite() for k in range(executors.size())) / 1e6
