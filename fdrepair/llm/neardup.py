@@ -150,13 +150,12 @@ def ordered(pairs: DataFrame) -> DataFrame:
     return pairs.where("node <> other").select(F.least("node", "other").alias("a"), F.greatest("node", "other").alias("b")).distinct()
 
 
-def open_members(large: DataFrame, classes: DataFrame | None) -> DataFrame:
-    """key, node, met, root of the buckets whose members are of several classes; classes: node, root (others are alone)."""
-    if classes is not None:
-        told = classes.select(F.col("node").alias("__node"), F.col("root").alias("__root"))
-        large = large.drop("root").join(told, F.col("node") == F.col("__node"), "left").select("key", "node", "met", F.coalesce("__root", "node").alias("root"))
-    several = large.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("key")
-    return large.join(several, "key")
+def open_members(large: DataFrame, classes: DataFrame) -> DataFrame:
+    """key, node, root, n (members of the bucket) of the buckets whose members are of several classes; classes: node, root (others are alone)."""
+    told = classes.select(F.col("node").alias("__node"), "root")
+    named = large.select("key", "node").join(told, F.col("node") == F.col("__node"), "left").select("key", "node", F.coalesce("root", "node").alias("root"))
+    several = named.groupBy("key").agg(F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("n")).where("low <> high").select("key", "n")
+    return named.join(several, "key")
 
 
 def shingles(texts: DataFrame) -> DataFrame:
@@ -198,42 +197,30 @@ def linked(nodes: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) ->
     member = written(rows.join(sizes, "key"))
     small = member.where(F.col("n") <= SMALL).groupBy("key").agg(F.collect_list("node").alias("all"))
     large = member.where(F.col("n") > SMALL)
-    large = written(large.join(large.groupBy("node").agg(F.sum("n").alias("met")), "node").select("key", "node", "met", F.col("node").alias("root")))
-    first = written(large.groupBy("key").agg(F.min(F.struct((-F.col("met")).alias("m"), F.xxhash64("node").alias("h"), "node")).getField("node").alias("other")))
+    large = written(large.join(large.groupBy("node").agg(F.sum("n").alias("met")), "node").select("key", "node", "met"))
+    first = large.groupBy("key").agg(F.min(F.struct((-F.col("met")).alias("m"), F.xxhash64("node").alias("h"), "node")).getField("node").alias("other"))
     pairs = small.select(F.explode("all").alias("node"), "all").select("node", F.explode("all").alias("other"))
     pairs = written(ordered(pairs.union(large.join(first, "key").select("node", "other"))))
-    found = components(verified(pairs, texts, threshold))
+    links = written(verified(pairs, texts, threshold).select("a", "b"))
     dropped(member)
     freed(nodes.sparkSession)
     checked, few, turn, held = pairs, pairs.count(), 0, None
-    large = large.join(first.select("key", F.col("other").alias("node")), ["key", "node"], "left_anti")
     while True:
         turn += 1
+        found = components(links, stored=True)
         large = written(open_members(large, found))
         if large.isEmpty():
             return found
         if held is None:
             held = written(texts.join(large.select("node").distinct(), "node", "left_semi"))
-        large = written(open_members(bounded(large, held, threshold).drop("w", "s"), None))
-        if large.isEmpty():
-            return found
         rated = written(bounded(large, held, threshold))
-        size = rated.groupBy("key").agg(F.count(F.lit(1)).alias("n"))
-        rest = size.agg(F.sum(F.expr("n * (n - 1) div 2"))).first()[0] or 0
+        rest = rated.agg(F.sum((F.col("n") - 1) / 2)).first()[0] or 0  # pairs in these buckets
         drawn = F.pmod(F.xxhash64("node", "key", F.lit(turn)), F.lit(1 << 30)) / F.lit(float(1 << 30))
-        share = F.lit(1.0) if rest <= few else F.lit(float(GROWTH**turn)) / F.col("n")
-        pivots = written(rated.join(size, "key").where(drawn < share).drop("n"))
-        pairs = written(ordered(pivot_pairs(rated, pivots, threshold)).join(checked, ["a", "b"], "left_anti"))
-        links = verified(pairs, held, threshold)
-        roots = found.select(F.col("node").alias("member"), F.col("root").alias("now"))
-        for side in ("a", "b"):
-            links = links.join(roots, F.col(side) == F.col("member"), "left").withColumn(side, F.coalesce("now", side)).drop("member", "now")
-        moved = components(links)
-        fresh = moved.join(found, "node", "left_anti").select("node", F.col("node").alias("root"))
-        moved = moved.select(F.col("node").alias("was"), F.col("root").alias("now"))
-        found = written(found.union(fresh).join(moved, F.col("root") == F.col("was"), "left").select("node", F.coalesce("now", "root").alias("root")))
+        pivot = F.lit(True) if rest <= few else drawn < F.lit(float(GROWTH**turn)) / F.col("n")
+        pairs = written(ordered(pivot_pairs(rated, rated.where(pivot), threshold)).join(checked, ["a", "b"], "left_anti"))
+        links = links.union(written(verified(pairs, held, threshold).select("a", "b")))
         checked = checked.union(pairs)
-        large = rated.drop("w", "s").join(pivots.select("key", "node"), ["key", "node"], "left_anti")
+        large = rated.where(~pivot)
 
 
 def verified(pairs: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) -> DataFrame:

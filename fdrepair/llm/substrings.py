@@ -43,6 +43,7 @@ HOT = 10_000
 COARSE = 1 << 16  # groups of names that are counted to find the hot ones
 SHARD = 5_000
 SHARD_WORDS = 200_000
+SHARDS_AT_ONCE = 8
 
 
 def words_of(text: str | None) -> list[bytes]:
@@ -296,33 +297,49 @@ def without_repeats(docs: DataFrame, doc_id: str = "doc_id", text: str = "text")
     return rows.select("doc_id", of("text", "ranges").alias("text"))
 
 
-def against(docs: DataFrame, reference: DataFrame, text: str = "text", reference_text: str = "text", least: int = WINDOW, shard_words: int = SHARD_WORDS, out: str = "ranges") -> DataFrame:
-    """Adds the word ranges of each document that also occur in the reference; one broadcast automaton for each shard of bounded size."""
-    shard, size, columns = [], 0, []
-    sc = docs.sparkSession.sparkContext
+def against(docs: DataFrame, reference: DataFrame, text: str = "text", reference_text: str = "text", least: int = WINDOW, shard_words: int = SHARD_WORDS, out: str = "ranges", at_once: int = SHARDS_AT_ONCE) -> DataFrame:
+    """Adds the word ranges of each document that also occur in the reference; one broadcast automaton for each shard of bounded size.
 
-    def matcher(texts: list[list[bytes]]):
-        automaton = SuffixAutomaton()
-        for words in texts:
-            automaton.add(words)
-        held = sc.broadcast(automaton)
+    The reference is read one partition at a time. At most ``at_once`` automata exist together: what they find is written before the next ones are made.
+    """
+    sc = docs.sparkSession.sparkContext
+    docs = docs.withColumn(out, F.array().cast("array<struct<start:int,stop:int>>"))
 
+    def matcher(held):
         @F.pandas_udf("array<struct<start:int,stop:int>>")
         def of(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
             for part in parts:
                 yield pd.Series([[{"start": a, "stop": b} for a, b in spans(held.value.statistics(words_of(t)), least)] for t in part])
 
-        return of(docs[text])
-
-    for row in reference.select(reference_text).toLocalIterator():
-        words = words_of(row[0])
-        for k in range(0, max(1, len(words)), shard_words):  # a long text is cut with an overlap of one window
-            shard.append(words[max(0, k - least + 1) : k + shard_words])
-            size += len(shard[-1])
-            if size >= shard_words:
-                columns.append(matcher(shard))
-                shard, size = [], 0
-    if shard:
-        columns.append(matcher(shard))
-    empty = F.array().cast("array<struct<start:int,stop:int>>")
-    return docs.withColumn(out, F.concat(*columns) if len(columns) > 1 else columns[0] if columns else empty)
+        return of
+
+    def shards() -> Iterator[SuffixAutomaton]:
+        automaton, size = SuffixAutomaton(), 0
+        for row in reference.select(reference_text).toLocalIterator():
+            words = words_of(row[0])
+            for k in range(0, len(words), shard_words):  # a long text is cut with an overlap of one window
+                piece = words[max(0, k - least + 1) : k + shard_words]
+                automaton.add(piece)
+                size += len(piece)
+                if size >= shard_words:
+                    yield automaton
+                    automaton, size = SuffixAutomaton(), 0
+        if size:
+            yield automaton
+
+    waiting, before = [], None
+    for automaton in shards():
+        if len(waiting) == at_once:
+            done = written(_searched(docs, waiting, matcher, text, out))
+            for b in waiting:
+                b.unpersist()
+            if before is not None:
+                dropped(before)
+            docs = before = done
+            waiting = []
+        waiting.append(sc.broadcast(automaton))
+    return _searched(docs, waiting, matcher, text, out)
+
+
+def _searched(docs: DataFrame, held: list, matcher, text: str, out: str) -> DataFrame:
+    return docs.withColumn(out, F.concat(docs[out], *[matcher(b)(docs[text]) for b in held])) if held else docs

@@ -191,7 +191,7 @@ def test_against_a_reference(spark, size):
     passage = text_of(rnd, 50)
     docs = spark.createDataFrame([(1, " ".join(text_of(rnd, 10, 9) + passage[:30] + text_of(rnd, 10, 9))), (2, " ".join(passage[:19])), (3, None)], SCHEMA)
     reference = spark.createDataFrame([(" ".join(passage),), (None,)], "text string")
-    got = {r.doc_id: [(x.start, x.stop) for x in r.ranges] for r in substrings.against(docs, reference, shard_words=size).collect()}
+    got = {r.doc_id: [(x.start, x.stop) for x in r.ranges] for r in substrings.against(docs, reference, shard_words=size, at_once=2).collect()}
     covered = {k for a, b in got[1] for k in range(a, b)}
     assert covered == set(range(10, 40)) and got[2] == [] and got[3] == []
 

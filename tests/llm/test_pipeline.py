@@ -29,3 +29,21 @@ def test_all_queries_give_rows(spark):
     for name in found:
         df = entry.queries()[name](spark, SF)
         assert df.count() > 0, name
+
+
+def test_stages_on_awkward_rows(spark):
+    from test_text_ops import ROWS
+
+    schema = "doc_id long, text string, lang string, source string, n_chars long, score string, ids string, spans string, root string"
+    rows = [(i, t, None, None, None, "old", None, "old", "old") for i, t in ROWS]
+    docs = spark.createDataFrame(rows, schema)
+    null_ids = sum(i is None for i, _ in ROWS)
+    out = dict.fromkeys(name for name, _ in corpus_pipeline.STAGES)
+    for name, stage in corpus_pipeline.STAGES:
+        out[name] = stage(spark, docs, SF).collect()
+        assert stage(spark, spark.createDataFrame([], schema), SF).count() == 0, name
+        assert name == "tokens" or out[name] == [] or out[name][0].__fields__ == docs.columns, name
+    assert len(out["near_duplicates"]) == len({i for i, _ in ROWS if i is not None}) + null_ids
+    assert len(out["decontamination"]) == len(out["personal_data"]) == len(out["tokens"]) == len(ROWS)
+    masked = next(r for r in out["personal_data"] if r.doc_id == 7)
+    assert "[EMAIL]" in masked.text and masked.n_chars == len(masked.text) and masked.score == "old"
