@@ -230,7 +230,15 @@ def _sweeps() -> None:
     for which, kind in (("orders", "typo"), ("orders", "mix"), ("customer", "typo"), ("orders", "null")):
         view, fds = SETS[which]
         add(f"w2_rate_{which}_{kind}", lambda spark, d, v=view, f=fds, k=kind: workloads.rate_sweep(VIEWS[v](spark, d), f, (0.02, 0.10), kind=k, algorithms=own), _sweep_sql(which, own, kind, [(None, 0.02), (None, 0.1)]))
-    add("w6_ablation_orders", lambda spark, d: workloads.ablate(VIEWS["orders_wide"](spark, d), CHAIN, thetas=(0.0, 0.5, 1.1)))
+    thetas = (0.0, 0.5, 1.1)
+    ways: list[tuple[str, str, dict, float | None]] = [("greedy", "greedy", {}, None), ("no_reach", "greedy", {"score": "local"}, None), ("declared_order", "greedy", {"ordered": False}, None), ("input_lhs", "greedy", {"lhs_source": "input"}, None), ("majority", "greedy", {"score": "freq"}, None)]
+    ways += [(f"hybrid_{scale}", "hybrid", {"choice": {"theta": theta, "theta_on": scale}}, theta) for theta in thetas for scale in ("quality", "confidence")]
+    out = []
+    for name, strategy, options, theta in ways:
+        s = script("orders", "mix")
+        s.repair(CHAIN, strategy, **options)
+        out.append(s.say(f"select '{name}' as algorithm, 'mix' as kind, 0.05::double as rate, *, {'null' if theta is None else theta}::double as theta from ({s.accuracy()})"))
+    add("w6_ablation_orders", lambda spark, d: workloads.ablate(VIEWS["orders_wide"](spark, d), CHAIN, thetas=thetas), " union all ".join(f"select * from ({o})" for o in out))
 
 
 for part in (_baselines, _exact, _examples, _sweeps):
