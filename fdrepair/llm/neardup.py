@@ -175,12 +175,17 @@ def shingles(texts: DataFrame) -> DataFrame:
 
 
 def bounded(large: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
-    """large with w (weight of a member's runs) and s (of those that occur in another class), without members that can have no link."""
+    """large with w (weight of a member's runs) and s (of those that occur in another class), without members that can have no link in a bucket."""
     member = large.select("node", "root").distinct()
     runs = shingles(texts.join(member.select("node"), "node", "left_semi")).join(member, "node")
     common = runs.groupBy("e").agg(F.min("root").alias("low"), F.max("root").alias("high")).where("low <> high").select("e", F.lit(True).alias("common"))
     weight = runs.join(common, "e", "left").groupBy("node").agg(F.sum("c").alias("w"), F.sum(F.when(F.col("common"), F.col("c")).otherwise(0)).alias("s"))
-    return large.join(weight.where(F.col("s") >= F.col("w") * (threshold - 1e-9)), "node")
+    rated = large.join(weight.where(F.col("s") >= F.col("w") * (threshold - 1e-9)), "node")
+    for _ in range(2):  # the lightest member left bounds what the others need; buckets of one class are done
+        left = rated.groupBy("key").agg(F.min("w").alias("least"), F.min("root").alias("low"), F.max("root").alias("high"), F.count(F.lit(1)).alias("n")).where("low <> high").select("key", "least", "n")
+        enough = F.col("s") >= (F.col("w") + F.col("least")) * (threshold / (1 + threshold) - 1e-9)
+        rated = rated.drop("n").join(left, "key").where(enough).drop("least")
+    return rated
 
 
 def pivot_pairs(large: DataFrame, pivots: DataFrame, threshold: float) -> DataFrame:
@@ -214,6 +219,8 @@ def linked(nodes: DataFrame, texts: DataFrame, threshold: float = SIMILARITY) ->
         if held is None:
             held = written(texts.join(large.select("node").distinct(), "node", "left_semi"))
         rated = written(bounded(large, held, threshold))
+        if rated.isEmpty():
+            return found
         rest = rated.agg(F.sum((F.col("n") - 1) / 2)).first()[0] or 0  # pairs in these buckets
         drawn = F.pmod(F.xxhash64("node", "key", F.lit(turn)), F.lit(1 << 30)) / F.lit(float(1 << 30))
         pivot = F.lit(True) if rest <= few else drawn < F.lit(float(GROWTH**turn)) / F.col("n")
