@@ -44,7 +44,7 @@ SIMILARITY = 0.8
 BANDS, ROWS = 26, 5
 HASHES = BANDS * ROWS
 SMALL = 8
-GROWTH = 4
+GROWTH = 16
 _words = re.compile(r"\w+").findall
 _UNIT = 2.0**-53
 
