@@ -5,6 +5,7 @@ from __future__ import annotations
 import gc
 import os
 import re
+import time
 from collections.abc import Hashable
 from concurrent.futures import ThreadPoolExecutor
 
@@ -51,11 +52,13 @@ def dropped(*tables: DataFrame) -> None:
 def freed(spark: SparkSession) -> None:
     """Lets Spark delete the shuffle files of finished steps now: its cleaner acts only after the driver has collected its garbage.
 
-    The last job's plan is still held, so one of a row comes first.
+    The last job's plan is still held, so one of a row comes first; what that collection frees holds more, so there are two.
     """
     spark.range(1).write.format("noop").mode("overwrite").save()
-    gc.collect()
-    spark.sparkContext._jvm.System.gc()
+    for _ in range(2):
+        gc.collect()
+        spark.sparkContext._jvm.System.gc()
+        time.sleep(0.3)
 
 
 def written_all(tables: dict[Hashable, DataFrame]) -> dict[Hashable, DataFrame]:
