@@ -4,9 +4,9 @@ Two bigram models of the same form share one vocabulary, all words of the corpus
 background's over all texts. P(w | u) mixes the share of w after u with the add-one share of w. A text's score is
 the mean over its words of background loss minus target loss, in bits: positive for texts that are more like the target.
 
-Counts are kept of every word, context and pair of words, so the models grow with the corpus and no worker holds one:
+Counts are kept of every word and pair of words, and of the texts that a word ends, so the models grow with the corpus and no worker holds one:
 
-1. documents are dealt to chunks of about ``CHUNK`` characters by a hash of their id; each chunk counts its own words, contexts and pairs;
+1. documents are dealt to chunks of about ``CHUNK`` characters by a hash of their id; each chunk counts its own words and pairs;
 2. a chunk's counts are sorted by key (a 64-bit hash) and cut into key ranges; each range travels as one block of bytes;
 3. each range adds up the blocks of all chunks and answers each with the corpus-wide counts, in the order asked;
 4. each chunk scores its documents with the answers.
@@ -32,9 +32,9 @@ from pyspark.sql import functions as F
 from .common import dropped, freed, mix64, written
 
 MIX = 0.7  # weight of the bigram share
-CHUNK = 5_000_000  # characters of a chunk's texts, about; also the measure of a key range
+CHUNK = 8_000_000  # characters of a chunk's texts, about; also the measure of a key range
 LEAST_CHUNKS = 8
-PAIR, WORD, CONTEXT = 0, 1, 2
+PAIR, WORD, BEGIN = 0, 1, 2
 START = 0x5851F42D4C957F2D
 
 
@@ -51,9 +51,10 @@ class Numbers(dict):
 
 
 class Chunk:
-    """The words of some texts, and the keys of all words, contexts and pairs in them, in order.
+    """The words of some texts, and the keys of all words and pairs in them, in order.
 
-    keys, counts (in these texts) and wanted (in those that are target texts) are aligned.
+    keys and counts are aligned; the rows of counts are how often it occurs and how many texts it ends, in these texts and then in those that
+    are target texts. A word is a context as often as it occurs and ends no text; the start of a text counts as a word that begins it.
     """
 
     def __init__(self, texts, target) -> None:
@@ -73,23 +74,25 @@ class Chunk:
         hashes = np.append(hashes, np.uint64(START))
         pairs, self.pair = np.unique(self.before * (size + 1) + self.ids, return_inverse=True)
         u, w = np.divmod(pairs, size + 1)
-        made = (mix64(hashes[u] * np.uint64(0x9E3779B97F4A7C15) + mix64(hashes[w])), mix64(hashes[:size]), mix64(hashes ^ np.uint64(0xA0761D6478BD642F)))
+        made = (mix64(hashes[u] * np.uint64(0x9E3779B97F4A7C15) + mix64(hashes[w])), mix64(hashes[:size]), mix64(hashes[size:]))
         keys = np.concatenate([k & ~np.uint64(3) | np.uint64(kind) for kind, k in enumerate(made)])
-        places = (self.pair, self.ids, self.before)
-        sizes = (len(pairs), size, size + 1)
-        counts = np.concatenate([np.bincount(p, minlength=n) for p, n in zip(places, sizes)])
-        wanted = np.concatenate([np.bincount(p, weight, minlength=n) for p, n in zip(places, sizes)])
+        last = (np.cumsum(self.lengths) - 1)[self.lengths > 0]
+        rows, none = [], np.zeros(len(pairs))
+        for mass in (np.ones(len(self.ids)), weight):
+            begun = [mass[first].sum()]
+            rows.append(np.concatenate([np.bincount(self.pair, mass, len(pairs)), np.bincount(self.ids, mass, size), begun]))
+            rows.append(np.concatenate([none, np.bincount(self.ids[last], mass[last], size), [0.0]]))
         order = np.argsort(keys, kind="stable")
-        self.place = np.empty(len(keys), np.int64)  # where a pair's, word's or context's entry stands in the order of keys
+        self.place = np.empty(len(keys), np.int64)  # where a pair's or word's entry stands in the order of keys
         self.place[order] = np.arange(len(keys))
-        self.sizes = sizes
-        self.keys, self.counts, self.wanted = keys[order], counts[order].astype(np.uint32), wanted[order].astype(np.uint32)
+        self.sizes = (len(pairs), size)
+        self.keys, self.counts = keys[order], np.stack(rows)[:, order].astype(np.uint32)
 
-    def losses(self, counts: np.ndarray, words: float, vocabulary: int) -> np.ndarray:
+    def losses(self, counts: np.ndarray, ends: np.ndarray, words: float, vocabulary: int) -> np.ndarray:
         """Bits of each word by corpus-wide counts, in the order of keys."""
-        n, size, _ = self.sizes
-        pair, word, context = (counts[self.place[a:b]].astype(float) for a, b in ((0, n), (n, n + size), (n + size, len(self.keys))))
-        context = context[self.before]
+        n, size = self.sizes
+        pair, word = counts[self.place[:n]].astype(float), counts[self.place[n : n + size]].astype(float)
+        context = (counts[self.place[n:]].astype(float) - ends[self.place[n:]])[self.before]
         after = np.divide(pair[self.pair], context, out=np.zeros(len(self.ids)), where=context > 0)
         mix = np.where(context > 0, MIX, 0.0)
         return -np.log2(mix * after + (1 - mix) * (word[self.ids] + 1) / (words + vocabulary + 1))
@@ -144,7 +147,7 @@ def asked(docs: DataFrame, target: DataFrame, number: int) -> DataFrame:
         wanted = rows["doc_id"].isin(rows["doc_id"][marks].dropna())
         own = Chunk(rows["text"][~marks], wanted[~marks])
         chunk = int(rows["chunk"].iloc[0])
-        out = [(k, chunk, b - a, packed(steps(own.keys[a:b]), own.counts[a:b], own.wanted[a:b])) for k, a, b in ranges(own.keys, number)]
+        out = [(k, chunk, b - a, packed(steps(own.keys[a:b]), own.counts[:, a:b])) for k, a, b in ranges(own.keys, number)]
         return pd.DataFrame(out, columns=["range", "chunk", "n", "block"])
 
     return texts.unionByName(marks).groupBy("chunk").applyInPandas(count, "range int, chunk int, n int, block binary")
@@ -158,7 +161,7 @@ def answered(blocks: DataFrame) -> DataFrame:
         parts = [opened(b) for b in rows["block"]]
         sizes = rows["n"].to_numpy()
         keys = np.concatenate([climbed(p, n) for p, n in zip(parts, sizes)])
-        counts = np.concatenate([np.frombuffer(p, np.uint32, 2 * n, 8 * n).reshape(2, n) for p, n in zip(parts, sizes)], axis=1)
+        counts = np.concatenate([np.frombuffer(p, np.uint32, 4 * n, 8 * n).reshape(4, n) for p, n in zip(parts, sizes)], axis=1)
         every, place = np.unique(keys, return_inverse=True)
         both = np.stack([np.bincount(place, c, minlength=len(every)) for c in counts.astype(float)])
         words = (every & np.uint64(3)) == WORD
@@ -167,7 +170,7 @@ def answered(blocks: DataFrame) -> DataFrame:
         for chunk, n in zip(rows["chunk"], sizes):
             out.append((int(chunk), k, int(n), packed(found[:, at : at + n]), 0.0, 0.0, 0.0))
             at += n
-        out.append((None, k, 0, b"", *both[:, words].sum(axis=1), float(words.sum())))
+        out.append((None, k, 0, b"", *both[::2, words].sum(axis=1), float(words.sum())))
         return pd.DataFrame(out, columns=["chunk", "range", "n", "block", "words", "target_words", "different"]).astype({"chunk": "Int32"})
 
     return blocks.groupBy("range").applyInPandas(add, "chunk int, range int, n int, block binary, words double, target_words double, different double")
@@ -183,11 +186,11 @@ def scored(docs: DataFrame, answers: DataFrame, number: int, totals: tuple[float
     def score(rows: pd.DataFrame, told: pd.DataFrame) -> pd.DataFrame:
         own = Chunk(rows["text"], np.zeros(len(rows)))
         if len(own.keys) and len(told):
-            parts = [np.frombuffer(opened(b), np.uint64).reshape(2, n) for b, n in told.sort_values("range")[["block", "n"]].itertuples(False)]
-            background, target = np.concatenate(parts, axis=1)
+            parts = [np.frombuffer(opened(b), np.uint64).reshape(4, n) for b, n in told.sort_values("range")[["block", "n"]].itertuples(False)]
+            every = np.concatenate(parts, axis=1)
         else:
-            background = target = np.zeros(len(own.keys), np.uint64)
-        a, b = own.means(own.losses(target, target_words, vocabulary)).round(6), own.means(own.losses(background, all_words, vocabulary)).round(6)
+            every = np.zeros((4, len(own.keys)), np.uint64)
+        a, b = own.means(own.losses(*every[2:], target_words, vocabulary)).round(6), own.means(own.losses(*every[:2], all_words, vocabulary)).round(6)
         return pd.DataFrame({"doc_id": rows["doc_id"], "n_words": own.lengths, "target_bits": a, "background_bits": b, "score": (b - a).round(6)})
 
     found = dealt(docs, number).groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInPandas(score, _SCORES)
