@@ -161,17 +161,15 @@ def open_members(large: DataFrame, classes: DataFrame) -> DataFrame:
 def shingles(texts: DataFrame) -> DataFrame:
     """node, e, c: the runs of each text and how often they occur; texts: node, text."""
 
-    @F.pandas_udf("array<struct<e:long,c:int>>")
-    def of(parts: Iterator[pd.Series]) -> Iterator[pd.Series]:
+    def of(parts: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         hashes = WordHashes()
         for part in parts:
-            out = []
-            for t in part:
-                e, c = weighted_shingles(hashes.array(words_of(t)))
-                out.append([{"e": x, "c": int(n)} for x, n in zip(e.view(np.int64).tolist(), c.tolist())])
-            yield pd.Series(out)
+            found = [weighted_shingles(hashes.array(words_of(t))) for t in part["text"]]
+            if found:
+                e, c = map(np.concatenate, zip(*found))
+                yield pd.DataFrame({"node": np.repeat(part["node"].to_numpy(), [len(x) for x, _ in found]), "e": e.view(np.int64), "c": c.astype(np.int32)})
 
-    return texts.select("node", F.inline(of("text")))
+    return texts.select("node", "text").mapInPandas(of, f"node {texts.schema['node'].dataType.simpleString()}, e long, c int")
 
 
 def bounded(large: DataFrame, texts: DataFrame, threshold: float) -> DataFrame:
