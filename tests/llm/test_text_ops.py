@@ -304,3 +304,22 @@ def test_lm_scores_by_hand(spark, docs, empty):
     assert got[1].score > got[3].score
     assert lmscore.cross_entropy_difference(docs, labels).count() == len(ROWS)
     assert lmscore.cross_entropy_difference(empty, labels).count() == 0
+
+
+def test_toxicity_is_fitted_on_all_labelled_rows(spark):
+    """The odds of a word count every labelled text, and a few texts get what the fit on lists gives."""
+    from pyspark.sql import functions as F
+
+    n = 12_000
+    docs = spark.range(n).select(F.col("id").alias("doc_id"), F.when(F.col("id") % 2 == 1, F.concat(F.lit("you vile grobnik number "), F.col("id"))).otherwise(F.concat(F.lit("a calm day with number "), F.col("id"))).alias("text"))
+    labels = docs.select("doc_id", (F.col("doc_id") % 2).cast("int").alias("toxic"))
+    model = toxicity.fit(docs, labels)
+    rows = labels.where(toxicity.crc_mod(F.col("doc_id"), 3) != 1).groupBy("toxic").count().orderBy("toxic").collect()
+    other, toxic = rows[0]["count"], rows[1]["count"]
+    assert toxic + other > 7500 and toxicity.LEAST_TEXTS < toxic
+    assert model.odds["=grobnik"] == pytest.approx(math.log((toxic + 0.1) / (toxic + 1)) - math.log(0.5 / (other + 1)))
+    assert model.odds["=grobnik"] > math.log(2 * 3500)
+    scorer = toxicity.Scorer(model)
+    assert scorer.probability("such a grobnik") > 0.9 > 0.1 > scorer.probability("a calm day")
+    again = toxicity.fit(docs.repartition(7), labels)
+    assert again.odds == model.odds and again.letters.logs == model.letters.logs and again.weights == pytest.approx(model.weights, abs=1e-6)
