@@ -323,3 +323,18 @@ def test_toxicity_is_fitted_on_all_labelled_rows(spark):
     assert scorer.probability("such a grobnik") > 0.9 > 0.1 > scorer.probability("a calm day")
     again = toxicity.fit(docs.repartition(7), labels)
     assert again.odds == model.odds and again.letters.logs == model.letters.logs and again.weights == pytest.approx(model.weights, abs=1e-6)
+
+
+def test_runs_of_several_widths_and_few_false_hits(spark):
+    import numpy as np
+    from fdrepair.llm.common import mix64, rolled, rolled_all
+
+    for n in (0, 1, 5, 40):
+        ids = mix64(np.arange(n, dtype=np.uint64))
+        got = rolled_all(ids, [2, 3, 8])
+        assert all(np.array_equal(got.get(w, np.empty(0, np.uint64)), rolled(ids, w)) for w in (2, 3, 8))
+    words = lambda a, n: " ".join(f"w{a}x{k}" for k in range(n))
+    bench = spark.createDataFrame([(k, words(k, 60)) for k in range(400)], "item_id long, text string")
+    docs = spark.createDataFrame([(k, words(f"d{k}", 400)) for k in range(50)] + [(99, words(7, 60))], "doc_id long, text string")
+    hits = decontaminate.with_hits(docs, decontaminate.item_windows(bench)).where("size(hits) > 0").select("doc_id").collect()
+    assert 99 in {r.doc_id for r in hits} and len(hits) < 6  # by one place alone about 43 of 51 have a hit
