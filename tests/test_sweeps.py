@@ -45,3 +45,18 @@ def test_similar_texts_of_all_lengths(spark):
     rests = left_overs(spark.createDataFrame([(f"{k}|7",) for k in range(10_000, 12_000)], "text string"), 200)
     met = rests.join(rests.toDF("text2", "rest"), "rest").where("text < text2").count()
     assert met < 100_000  # pairs of letters proposed nearly all of the 2 million pairs
+
+
+def test_rates_go_through_one_repair(spark, monkeypatch):
+    """All rates at once give what each gives alone, by as many plans as one rate."""
+    truth = written(frame(spark, random_rows(5)))
+    algorithms = ("greedy", "cover", "hybrid", "greedy_confidence", "majority", "conflict_cover", "sampling")
+    made, rates = [], (0.1, 0.3)
+    edges = workloads.edge_quality
+    alone = [tuple(r) for rate in rates for r in workloads.measure(truth, SETS["chain"], algorithms, rate, "mix").collect()]
+    monkeypatch.setattr(workloads, "edge_quality", lambda *a, **k: made.append(1) or edges(*a, **k))
+    got = [tuple(r) for r in workloads.rate_sweep(truth, SETS["chain"], rates, "mix", algorithms).collect()]
+    assert len(made) == 3  # by quality, by confidence, by frequency
+    assert sorted(map(str, got)) == sorted(map(str, alone))
+    empty = workloads.rate_sweep(written(truth.where("false")), SETS["chain"], (0.1, 0.3), "swap", ("greedy",)).collect()
+    assert [(r["rate"], r["changed"], r["f1"]) for r in sorted(empty)] == [(0.1, 0, None), (0.3, 0, None)]
