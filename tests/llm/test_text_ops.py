@@ -338,3 +338,12 @@ def test_runs_of_several_widths_and_few_false_hits(spark):
     docs = spark.createDataFrame([(k, words(f"d{k}", 400)) for k in range(50)] + [(99, words(7, 60))], "doc_id long, text string")
     hits = decontaminate.with_hits(docs, decontaminate.item_windows(bench)).where("size(hits) > 0").select("doc_id").collect()
     assert 99 in {r.doc_id for r in hits} and len(hits) < 6  # by one place alone about 43 of 51 have a hit
+
+
+def test_toxicity_labels_meet_texts_one_way(spark, monkeypatch):
+    """Small tables go the way of large ones, so that what is measured on them grows in proportion."""
+    plans, kept = [], toxicity.written
+    monkeypatch.setattr(toxicity, "written", lambda df: plans.append(df._jdf.queryExecution().executedPlan().toString()) or kept(df))
+    docs = spark.createDataFrame([(k, f"plain words {k}") for k in range(30)], "doc_id long, text string")
+    toxicity.fit(docs, spark.createDataFrame([(k, k % 2) for k in range(30)], "doc_id long, toxic int"))
+    assert "SortMergeJoin" in plans[0] and "BroadcastHashJoin" not in plans[0]
