@@ -321,3 +321,37 @@ def test_baseline_frame():
     assert image.shape == (8, 16) and set(image[:, :8].ravel()) == {148} and set(image[:, 8:].ravel()) == {98}
     file = media.avi([frame], 16, 8)
     assert media.samples_of([file])[0][1][0].tolist() == image.tolist()
+
+
+def test_pages_are_stored_compressed(spark):
+    """What is stored and dealt of a page takes less than half of its blocks, and gives them back."""
+    page = "<nav>menu</nav><div>open é</div><article>" + "".join(f"<p>This is sentence {k} of the story of the day.</p>" for k in range(60)) + "</article>"
+    row = pages.parsed(spark.createDataFrame([(1, "https://a.example/1", page)], "page_id long, url string, html string")).first()
+    told = sum(len(t) for _, t in pages.blocks(page))
+    assert "blocks" not in row.asDict() and len(row.packed) < told / 2
+    text = "\n".join(t for r, t in pages.blocks(page) if r != pages.DROPPED)
+    assert pages.left_over(row.packed, row.outside, []) == (text, 0, 1)
+    assert pages.left_over(row.packed, row.outside, [pages.line_hash("open é")]) == (text.split("\n", 1)[1], 1, 1)
+
+
+def test_bound_by_the_lightest_member_joins_nothing(spark):
+    """A bucket's members learn its lightest one without a join, and the same members stay as by a join."""
+    words = [f"w{k}" for k in range(60)]
+    texts = spark.createDataFrame([(k, " ".join(words[: 30 + k % 25] + [f"x{k}_{j}" for j in range(k % 7)])) for k in range(40)], "node long, text string")
+    large = spark.createDataFrame([(b, k, k % 3 if k % 3 else k, 40) for b in range(3) for k in range(40) if (k + b) % 4], "key long, node long, root long, n int")
+    out = neardup.bounded(large, texts, 0.8)
+    assert "least" not in "".join(line for line in out._jdf.queryExecution().optimizedPlan().toString().split("\n") if "Join" in line)
+    runs = {r.node: neardup.weighted_shingles(WordHashes().array(neardup.words_of(r.text))) for r in texts.collect()}
+    rows = [tuple(r)[:3] for r in large.collect()]
+    root = {k: r for _, k, r in rows}
+    where = {}
+    for k, r in root.items():
+        for e in runs[k][0]:
+            where.setdefault(e, set()).add(r)
+    w = {k: runs[k][1].sum() for k in root}
+    s = {k: sum(c for e, c in zip(*runs[k]) if len(where[e]) > 1) for k in root}
+    left = [x for x in rows if s[x[1]] >= w[x[1]] * (0.8 - 1e-9)]
+    for _ in range(2):
+        of = {key: [x for x in left if x[0] == key] for key, _, _ in left}
+        left = [x for x in left if len({y[2] for y in of[x[0]]}) > 1 and s[x[1]] >= (w[x[1]] + min(w[y[1]] for y in of[x[0]])) * (0.8 / 1.8 - 1e-9)]
+    assert left and sorted((r.key, r.node, r.root) for r in out.collect()) == sorted(left)
