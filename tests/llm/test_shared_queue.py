@@ -35,3 +35,11 @@ def test_new_words_are_queued_together_and_old_ones_stay(monkeypatch):
     assert calls == [33, 1] and got == [[i for w in (t or "").split() for i in plain(ranks, w.encode())] for t in texts]
     list(coder.encode_all([f"v{k}" for k in range(20)]))  # the older half is dropped only after another half
     assert coder["abcab"] == (257, 256) and calls == [33, 1, 20]
+
+
+def test_a_worker_forgets_and_encodes_again():
+    ranks = {bytes([c]): c for c in range(256)} | {b"ab": 256}
+    coder = bpe.ByteBPE(ranks, r"\S+")
+    first = list(coder.encode_all(["ab abc"]))
+    coder.forget()
+    assert not coder and not coder.older and list(coder.encode_all(["ab abc"])) == first == [[256, 256, 99]]
