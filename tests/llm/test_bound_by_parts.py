@@ -51,3 +51,36 @@ def test_runs_travel_in_blocks(spark, copies, monkeypatch, split, block):
     assert {r.node: (r.w, r.s) for r in got} == want and all(sum(r.parts) == r.s and len(r.parts) == neardup.PARTS for r in got)
     plan = neardup.weights(members, split)._jdf.queryExecution().optimizedPlan().toString()
     assert "Join" not in plan and neardup.run_blocks(members, 0).count() <= 64 * 61
+
+
+def test_weights_travel_by_blocks_and_shares(spark, copies, monkeypatch):
+    """A share's row names only the texts that have runs in it, and gathering gives a row for each text: no rows of a text and a part."""
+    monkeypatch.setattr(neardup, "BLOCK", 8_000)
+    texts, vectors, _ = copies
+    members = texts.withColumn("root", F.col("node"))
+    for r in neardup.run_blocks(members, 4).collect():
+        assert len(r.nodes) == len(r.roots) == len(r.at) // 4 == len(r.n) // 4 < len(vectors)
+    adaptive = spark.conf.get("spark.sql.adaptive.enabled")
+    spark.conf.set("spark.sql.adaptive.enabled", "false")
+    found = neardup.weights(members.coalesce(1), 0)
+    assert found.count() == len(vectors)
+    found.collect()
+    made, nodes = [], [found._jdf.queryExecution().executedPlan()]
+    spark.conf.set("spark.sql.adaptive.enabled", adaptive)
+    while nodes:
+        p = nodes.pop()
+        nodes += [p.children().apply(k) for k in range(p.children().size())]
+        if "FlatMapGroups" in p.nodeName():
+            made.append(p.metrics().apply("pythonNumRowsReceived").value())
+    assert len(made) == 2 and min(made) == len(vectors) and max(made) <= 3 * neardup.PARTS
+
+
+def test_repeated_rows_keep_their_links(spark, copies):
+    """A row that stands twice weighs what it weighs, and two texts of one id are bounded by what either may share."""
+    texts, vectors, links = copies
+    twice = texts.union(texts.where("node = 7")).union(texts.where("node = 60").withColumn("text", F.lit("a few other words that nobody else has")))
+    large = texts.select(F.lit(1).cast("long").alias("key"), "node", F.col("node").alias("root"), F.lit(61).alias("n"))
+    w = {r.node: r.w for r in neardup.weights(twice.withColumn("root", F.col("node")), 0).collect()}
+    assert w[7] == sum(vectors[7][1]) and w[60] == 4 and len(w) == len(vectors)
+    rated = neardup.bounded(large, twice, 0.8)
+    assert (7, 60) in links <= {(r.a, r.b) for r in neardup.ordered(neardup.pivot_pairs(rated, rated, 0.8)).collect()}
